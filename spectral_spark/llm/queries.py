@@ -5,16 +5,89 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import mixing, near_dedup, packing, quality, substring_dedup, tokens, toxicity, url_filter, vp_search, warc
+
+RULES = [("block", "com/en/"), ("allow", "example.com/en/7"), ("block", "net/de/"), ("block", "example.net/de/8"), ("block", "org/es/")]
+
 
 def _t(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def op1_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from .near_dedup import near_duplicates
+    return near_dedup.near_duplicates(spark, _t(spark, sf_dir, "documents"))
+
+
+def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokens.token_counts(_t(spark, sf_dir, "documents"))
+
+
+def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row per removed run: the document, where the run lies in its words, and the document in which the passage stays."""
+    spans = substring_dedup.repeated_spans(spark, _t(spark, sf_dir, "documents"))
+    return spans.select("doc_id", F.explode("spans").alias("s")).select("doc_id", F.col("s.first").alias("first_word"), F.col("s.size").alias("n_words"), F.col("s.home").alias("kept_in_doc_id"))
+
+
+def op4_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = warc.archive(spark, _t(spark, sf_dir, "pages"))
+    return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url_key", "captured", "sound")
+
+
+def op5_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.filter_urls(spark, _t(spark, sf_dir, "pages"), RULES)
+
+
+def op6_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = quality.line_first_cleaning(_t(spark, sf_dir, "documents"), with_text=False)
+    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "words_kept")
+
+
+def op7_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = mixing.mix_sources(_t(spark, sf_dir, "documents").select("doc_id", "source", "text"))
+    return out.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
+
+
+def op8_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _t(spark, sf_dir, "documents").select("doc_id", "text")
+    scored = toxicity.score_toxicity(spark, docs, toxicity.fit_toxicity(docs, _t(spark, sf_dir, "labels")))
+    return scored.drop("text")
+
+
+def op9_vp_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = _t(spark, sf_dir, "embeddings")
+    return vp_search.nearest(spark, vectors, vectors.where("vec_id % 100 = 0"))
+
+
+def op10_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(spark, _t(spark, sf_dir, "documents"))
+
 
-    return near_duplicates(spark, _t(spark, sf_dir, "documents"))
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_minhash_near_dedup,
+        op2_token_counts,
+        op3_substring_dedup,
+        op4_warc_archive,
+        op5_url_filter,
+        op6_line_quality,
+        op7_mix_sources,
+        op8_toxicity_chain,
+        op9_vp_nearest,
+        op10_best_fit_packing,
+    )
+}
 
+_URL_SQL = r"""
+WITH u AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+p AS (SELECT page_id, translate(regexp_extract(coalesce(rest, ''), '^([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host,
+        regexp_extract(coalesce(rest, ''), '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+r(rh, rp, rule, rv) AS (VALUES ('com', '/en/', 'com/en/', 'block'), ('example.com', '/en/7', 'example.com/en/7', 'allow'), ('net', '/de/', 'net/de/', 'block'),
+        ('example.net', '/de/8', 'example.net/de/8', 'block'), ('org', '/es/', 'org/es/', 'block'))
+SELECT page_id, host, path,
+  (SELECT max_by(rule, length(rule)) FROM r WHERE (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp)) AS rule,
+  coalesce((SELECT max_by(rv, length(rule)) FROM r WHERE (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp)), 'allow') AS verdict
+FROM p
+"""
 
-QUERIES = {"op1_minhash_near_dedup": op1_minhash_near_dedup}
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {"op5_url_filter": _URL_SQL, "op7_mix_sources": mixing.SQL}
