@@ -164,16 +164,10 @@ def confirm(pairs: DataFrame, texts: DataFrame, p: MinHash) -> DataFrame:
     one = some.select(F.col("id").alias("a"), F.col("text").alias("ta"))
     two = some.select(F.col("id").alias("b"), F.col("text").alias("tb"))
 
-    def sets_of(column):
-        for _, _, data, at in text_blocks(column):
-            block = Block(data, at)
-            sets, limits = distinct(*shingles(block.hashes(), block.first, p.words))
-            yield from (sets[x:y] for x, y in zip(limits[:-1], limits[1:]))
-
     def run(batches):
         for batch in batches:
             keep = []
-            for k, (x, y) in enumerate(zip(sets_of(batch.column("ta")), sets_of(batch.column("tb")))):
+            for k, (x, y) in enumerate(zip(_sets_of(batch.column("ta"), p), _sets_of(batch.column("tb"), p))):
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 keep.append(100 * both >= p.percent * (len(x) + len(y) - both))
             if any(keep):
@@ -189,32 +183,88 @@ def _apart(members: DataFrame, comp: DataFrame) -> DataFrame:
     return seen.join(split, "bucket")
 
 
-def block_pairs(apart: DataFrame, nodes: DataFrame, p: MinHash) -> DataFrame:
-    """Survivors among all pairs of a bucket that lie in different components, compared block against block."""
+def _similar(sig: np.ndarray, ids: np.ndarray, comps: np.ndarray, mine: np.ndarray, x: int, y: int, bucket: int, p: MinHash):
+    """(i, partners) of rows of blocks ``x`` and ``y`` in different components that the sequential test leaves.
+
+    A pair that shares several bands is looked at in the first of them only.
+    """
+    keys = band_keys(sig, p.bands, p.rows)
+    band = int(np.argmax((keys == bucket).all(0)))
+    left, right = np.flatnonzero(mine == x), np.flatnonzero(mine == y)
+    least = least_matches(p.percent, p.batch, p.batches, p.miss)[0]
+    for i in left:
+        other = right[(comps[right] != comps[i]) & ((ids[right] > ids[i]) | (x != y))]
+        other = other[(sig[other, : p.batch] == sig[i, : p.batch]).sum(1) >= least]
+        if band:
+            other = other[~(keys[other, :band] == keys[i, :band]).any(1)]
+        if len(other):
+            other = other[_sequential(np.broadcast_to(sig[i], (len(other), p.size)), sig[other], p)]
+        if len(other):
+            yield i, other
+
+
+def _block(t: pa.Table, p: MinHash) -> tuple:
+    sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint32).reshape(-1, p.size)
+    ids, comps, mine = (t.column(c).to_numpy() for c in ("id", "comp", "mine"))
+    return sig, ids, comps, mine, *(t.column(c)[0].as_py() for c in ("x", "y", "bucket"))
+
+
+def _sets_of(column, p: MinHash):
+    for _, _, data, at in text_blocks(column):
+        block = Block(data, at)
+        sets, limits = distinct(*shingles(block.hashes(), block.first, p.words))
+        yield from (sets[x:y] for x, y in zip(limits[:-1], limits[1:]))
+
+
+def links_across(apart: DataFrame, nodes: DataFrame, texts: DataFrame, p: MinHash) -> DataFrame:
+    """Links that join different components of a bucket; among its pairs, enough to connect all that are linked.
+
+    Blocks are first compared by signature alone. Texts then go only to blocks in which they have a partner left,
+    and are confirmed there: a pair that other links of the block connect already need not be.
+    """
     blocks = F.ceil(F.col("n") / p.block).cast("int")
     dealt = apart.withColumn("k", blocks).withColumn("mine", F.pmod(F.xxhash64("id"), F.col("k")).cast("int"))
-    dealt = dealt.join(nodes.select("id", "sig"), "id")
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
-    dealt = dealt.select("bucket", F.least("mine", "other").alias("x"), F.greatest("mine", "other").alias("y"), "mine", "id", "comp", "sig")
-
-    def compare(t: pa.Table) -> pa.Table:
-        sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint32).reshape(-1, p.size)
-        ids, comps, mine = (t.column(c).to_numpy() for c in ("id", "comp", "mine"))
-        x, y = t.column("x")[0].as_py(), t.column("y")[0].as_py()
-        left, right = np.flatnonzero(mine == x), np.flatnonzero(mine == y)
-        least = least_matches(p.percent, p.batch, p.batches, p.miss)[0]
-        found_a, found_b = [], []
-        for i in left:
-            other = right[(comps[right] != comps[i]) & ((ids[right] > ids[i]) | (x != y))]
-            other = other[(sig[other, : p.batch] == sig[i, : p.batch]).sum(1) >= least]
-            if len(other):
-                other = other[_sequential(np.broadcast_to(sig[i], (len(other), p.size)), sig[other], p)]
-                found_a.append(np.full(len(other), ids[i]))
-                found_b.append(ids[other])
-        a, b = (np.concatenate(f) if f else np.zeros(0, np.int64) for f in (found_a, found_b))
-        return pa.table({"a": np.minimum(a, b), "b": np.maximum(a, b)})
-
-    return dealt.groupBy("bucket", "x", "y").applyInArrow(compare, "a long, b long").distinct()
+    dealt = dealt.select("bucket", F.least("mine", "other").alias("x"), F.greatest("mine", "other").alias("y"), "mine", "id", "comp")
+    signs = nodes.select("id", "sig")
+
+    def partnered(t: pa.Table) -> pa.Table:
+        block = _block(t, p)
+        rows = np.unique(np.concatenate([np.zeros(0, np.int64), *(np.append(o, i) for i, o in _similar(*block, p))]))
+        return t.drop_columns(["sig"]).take(pa.array(rows.astype(np.int64)))
+
+    def confirm_block(t: pa.Table) -> pa.Table:
+        sig, ids, comps, mine, x, y, bucket = _block(t, p)
+        sets = list(_sets_of(t.column("text"), p))
+        parent: dict[int, int] = {int(c): int(c) for c in comps}
+
+        def root(c: int) -> int:
+            while parent[c] != c:
+                parent[c] = c = parent[parent[c]]
+            return c
+
+        found = []
+        for i, other in _similar(sig, ids, comps, mine, x, y, bucket, p):
+            mine_ = root(int(comps[i]))
+            other = [j for j in other if root(int(comps[j])) != mine_]
+            if not other or not len(sets[i]):
+                continue
+            sizes = np.array([len(sets[j]) for j in other])
+            stacked = np.concatenate([sets[j] for j in other])
+            at = np.minimum(np.searchsorted(sets[i], stacked), len(sets[i]) - 1)
+            total = np.concatenate([[0], np.cumsum(sets[i][at] == stacked)])
+            ends = np.cumsum(sizes)
+            both = total[ends] - total[ends - sizes]
+            for j in np.flatnonzero(100 * both >= p.percent * (sizes + len(sets[i]) - both)):
+                a, b = root(int(comps[i])), root(int(comps[other[j]]))
+                if a != b:
+                    parent[b] = a
+                    found.append((int(ids[i]), int(ids[other[j]])))
+        return pa.table({"a": pa.array([f[0] for f in found], pa.int64()), "b": pa.array([f[1] for f in found], pa.int64())})
+
+    kept = dealt.join(signs, "id").groupBy("bucket", "x", "y").applyInArrow(partnered, "id long, bucket long, x int, y int, mine int, comp long")
+    full = kept.join(signs, "id").join(texts, "id")
+    return full.groupBy("bucket", "x", "y").applyInArrow(confirm_block, "a long, b long")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()) -> DataFrame:
@@ -237,12 +287,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
     near = table(spark, survivors(pairs, nodes, p), "near")
     links = table(spark, confirm(near, texts, p), "confirmed")
     first = table(spark, components(spark, links), "first")
-    rest = block_pairs(_apart(members.select("bucket", "id"), first), nodes, p)
-    rest = table(spark, rest.join(near, ["a", "b"], "left_anti"), "rest")
-    more = confirm(rest, texts, p)
+    more = table(spark, links_across(_apart(members.select("bucket", "id"), first), nodes, texts, p), "across")
     final = table(spark, components(spark, links.unionByName(more)), "components")
     same = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id"))
     out = signed.join(same, ["d1", "d2"], "left").join(final, "id", "left")
-    drop(spark, members, near, rest, first)
+    drop(spark, members, near, first)
     component = F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.coalesce("component", "id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
