@@ -2,7 +2,7 @@
 
 Categories are predicted one after another; each later model also sees the logits of the earlier categories. Those that it
 is trained on are out-of-fold, so that it learns how far an earlier prediction can be trusted. Features are the distinct words
-of a text, hashed. Training uses a bounded, hash-ordered sample of labelled documents; scoring is one pass over all documents.
+of a text, hashed; each model takes those most dependent on its category. Training uses a bounded, hash-ordered sample of labelled documents; scoring is one pass over all documents.
 """
 
 from __future__ import annotations
@@ -23,25 +23,35 @@ for _lo, _hi in ("09", "AZ", "az"):
     NOT_WORD[ord(_lo) : ord(_hi) + 1] = False
 
 
+#: Bytes of the prefixes that are features beside whole words; inflected and compound forms share them.
+PREFIXES = (4, 6)
+
+
 @dataclass(frozen=True)
 class ChainSettings:
     """``sample`` bounds the labelled documents that training reads; all else is the usual regularised logistic regression."""
 
     sample: int = 6000
-    buckets: int = 1 << 18
-    least_docs: int = 5
+    buckets: int = 1 << 20
+    chosen: int = 1000
     folds: int = 4
-    ridge: float = 1.0
-    steps: int = 150
+    ridge: float = 0.1
+    steps: int = 400
     threshold: float = 0.5
 
 
 def features(block: Block, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct feature numbers of every text and their limits."""
-    words = (block.hashes(LOWER) >> np.uint64(20)) % np.uint64(buckets)
-    parts = [np.unique(words[a:b]) for a, b in zip(block.first[:-1], block.first[1:])]
-    limits = np.concatenate([[0], np.cumsum([len(p) for p in parts])]).astype(np.int64)
-    return (np.concatenate(parts) if parts else words).astype(np.int64), limits
+    """Distinct feature numbers of every text (its words, and prefixes of longer ones) and their limits."""
+    owner = np.repeat(np.arange(len(block.counts), dtype=np.uint64), block.counts)
+    size = block.end - block.start
+    keys = [block.hashes(LOWER)]
+    owners = [owner]
+    for n in PREFIXES:
+        keys.append(block.hashes(LOWER, n) + np.uint64(n))
+        owners.append(owner[size > n])
+    number = (np.concatenate(keys) >> np.uint64(20)) % np.uint64(buckets)
+    both = np.unique(np.concatenate(owners) * np.uint64(buckets) + number)
+    return (both % np.uint64(buckets)).astype(np.int64), np.searchsorted(both, np.arange(len(block.counts) + 1, dtype=np.uint64) * np.uint64(buckets))
 
 
 def _row_sums(values: np.ndarray, limits: np.ndarray) -> np.ndarray:
@@ -49,81 +59,89 @@ def _row_sums(values: np.ndarray, limits: np.ndarray) -> np.ndarray:
     return total[limits[1:]] - total[limits[:-1]]
 
 
-def _scaled(limits: np.ndarray) -> np.ndarray:
-    """Texts of any length weigh alike in the exponent: presence is divided by the cube root of the number of words."""
-    return 1.0 / np.cbrt(np.maximum(np.diff(limits), 1))
+def choose_features(index: np.ndarray, limits: np.ndarray, y: np.ndarray, s: ChainSettings) -> np.ndarray:
+    """The ``chosen`` features most dependent on the label (chi-square); a map from feature to position, -1 for the rest."""
+    rows = np.repeat(np.arange(len(y)), np.diff(limits))
+    seen = np.bincount(index, minlength=s.buckets).astype(float)
+    hit = np.bincount(index, weights=y[rows], minlength=s.buckets)
+    n, positive = len(y), y.sum()
+    expected = seen * positive / max(n, 1)
+    chi = (hit - expected) ** 2 / np.maximum(expected, 1e-9) + (hit - expected) ** 2 / np.maximum(seen - expected, 1e-9)
+    chi[seen < 2] = 0
+    best = np.argsort(-chi, kind="stable")[: s.chosen]
+    best = np.sort(best[chi[best] > 0])
+    known = np.full(s.buckets, -1, np.int32)
+    known[best] = np.arange(len(best))
+    return known
 
 
 def fit_logistic(index: np.ndarray, limits: np.ndarray, extra: np.ndarray, y: np.ndarray, size: int, s: ChainSettings) -> np.ndarray:
     """Weights (features, extra columns, intercept) by accelerated gradient descent on the ridge-penalised loss."""
     rows = np.repeat(np.arange(len(y)), np.diff(limits))
-    scale = _scaled(limits)
-    k = extra.shape[1]
+    n, k = max(len(y), 1), extra.shape[1]
     w = np.zeros(size + k + 1)
     rate = y.mean() if len(y) else 0.5
     w[-1] = np.log((rate + 1e-3) / (1 - rate + 1e-3))
-    balance = np.where(y > 0, 0.5 / max(rate, 1e-3), 0.5 / max(1 - rate, 1e-3))
     first, second = np.zeros_like(w), np.zeros_like(w)
     for t in range(1, s.steps + 1):
-        z = _row_sums(w[index], limits) * scale + extra @ w[size : size + k] + w[-1]
-        g = balance * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y)
-        grad = np.empty_like(w)
-        grad[:size] = np.bincount(index, (g * scale)[rows], size)
-        grad[size : size + k], grad[-1] = extra.T @ g, g.sum()
-        grad = grad / max(len(y), 1)
-        grad[:-1] += s.ridge * w[:-1] / max(len(y), 1) / 10
+        z = _row_sums(w[index], limits) + extra @ w[size : size + k] + w[-1]
+        g = 1 / (1 + np.exp(-np.clip(z, -30, 30))) - y
+        grad = np.concatenate([np.bincount(index, g[rows], size), extra.T @ g, [g.sum()]])
+        grad[:-1] += s.ridge * w[:-1]
+        grad /= n
         first, second = 0.9 * first + 0.1 * grad, 0.999 * second + 0.001 * grad**2
-        w -= 0.1 * (first / (1 - 0.9**t)) / (np.sqrt(second / (1 - 0.999**t)) + 1e-8)
+        w -= 0.05 * (first / (1 - 0.9**t)) / (np.sqrt(second / (1 - 0.999**t)) + 1e-8)
     return w
 
 
 def logits(w: np.ndarray, index: np.ndarray, limits: np.ndarray, extra: np.ndarray) -> np.ndarray:
     size, k = len(w) - extra.shape[1] - 1, extra.shape[1]
-    return _row_sums(w[index], limits) * _scaled(limits) + extra @ w[size : size + k] + w[-1]
+    return _row_sums(w[index], limits) + extra @ w[size : size + k] + w[-1]
+
+
+def _inner(known: np.ndarray, index: np.ndarray, limits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of the known features of every text, and their limits."""
+    to = known[index]
+    keep = to >= 0
+    return to[keep], np.concatenate([[0], np.cumsum(keep)])[limits]
 
 
 @dataclass
 class Chain:
+    """A model for each category: its features and its weights."""
+
     categories: tuple[str, ...]
-    known: np.ndarray
-    models: list[np.ndarray]
+    models: list[tuple[np.ndarray, np.ndarray]]
     settings: ChainSettings
 
-    def _inner(self, index: np.ndarray, limits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        to = self.known[index]
-        keep = to >= 0
-        total = np.concatenate([[0], np.cumsum(keep)])
-        return to[keep], total[limits]
-
     def predict(self, index: np.ndarray, limits: np.ndarray) -> np.ndarray:
         """Probabilities, a column for each category."""
-        index, limits = self._inner(index, limits)
         seen = np.zeros((len(limits) - 1, 0))
-        for w in self.models:
-            seen = np.column_stack([seen, np.clip(logits(w, index, limits, seen), -8, 8)])
+        for known, w in self.models:
+            seen = np.column_stack([seen, np.clip(logits(w, *_inner(known, index, limits), seen), -8, 8)])
         return 1 / (1 + np.exp(-seen))
 
 
 def train_chain(index: np.ndarray, limits: np.ndarray, labels: np.ndarray, categories: tuple[str, ...], s: ChainSettings) -> Chain:
-    """``labels``: 0/1 rows. Features of fewer than ``least_docs`` documents are left out."""
-    often = np.bincount(index, minlength=s.buckets)
-    known = np.full(s.buckets, -1, np.int32)
-    chosen = np.flatnonzero(often >= min(s.least_docs, max(1, len(labels) // 50)))
-    known[chosen] = np.arange(len(chosen))
-    chain = Chain(categories, known, [], s)
-    inner, at = chain._inner(index, limits)
-    n, size = len(labels), len(chosen)
+    """``labels``: 0/1 rows. What later models see of earlier categories is predicted by models that were not fitted on the row."""
+    chain = Chain(categories, [], s)
+    n = len(labels)
     fold = np.arange(n) % s.folds
     seen = np.zeros((n, 0))
+
+    def fit(index, limits, seen, y):
+        known = choose_features(index, limits, y, s)
+        return known, fit_logistic(*_inner(known, index, limits), seen, y, int((known >= 0).sum()), s)
+
     for c in range(len(categories)):
         y = labels[:, c].astype(float)
-        chain.models.append(fit_logistic(inner, at, seen, y, size, s))
+        chain.models.append(fit(index, limits, seen, y))
         if c + 1 < len(categories):
             out = np.zeros(n)
             for f in range(s.folds):
                 held = fold == f
-                a, b, c_ = _rows_of(inner, at, ~held), _rows_of(inner, at, held), seen[~held]
-                out[held] = logits(fit_logistic(*a, c_, y[~held], size, s), *b, seen[held])
+                known, w = fit(*_rows_of(index, limits, ~held), seen[~held], y[~held])
+                out[held] = logits(w, *_inner(known, *_rows_of(index, limits, held)), seen[held])
             seen = np.column_stack([seen, np.clip(out, -8, 8)])
     return chain
 

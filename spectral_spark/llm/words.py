@@ -67,13 +67,18 @@ class Block:
     def counts(self) -> np.ndarray:
         return np.diff(self.first)
 
-    def hashes(self, lower: np.ndarray = LOWER) -> np.ndarray:
+    def hashes(self, lower: np.ndarray = LOWER, prefix: int = 0) -> np.ndarray:
+        """Of every word, or with ``prefix`` of the first bytes of every word that is longer."""
         n = len(self.data)
         up, down = powers(n + 1)
         total = np.zeros(n + 1, np.uint64)
         np.cumsum(lower[self.data] * up[:n], out=total[1:])
-        poly = (total[self.end] - total[self.start]) * down[self.start]
-        return mix(poly ^ ((self.end - self.start).astype(np.uint64) << np.uint64(56)))
+        start, end = self.start, self.end
+        if prefix:
+            start = start[end - start > prefix]
+            end = start + prefix
+        poly = (total[end] - total[start]) * down[start]
+        return mix(poly ^ ((end - start).astype(np.uint64) << np.uint64(56)))
 
 
 def text_blocks(column: pa.Array, limit: int | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:

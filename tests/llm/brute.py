@@ -47,3 +47,23 @@ def near_components(docs, size=3, percent=85):
                 a, b = find(parent, i), find(parent, j)
                 parent[max(a, b)] = min(a, b)
     return {i: (len(sets[i]), find(parent, i)) for i in sets}
+
+
+def repeat_words(words, window=5):
+    seen = defaultdict(list)
+    for i in range(len(words) - window + 1):
+        seen[tuple(words[i : i + window])].append(i)
+    return len({i + k for at in seen.values() if len(at) > 1 for i in at for k in range(window)})
+
+
+def nearest(vectors, queries, k):
+    import numpy as np
+
+    ids = np.array([i for i, _ in vectors])
+    m = np.array([v for _, v in vectors], float)
+    out = {}
+    for i, q in queries:
+        d = np.sqrt(((m - np.array(q, float)) ** 2).sum(1))
+        order = [j for j in np.lexsort((ids, d)) if ids[j] != i][:k]
+        out[i] = [(int(ids[j]), float(d[j])) for j in order]
+    return out
