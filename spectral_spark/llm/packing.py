@@ -10,6 +10,7 @@ from __future__ import annotations
 import re
 import zlib
 from collections import defaultdict
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -18,10 +19,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .store import table
-from .tokens import CONTROL, MOST_CHARS, MOST_ENTRIES, load, vocabulary
+from .tokens import CONTROL, MOST_CHARS, load, vocabulary
 from .words import text_blocks
 
 STRICT_WORDS = re.compile(r"[\S\x1c-\x1f]+")
+#: Bound of a worker's table of ids.
+MOST_WORDS = 700_000
 #: Bins left by this many tasks are packed together in the second pass.
 TASKS_TOGETHER = 64
 
@@ -66,8 +69,13 @@ class BestFit:
         return {b for at in self.by_free.values() for b in at}
 
 
+#: The tokenizer's pre-tokens of lower-cased text within U+00FF; other texts are cut at white space alone.
+PRE_TOKEN = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-zªµºß-öø-ÿ]+|[0-9²³¹¼-¾]|[^a-zªµºß-öø-ÿ0-9²³¹¼-¾\x09-\x0d \x85\xa0]+")
+BEYOND = re.compile(r"[^\x00-\xff]")
+
+
 class WordIds(dict):
-    """Ids of white-space separated words, asked of the tokenizer once each, in flat arrays."""
+    """Ids of pre-tokens, asked of the tokenizer once each, in flat arrays."""
 
     def __init__(self, path: str):
         super().__init__()
@@ -103,11 +111,11 @@ class WordIds(dict):
 
     def encode(self, texts: list[str], end_id: int) -> list[np.ndarray]:
         """Ids of every text, ``end_id`` added."""
-        if len(self) > MOST_ENTRIES or self.chars > MOST_CHARS:
+        if len(self) > MOST_WORDS or self.chars > MOST_CHARS:
             self.reset()
         codes = []
         for text in texts:
-            words = STRICT_WORDS.findall(text) if CONTROL.search(text) else text.split()
+            words = cut(text)
             codes.append(np.fromiter(map(self.__getitem__, words), np.int64, len(words)))
         self._learn()
         out = []
@@ -122,6 +130,19 @@ class WordIds(dict):
         return out
 
 
+def cut(text: str) -> list[str]:
+    """Parts of a text that the tokenizer treats apart: their ids, joined, are the text's."""
+    if BEYOND.search(text) or "<|" in text:
+        return STRICT_WORDS.findall(text) if CONTROL.search(text) else text.split()
+    return PRE_TOKEN.findall(text.lower())
+
+
+@lru_cache(2)
+def shared_ids(path: str) -> WordIds:
+    """Kept by a worker process between its tasks."""
+    return WordIds(path)
+
+
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, bin long, offset long, task long, is_open boolean"
 
 
@@ -134,7 +155,7 @@ def pack(spark: SparkSession, docs: DataFrame, path: str | None = None, capacity
     path = path or vocabulary("word_bpe_49k.json")
 
     def run(batches):
-        words, bins, task = WordIds(path), BestFit(capacity, open_bins), TaskContext.get().partitionId()
+        words, bins, task = shared_ids(path), BestFit(capacity, open_bins), TaskContext.get().partitionId()
         held: list[tuple] = []
         for batch in batches:
             doc_ids = batch.column("doc_id")
