@@ -65,8 +65,8 @@ r AS (SELECT *, (SELECT sum(source_size) * 150 / 100.0 FROM s) AS total, (SELECT
         coalesce(sum(cap) OVER w, 0.0) AS below, coalesce(sum(weight) OVER w, 0.0) AS weight_below
       FROM s WINDOW w AS (ORDER BY cap / weight, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 l AS (SELECT *, (total - below) / (all_weight - weight_below) AS level FROM r),
-f AS (SELECT level AS at FROM l WHERE weight * level <= cap ORDER BY weight_below LIMIT 1),
-t AS (SELECT source, source_size, least(cap, coalesce(weight * (SELECT at FROM f), cap)) AS target FROM l),
+f AS (SELECT level AS open_level FROM l WHERE weight * level <= cap ORDER BY weight_below LIMIT 1),
+t AS (SELECT source, source_size, least(cap, coalesce(weight * (SELECT open_level FROM f), cap)) AS target FROM l),
 j AS (SELECT d.doc_id, d.size, t.source_size, t.target, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0.0 END AS rate
       FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
 SELECT doc_id, size, source_size, target,
