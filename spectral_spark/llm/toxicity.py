@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .words import LOWER, Block, text_blocks
+from .words import LOWER, Block, mix, text_blocks
 
 #: Every ASCII byte but letters and digits ends a word here, so that punctuation does not hide it.
 NOT_WORD = np.ones(256, bool)
@@ -25,6 +25,8 @@ for _lo, _hi in ("09", "AZ", "az"):
 
 #: Bytes of the prefixes that are features beside whole words; inflected and compound forms share them.
 PREFIXES = (4, 6)
+#: Being seen at least so often in a text is a feature, too.
+OFTEN = (2, 3, 5)
 
 
 @dataclass(frozen=True)
@@ -37,11 +39,11 @@ class ChainSettings:
     folds: int = 4
     ridge: float = 0.1
     steps: int = 400
-    threshold: float = 0.5
+    threshold: float = 0.4
 
 
 def features(block: Block, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct feature numbers of every text (its words, and prefixes of longer ones) and their limits."""
+    """Distinct feature numbers of every text (its words, prefixes of longer ones, and how often each stands there) and their limits."""
     owner = np.repeat(np.arange(len(block.counts), dtype=np.uint64), block.counts)
     size = block.end - block.start
     keys = [block.hashes(LOWER)]
@@ -50,7 +52,12 @@ def features(block: Block, buckets: int) -> tuple[np.ndarray, np.ndarray]:
         keys.append(block.hashes(LOWER, n) + np.uint64(n))
         owners.append(owner[size > n])
     number = (np.concatenate(keys) >> np.uint64(20)) % np.uint64(buckets)
-    both = np.unique(np.concatenate(owners) * np.uint64(buckets) + number)
+    once, times = np.unique(np.concatenate(owners) * np.uint64(buckets) + number, return_counts=True)
+    found = [once]
+    for n in OFTEN:
+        more = once[times >= n]
+        found.append(more - more % np.uint64(buckets) + mix(more % np.uint64(buckets), n) % np.uint64(buckets))
+    both = np.unique(np.concatenate(found))
     return (both % np.uint64(buckets)).astype(np.int64), np.searchsorted(both, np.arange(len(block.counts) + 1, dtype=np.uint64) * np.uint64(buckets))
 
 

@@ -197,9 +197,10 @@ def merge_index(spark: SparkSession, runs: DataFrame, n_entries: int) -> DataFra
     names = [c.split()[0] for c in CAPTURE.split(", ")]
 
     def run(batches):
-        whole = pa.Table.from_batches(list(batches))
-        if not whole.num_rows:
+        parts = [b for b in batches if b.num_rows]
+        if not parts:
             return
+        whole = pa.Table.from_batches(parts)
         keys = list(zip(*[whole.column(c).to_pylist() for c in order]))
         # fetched map outputs stand one after another; each is in order, so a run ends where the order falls
         breaks = [0, *[i for i in range(1, len(keys)) if keys[i] < keys[i - 1]], len(keys)]
