@@ -19,7 +19,7 @@ EXACT = np.arange(1, 257, dtype=np.uint64)
 SYMBOL = np.zeros(256, bool)
 SYMBOL[list(b"#*$%&|<>")] = True
 #: A sentence end: its mark, then closing quotes or brackets, then white space or the line's end.
-SENTENCE_END = re.compile(r"""[.!?…。！？]["'”’»)\]]*(?:\s|$)""")
+SENTENCE_END = re.compile(r"""[.!?…。！？]["'”’»)\]]*(?:[\x20\x09-\x0D]|$)""")
 BOILERPLATE = re.compile(
     r"lorem ipsum|all rights reserved|terms of (?:use|service)|privacy policy|cookie policy|accept (?:all )?cookies|enable javascript"
     r"|sign up for our newsletter|click here to|skip to (?:main )?content",

@@ -30,7 +30,7 @@ def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_warc_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = warc.archive(spark, _t(spark, sf_dir, "pages"))
-    return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "url_key", "captured", "sound")
+    return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "sound")
 
 
 def op5_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -90,4 +90,51 @@ SELECT page_id, host, path,
 FROM p
 """
 
-SQL: dict[str, str] = {"op5_url_filter": _URL_SQL, "op7_mix_sources": mixing.SQL}
+_NEAR_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+s AS (SELECT DISTINCT doc_id, array_to_string(ws[i:i + 2], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 2, 1) + 1)) AS i FROM w WHERE len(ws) > 0) q),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY a.doc_id, b.doc_id),
+e AS MATERIALIZED (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * k >= 85 * (x.n + y.n - k)),
+reach(a, b) AS (SELECT a, b FROM e UNION SELECT reach.a, e.b FROM reach JOIN e ON reach.b = e.a),
+c AS (SELECT a, min(b) AS least_id FROM reach GROUP BY a)
+SELECT w.doc_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_shingles, least(w.doc_id, coalesce(c.least_id, w.doc_id)) AS component_id, w.doc_id <= coalesce(c.least_id, w.doc_id) AS kept
+FROM w LEFT JOIN n USING (doc_id) LEFT JOIN c ON c.a = w.doc_id
+"""
+
+_WARC_SQL = r"""
+WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS body FROM pages),
+d AS (SELECT page_id, octet_length(body) AS payload_bytes, sha1(body) AS hex, max(page_id) OVER (PARTITION BY body) AS latest FROM p)
+SELECT page_id, CAST(payload_bytes AS BIGINT) AS payload_bytes,
+  array_to_string(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', CAST(((CAST('0x' || substr(hex, CAST(i * 5 // 4 + 1 AS INT), 2) AS INT) >> CAST(3 - (i * 5) % 4 AS INT)) & 31) + 1 AS INT), 1)), '') AS payload_digest,
+  CASE WHEN page_id = latest THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id = latest THEN NULL ELSE latest END AS refers_to, true AS sound
+FROM d
+"""
+
+_QUALITY_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t FROM documents),
+w AS (SELECT r, i, ws[i] AS w FROM (SELECT r, ws, unnest(range(1, len(ws) + 1)) AS i FROM (SELECT r, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS ws FROM d) a) b),
+n AS (SELECT r, count(*) AS n_words, sum(length(w)) AS word_chars FROM w GROUP BY r),
+g AS (SELECT r, i, w || ' ' || lead(w, 1) OVER v || ' ' || lead(w, 2) OVER v || ' ' || lead(w, 3) OVER v || ' ' || lead(w, 4) OVER v AS g FROM w WINDOW v AS (PARTITION BY r ORDER BY i)),
+m AS (SELECT r, i FROM (SELECT r, i, count(*) OVER (PARTITION BY r, g) AS c FROM g WHERE g IS NOT NULL) q WHERE c > 1),
+rep AS (SELECT r, count(DISTINCT i + k) AS n_repeat_words FROM m CROSS JOIN range(0, 5) o(k) GROUP BY r),
+l AS (SELECT r, s, len(regexp_extract_all(s, '[^\x20\x09-\x0D]+')) AS n FROM (SELECT r, unnest(string_split(t, chr(10))) AS s FROM d) q),
+judged AS (SELECT r, s, n, NOT (
+    (n >= 3 AND (len(string_split(s, ' | ')) + len(string_split(s, ' » ')) + len(string_split(s, ' > ')) - 3) >= 0.25 * n)
+    OR (n <= 30 AND regexp_matches(s, 'lorem ipsum|all rights reserved|terms of (use|service)|privacy policy|cookie policy|accept (all )?cookies|enable javascript|sign up for our newsletter|click here to|skip to (main )?content', 'i'))
+    OR NOT regexp_matches(s, '[.!?…。！？]["''”’»)\]]*([\x20\x09-\x0D]|$)')) AS good FROM l WHERE n > 0),
+k AS (SELECT r, count(*) - count(DISTINCT s) AS n_dup_lines, sum(CASE WHEN good THEN n ELSE 0 END) AS words_kept FROM judged GROUP BY r),
+f AS (SELECT doc_id, CAST(coalesce(n_words, 0) AS BIGINT) AS n_words, CAST(coalesce(word_chars, 0) AS BIGINT) AS word_chars, CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,
+    CAST(coalesce(n_dup_lines, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(n_repeat_words, 0) AS BIGINT) AS n_repeat_words, CAST(coalesce(words_kept, 0) AS BIGINT) AS words_kept
+  FROM d LEFT JOIN n USING (r) LEFT JOIN rep USING (r) LEFT JOIN k USING (r)),
+b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM f)
+SELECT *, NOT base_failed AND words_kept >= 0.3 * n_words AS kept FROM b
+"""
+
+SQL: dict[str, str] = {
+    "op1_minhash_near_dedup": _NEAR_SQL,
+    "op4_warc_archive": _WARC_SQL,
+    "op5_url_filter": _URL_SQL,
+    "op6_line_quality": _QUALITY_SQL,
+    "op7_mix_sources": mixing.SQL,
+}
