@@ -53,20 +53,29 @@ def e2(z):
     return np.where(z > 0, np.exp(-z) - z * e1, 1.0)
 
 
-def sine_integral(x):
-    """Si of sorted or unsorted x >= 0: sinc summed over the gaps between the distinct values."""
-    x = np.asarray(x, float)
+def _by_gaps(f, x: np.ndarray) -> np.ndarray:
+    """Integral of a smooth, oscillating ``f`` from 0 to each x >= 0: summed over the gaps between the distinct values."""
     grid, back = np.unique(x, return_inverse=True)
-    edges = np.concatenate([[0.0], grid])
     nodes, weights = legendre(16)
-    total, out = 0.0, np.empty(len(grid))
+    edges = np.concatenate([[0.0], grid])
     width = np.diff(edges)
     parts = np.maximum(1, np.ceil(width / np.pi)).astype(int)
-    for i, (a, w, n) in enumerate(zip(edges[:-1], width, parts)):
-        mid = a + (np.arange(n)[:, None] + 0.5 + nodes / 2) * (w / n)
-        total += float((np.sinc(mid / np.pi) * weights).sum() * w / n / 2)
-        out[i] = total
-    return out[back].reshape(x.shape)
+    gap = np.repeat(np.arange(len(grid)), parts)
+    step = (width / parts)[gap]
+    number = np.arange(len(gap)) - np.repeat(np.cumsum(parts) - parts, parts)
+    mid = (edges[:-1][gap] + number * step)[:, None] + (nodes + 1) / 2 * step[:, None]
+    pieces = (f(mid) * weights).sum(1) * step / 2
+    return np.cumsum(np.bincount(gap, pieces, len(grid)))[back].reshape(x.shape)
+
+
+def sine_integral(x):
+    """Si(x), x >= 0."""
+    return _by_gaps(lambda s: np.sinc(s / np.pi), np.asarray(x, float))
+
+
+def bessel_growth(x):
+    """The integral of (1 - J0(s)) / s from 0 to x >= 0."""
+    return _by_gaps(lambda s: np.where(s > 1e-4, (1 - bessel_j0(s)) / np.where(s > 0, s, 1), s / 4), np.asarray(x, float))
 
 
 def bessel_k(order: int, x):
@@ -80,10 +89,23 @@ def bessel_k(order: int, x):
 
 
 def bessel_j0(x):
+    """Near the origin by the periodic trapezoidal rule on Bessel's integral, far out by Hankel's expansion."""
     x = np.asarray(x, float)
-    n = int(32 + 2 * np.max(x, initial=0.0))
-    theta = (np.arange(n) + 0.5) * np.pi / n
-    return np.cos(x[..., None] * np.sin(theta)).mean(-1)
+    out = np.empty_like(x)
+    near = x < 30
+    theta = (np.arange(60) + 0.5) * np.pi / 120
+    out[near] = np.cos(x[near][:, None] * np.sin(theta)).mean(-1)
+    y = x[~near]
+    p, q, term = np.ones_like(y), np.zeros_like(y), np.ones_like(y)
+    for k in range(1, 16):
+        term = term * -((2 * k - 1) ** 2) / (8 * k * y)
+        if k % 2:
+            q += term * (1 if k % 4 == 1 else -1)
+        else:
+            p += term * (1 if k % 4 == 0 else -1)
+    turn = y - np.pi / 4
+    out[~near] = np.sqrt(2 / (np.pi * y)) * (p * np.cos(turn) - q * np.sin(turn))
+    return out
 
 
 def bessel_i_scaled(most: int, x: np.ndarray) -> np.ndarray:

@@ -32,6 +32,8 @@ CELLS = "dst int, comp int, ix int, iy int, iz int, re double, im double"
 CELLS_ARROW = pa.schema([("dst", pa.int32()), ("comp", pa.int32()), ("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("re", pa.float64()), ("im", pa.float64())])
 #: Component number of a kernel that travels with the field.
 KERNEL = -1
+#: A kernel's finished spectrum, read from storage at the last forward switch.
+READY = -2
 
 Blocks = dict[int, np.ndarray]
 
@@ -44,7 +46,8 @@ class Workers:
     p: int = 4
     decomposition: str = "pencil"
     distribution: str = "strided"
-    kernel_plan: TransformPlan | None = None
+    #: Workers of a machine; if set, those of the same machine are served first (tried by the reference, without gain).
+    node_size: int = 0
     grid: tuple[int, int] = field(init=False)
 
     def __post_init__(self):
@@ -81,7 +84,8 @@ class Workers:
             found = [r * self.grid[1] + col for r in range(self.grid[0])]
         else:
             found = [row * self.grid[1] + c for c in range(self.grid[1])]
-        return sorted(found, key=lambda d: (d - worker - 1) % self.p)
+        near = lambda d: bool(self.node_size) and d // self.node_size != worker // self.node_size
+        return sorted(found, key=lambda d: (near(d), (d - worker - 1) % self.p))
 
     def local(self, step: int, to: int) -> bool:
         """Every worker would only send to itself."""
@@ -118,7 +122,7 @@ class Receiver:
         self.blocks: Blocks = {}
 
     def target(self, comp: int, is_complex: bool) -> tuple[np.ndarray, list[int]]:
-        ranges = self.w.ranges(self.worker, self.step, comp == KERNEL, self.done)
+        ranges = self.w.ranges(self.worker, self.step, comp == KERNEL, self.done or comp == READY)
         if comp not in self.blocks:
             self.blocks[comp] = np.zeros([b - a for a, b in ranges], complex if is_complex else float)
         elif is_complex and not np.iscomplexobj(self.blocks[comp]):
@@ -145,6 +149,12 @@ def tile_table(rows: Iterable[tuple]) -> pa.Table:
     return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(columns, TILE_ARROW)], schema=TILE_ARROW)
 
 
+def own_tiles(blocks: Blocks, w: Workers, worker: int) -> pa.Table:
+    """Spectral blocks of the last step as tiles for the same worker."""
+    origin = [a for a, _ in w.ranges(worker, 2, done=True)]
+    return tile_table([(worker, worker, 0, c, origin, list(b.shape), np.ascontiguousarray(b).tobytes(), None) for c, b in blocks.items()])
+
+
 def cell_columns(blocks: Blocks, w: Workers, worker: int, step: int) -> Iterator[tuple[int, list[np.ndarray], np.ndarray]]:
     for comp, block in blocks.items():
         origin = _origin(w, worker, step, comp)

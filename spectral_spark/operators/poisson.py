@@ -9,11 +9,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..plans.boundary import LineTransform
+from ..plans.boundary import omega as omega_column
 from ..plans.grid import GridSpec
 from ..plans.planner import TransformPlan, build
 from . import kernels
-from .exchange import KERNEL, Blocks, Workers, cell_columns, generate, onward, start, switch
+from .exchange import KERNEL, READY, TILE, Blocks, Workers, cell_columns, generate, own_tiles, onward, start, switch
 
 FIELD = "ix int, iy int, iz int, comp int, v double"
 FIELD_ARROW = pa.schema([("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("comp", pa.int32()), ("v", pa.float64())])
@@ -30,6 +30,7 @@ class Options:
     workers: int = 4
     distribution: str = "strided"
     batch: int = 1
+    node_size: int = 0
 
 
 def on_axis(fn, block: np.ndarray, axis: int) -> np.ndarray:
@@ -69,7 +70,8 @@ def forward_step(w: Workers, step: int, plans: dict[int, TransformPlan]):
     axis = w.plan.order[step]
 
     def work(blocks: Blocks, worker: int) -> Blocks:
-        return {c: on_axis(w.plan.lines[axis].kernel_forward if c == KERNEL else plans[c].lines[axis].forward, b, axis) for c, b in blocks.items()}
+        line = lambda c: w.plan.lines[axis].kernel_forward if c == KERNEL else plans[c].lines[axis].forward
+        return {c: b if c == READY else on_axis(line(c), b, axis) for c, b in blocks.items()}
 
     return work
 
@@ -113,10 +115,11 @@ def with_component(cells: DataFrame) -> DataFrame:
     return cells if "comp" in cells.columns else cells.withColumn("comp", F.lit(0))
 
 
-def sweep(cells: DataFrame, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | None = None, origin: str = "cell_mean") -> DataFrame:
+def sweep(cells: DataFrame, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | None = None, origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
     """The whole path: lines of the first, second and third axis, ``middle`` in mode space, and, if ``out_plans``, back.
 
-    A kernel with open axes is sampled by the workers and carried through the same switches as a component of its own.
+    A kernel with open axes is sampled by the workers and carried through the same switches as a component of its own, or its
+    ``stored`` spectrum joins the field at the last switch.
     """
     s, b = options.strategy, options.batch
     steps = [forward_step(w, k, plans) for k in range(3)]
@@ -124,15 +127,14 @@ def sweep(cells: DataFrame, w: Workers, plans: dict[int, TransformPlan], middle,
     first = _chain(steps[0], steps[1]) if fused else steps[0]
     to = 2 if fused else 1
     sent = start(with_component(cells), w, first, s, b, to)
-    if kernel is not None and w.plan.spec.open_axes:
-
-        def make(worker: int) -> Blocks:
-            g = {KERNEL: kernel_samples(w.plan, kernel, w.ranges(worker, 0, True), origin)}
-            return first(g, worker)
-
-        sent = sent.unionByName(generate(cells.sparkSession, w, make, s, b, to))
+    if kernel is not None and w.plan.spec.open_axes and stored is None:
+        sent = sent.unionByName(generate(cells.sparkSession, w, _kernel_maker(w, kernel, origin, first), s, b, to))
     if not fused:
         sent = onward(sent, w, 1, 2, steps[1], s, b)
+    if stored is not None:
+        if s == "unpacked_direct":
+            raise ValueError("a stored spectrum is kept in tiles; unpacked_direct sends cells")
+        sent = sent.unionByName(cells.sparkSession.read.schema(TILE).parquet(stored))
     if out_plans is None:
         return switch(sent, w, 2, _chain(steps[2], middle), _spectrum_rows(w), SPECTRUM, s)
     back = [backward_step(w, k, out_plans) for k in range(3)]
@@ -144,11 +146,41 @@ def sweep(cells: DataFrame, w: Workers, plans: dict[int, TransformPlan], middle,
     return switch(sent, w, 0, back[0], _field_rows(w), FIELD, s, True)
 
 
+def _kernel_maker(w: Workers, kernel: str, origin: str, first):
+    def make(worker: int) -> Blocks:
+        return first({KERNEL: kernel_samples(w.plan, kernel, w.ranges(worker, 0, True), origin)}, worker)
+
+    return make
+
+
+def store_spectrum(spark: SparkSession, spec: GridSpec, kernel: str, folder: str, options: Options = Options(), origin: str = "cell_mean") -> str:
+    """Write a kernel's spectrum once, as its owners' tiles, and return its path: solves of the same grid and options read it and
+    save the kernel's line passes and switches. The path names all that the tiles depend on; an existing one is used again."""
+    w = workers_of(spec, options)
+    path = f"{folder.rstrip('/')}/{spec.key()}-{kernel}-{origin}-{options.decomposition}-{options.workers}-{options.distribution}"
+    conf, p = spark.sparkContext._jsc.hadoopConfiguration(), spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+    if p.getFileSystem(conf).exists(p):
+        return path
+    steps = [forward_step(w, k, {}) for k in range(3)]
+    fused = w.local(0, 1)
+    first, to = (_chain(steps[0], steps[1]), 2) if fused else (steps[0], 1)
+    sent = generate(spark, w, _kernel_maker(w, kernel, origin, first), "packed_barrier", 1, to)
+    if not fused:
+        sent = onward(sent, w, 1, 2, steps[1], "packed_barrier", 1)
+
+    def keep(blocks: Blocks, worker: int):
+        yield from own_tiles({READY: blocks[KERNEL]}, w, worker).to_batches()
+
+    switch(sent, w, 2, steps[2], keep, TILE, "packed_barrier").write.mode("overwrite").parquet(path)
+    return path
+
+
 def multiply(w: Workers, kernel: str):
     """Product with the kernel's spectrum; the closed form where all axes are closed."""
 
     def work(blocks: Blocks, worker: int) -> Blocks:
         g = blocks.pop(KERNEL, None)
+        g = blocks.pop(READY, g)
         if g is None:
             if w.plan.spec.open_axes:
                 # no cell of this worker's share has a kernel: nothing was sent
@@ -160,10 +192,10 @@ def multiply(w: Workers, kernel: str):
 
 
 def workers_of(spec: GridSpec, options: Options) -> Workers:
-    return Workers(build(spec), options.workers, options.decomposition, options.distribution)
+    return Workers(build(spec), options.workers, options.decomposition, options.distribution, options.node_size)
 
 
-def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Options = Options(), origin: str = "cell_mean") -> DataFrame:
+def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
     """(ix, iy, iz, comp, v) of the solution of lap(u) = f for f in ``cells`` (ix, iy, iz, v[, comp]).
 
     Missing cells are zero; a table without rows has no solution rows. If every boundary is periodic or even the
@@ -171,7 +203,7 @@ def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Opt
     """
     w = workers_of(spec, options)
     plans = _Same(w.plan)
-    return sweep(cells, w, plans, multiply(w, kernel), plans, options, kernel, origin)
+    return sweep(cells, w, plans, multiply(w, kernel), plans, options, kernel, origin, stored)
 
 
 class _Same(dict):
@@ -218,15 +250,6 @@ def spectrum(spark: SparkSession, spec: GridSpec, kernel: str, options: Options
     return sweep(seed, w, _Same(plan), only_kernel, None, options, kernel, origin).select(*names, "re")
 
 
-def omega_column(line: LineTransform, slot):
-    """Frequency of a slot column, as an expression."""
-    name, kind = line.kind
-    k = slot.cast("double") + (0.5 if kind >= 3 else 0.0)
-    if name == "dft" and line.complex_in:
-        k = F.when(k > line.intervals // 2, k - line.intervals).otherwise(k)
-    return k * F.lit((2 if name == "dft" else 1) * np.pi / (line.axis.h * line.intervals))
-
-
 def closed_form(modes: DataFrame, spec: GridSpec, kernel: str) -> DataFrame:
     """``modes(kx, ky, kz)`` with the kernel ``re`` as a column expression: no table and no join (closed axes only)."""
     plan, h = build(spec), spec.h

@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame
 from ..plans.boundary import LineTransform
 from ..plans.grid import GridSpec
 from ..plans.planner import TransformPlan, build
-from .exchange import KERNEL, Blocks, Workers
+from .exchange import KERNEL, READY, Blocks, Workers
 from .poisson import Options, multiply, sweep
 
 DERIVATIVES = ("spectral", "fd2", "fd4", "fd6")
@@ -39,11 +39,11 @@ def out_specs(specs: list[GridSpec]) -> list[GridSpec]:
     return out
 
 
-def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", derivative: str = "spectral", options: Options = Options(), origin: str = "cell_mean") -> DataFrame:
+def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", derivative: str = "spectral", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
     """(ix, iy, iz, comp, v) of u for ``cells(ix, iy, iz, comp, v)``; ``specs``: the grid of each component of f."""
     plans = {c: build(s) for c, s in enumerate(specs)}
     outs: dict[int, TransformPlan] = {c: build(s) for c, s in enumerate(out_specs(specs))}
-    w = Workers(plans[0], options.workers, options.decomposition, options.distribution)
+    w = Workers(plans[0], options.workers, options.decomposition, options.distribution, options.node_size)
     orders = {p.order for p in [*plans.values(), *outs.values()]}
     if len(orders) > 1:
         raise ValueError("components must share the order of their axes")
@@ -51,7 +51,7 @@ def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", deriv
 
     def middle(blocks: Blocks, worker: int) -> Blocks:
         ranges = w.ranges(worker, 2, done=True)
-        g = blocks.pop(KERNEL, None)
+        g = {c: blocks.pop(c) for c in (KERNEL, READY) if c in blocks}
         out: Blocks = {}
         for c, terms in enumerate(CURL):
             for sign, axis, comp in terms:
@@ -62,8 +62,6 @@ def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", deriv
                 at[axis] = len(d)
                 term = sign * d.reshape(at) * blocks[comp]
                 out[c] = out[c] + term if c in out else term
-        if g is not None:
-            out[KERNEL] = g
-        return product(out, worker)
+        return product(out | g, worker)
 
-    return sweep(cells, w, plans, middle, outs, options, kernel, origin)
+    return sweep(cells, w, plans, middle, outs, options, kernel, origin, stored)

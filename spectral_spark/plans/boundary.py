@@ -185,6 +185,21 @@ def line_transform(axis: Axis, complex_in: bool = False) -> LineTransform:
     return LineTransform(axis, complex_in)
 
 
+def mode_index(axis: Axis, complex_in: bool = False) -> tuple[np.ndarray, int]:
+    """Mode number of each slot, and the slots: sine and cosine spectra of one pair share both."""
+    t = LineTransform(axis, complex_in)
+    return t.modes(), t.slots
+
+
+def omega(line: LineTransform, slot: Column) -> Column:
+    """Frequency of a slot column, as an expression."""
+    name, kind = line.kind
+    k = slot.cast("double") + (0.5 if kind >= 3 else 0.0)
+    if name == "dft" and line.complex_in:
+        k = F.when(k > line.intervals // 2, k - line.intervals).otherwise(k)
+    return k * F.lit((2 if name == "dft" else 1) * np.pi / (line.axis.h * line.intervals))
+
+
 def impose(column: Column, axis: Axis) -> Column:
     """A line column with the values that odd sides force to zero (node-centred lines only)."""
     if axis.layout != NODE:
@@ -220,4 +235,4 @@ def flip(axis: Axis) -> Axis:
     return axis.flipped()
 
 
-__all__ = ["LineTransform", "extend", "flip", "impose", "line_transform", "refill", "restrict", "transform_table", "SIDES", "PERIODIC"]
+__all__ = ["LineTransform", "extend", "flip", "impose", "line_transform", "mode_index", "omega", "refill", "restrict", "transform_table", "SIDES", "PERIODIC"]

@@ -109,7 +109,10 @@ def block_table_32(spark, sf_dir):
     return block_table(spark, Workers(build(cube()), 6), 0, 1)
 
 
-@query("switch_cost_32")
+@query(
+    "switch_cost_32",
+    "SELECT CAST(s AS INT) AS switch, strategy, CAST(blocks AS BIGINT) AS blocks, CAST(bytes AS BIGINT) AS bytes, CAST(largest AS BIGINT) AS largest_block, CAST(CASE WHEN by_cell THEN bytes // 8 ELSE blocks END AS BIGINT) AS rows, CAST(copies * bytes AS DOUBLE) AS copied_bytes FROM (VALUES (1, 12, 8 * 33 * 32 * 32, 8 * 17 * 16 * 11), (2, 18, 8 * 33 * 64 * 32, 8 * 17 * 22 * 11)) a(s, blocks, bytes, largest) CROSS JOIN (VALUES ('packed_barrier', 2, false), ('batched_async', 1, false), ('unpacked_direct', 1, true)) b(strategy, copies, by_cell)",
+)
 def switch_cost_32(spark, sf_dir):
     """Blocks, bytes, rows and copies of the two switches per strategy."""
     return metrics.switch_cost(spark, Workers(build(cube()), 6))
@@ -136,7 +139,7 @@ def message_counts(spark, sf_dir):
 @query("mode_frequencies", "SELECT 'even-even' AS bc, CAST(k AS INT) AS slot, round(pi() * k, 6) + 0.0 AS omega FROM (SELECT range AS k FROM range(0, 9)) a UNION ALL SELECT 'odd-even', CAST(k AS INT), round(pi() * (k + 0.5), 6) + 0.0 FROM (SELECT range AS k FROM range(0, 8)) b UNION ALL SELECT 'periodic-periodic', CAST(k AS INT), round(2 * pi() * k, 6) + 0.0 FROM (SELECT range AS k FROM range(0, 5)) c UNION ALL SELECT 'unbounded-unbounded', CAST(k AS INT), round(pi() * k, 6) + 0.0 FROM (SELECT range AS k FROM range(0, 9)) d UNION ALL SELECT 'even-unbounded', CAST(k AS INT), round(pi() * k / 2, 6) + 0.0 FROM (SELECT range AS k FROM range(0, 17)) e")
 def mode_frequencies(spark, sf_dir):
     """Slots and frequencies of an axis of eight nodes-apart intervals."""
-    from ..operators.poisson import omega_column
+    from ..plans.boundary import omega as omega_column
 
     out = None
     for left, right in (("even", "even"), ("odd", "even"), ("periodic", "periodic"), ("unbounded", "unbounded"), ("even", "unbounded")):

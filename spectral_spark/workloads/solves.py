@@ -75,11 +75,15 @@ _one_axis()
 @query("poisson1d_unbounded_events", f"WITH f AS (SELECT event_type, CAST(date_diff('hour', TIMESTAMP '2024-01-01', date_trunc('hour', ts)) // 12 AS BIGINT) AS j, sum(value) * 0.00123456789 AS v FROM events GROUP BY 1, 2), i AS (SELECT CAST(range AS BIGINT) AS i FROM range(0, 60)) SELECT event_type, CAST(i AS INT) AS j, round(sum(abs(i - j) / 60.0 / 2 * v) / 60, 6) + 0.0 AS v FROM f CROSS JOIN i GROUP BY event_type, i")
 def poisson1d_unbounded_events(spark, sf_dir):
     """The kernel |x| / 2 over half days, an event type a component."""
+    return _event_lines(spark, sf_dir, UNBOUNDED, UNBOUNDED)
+
+
+def _event_lines(spark: SparkSession, sf_dir: str, left: str, right: str) -> DataFrame:
     types = ["click", "error", "purchase", "signup", "view"]
     half = F.floor((F.unix_timestamp("ts") - F.unix_timestamp(F.lit("2024-01-01").cast("timestamp"))) / 43200).cast("int")
     comp = F.array_position(F.array(*map(F.lit, types)), F.col("event_type")).cast("int")
     e = table(spark, sf_dir, "events").groupBy(comp.alias("comp"), half.alias("ix")).agg((F.sum("value") * 0.00123456789).alias("v")).withColumn("iy", F.lit(0)).withColumn("iz", F.lit(0))
-    u = poisson.solve(e, GridSpec.of(Axis(60, UNBOUNDED, UNBOUNDED, CELL)), "singular", Options(workers=1))
+    u = poisson.solve(e, GridSpec.of(Axis(60, left, right, CELL)), "singular", Options(workers=1))
     return u.select(F.element_at(F.array(*map(F.lit, types)), F.col("comp")).alias("event_type"), F.col("ix").alias("j"), rounded("v").alias("v"))
 
 
@@ -89,6 +93,12 @@ def poisson1d_semi_orders(spark, sf_dir):
     return _line_result(poisson.solve(daily(spark, sf_dir), GridSpec.of(Axis(64, ODD, UNBOUNDED, CELL)), "singular", Options(workers=1)))
 
 
+@query("poisson1d_semi_events", f"WITH f AS (SELECT event_type, CAST(date_diff('hour', TIMESTAMP '2024-01-01', date_trunc('hour', ts)) // 12 AS BIGINT) AS j, sum(value) * 0.00123456789 AS v FROM events GROUP BY 1, 2), i AS (SELECT CAST(range AS BIGINT) AS i FROM range(0, 60)) SELECT event_type, CAST(i AS INT) AS j, round(sum((abs(i - j) + abs(i - (119 - j))) / 60.0 / 2 * v) / 60, 6) + 0.0 AS v FROM f CROSS JOIN i GROUP BY event_type, i")
+def poisson1d_semi_events(spark, sf_dir):
+    """Open on the left, even on the right: an image beyond the last half day."""
+    return _event_lines(spark, sf_dir, UNBOUNDED, EVEN)
+
+
 # three axes, open
 
 _A = (3 / (4 * math.pi)) ** (1 / 3) / N
@@ -326,20 +336,32 @@ def vortex_tube_errors(spark, sf_dir):
     return metrics.order(out, ["derivative"])
 
 
-@query("combination_sweep")
+def sweep_cases() -> list[tuple]:
+    """(case, boundaries, layout, kernel, strategy, decomposition): every pair on every axis, both layouts, all kernels and switches."""
+    from ..plans.grid import PAIRS
+
+    out = []
+    for case in range(20):
+        triple = [PAIRS[(case + s * (1 + a)) % 10] for a, s in enumerate((1, 3, 7))]
+        out.append((case, triple, (CELL, NODE)[case // 10], kernels.KERNELS[case % 8], *STRATEGY_CASES[case % 6]))
+    return out
+
+
+def _sweep_sql() -> str:
+    rows = ", ".join(f"({c}, '{' '.join('-'.join(p) for p in t)}', '{layout}', '{k}', '{s}', '{d}')" for c, t, layout, k, s, d in sweep_cases())
+    return f'SELECT CAST(c AS INT) AS "case", boundaries, layout, kernel, strategy, decomposition, 0.0 + round(0.0, 6) AS difference FROM (VALUES {rows}) v(c, boundaries, layout, kernel, strategy, decomposition)'
+
+
+@query("combination_sweep", _sweep_sql())
 def combination_sweep(spark, sf_dir):
-    """A covering selection of boundary triples, layouts, kernels and strategies, each solved by Spark and as one array: the largest difference of each."""
+    """Covering boundary triples, layouts, kernels and switches, each solved by Spark and as one array: the largest difference is zero."""
     from ..operators.baselines import monolithic_solve
-    from ..plans.grid import PAIRS
 
     out, rng = None, np.random.default_rng(1)
-    for case in range(10):
-        layout = (CELL, NODE)[case % 2]
-        triple = [PAIRS[(case + s * (1 + a)) % 10] for a, s in enumerate((1, 3, 7))]
+    for case, triple, layout, kernel, strategy, decomposition in sweep_cases():
         spec = GridSpec.of(*[Axis(4, *p, layout) for p in triple])
-        kernel, (strategy, decomposition) = kernels.KERNELS[case % 8], STRATEGY_CASES[case % 6]
         f = rng.normal(size=spec.shape)
-        # an 5^3 grid of the test itself
+        # the test's own grid of 64 or 125 points
         rows = [(*map(int, i), float(f[i]), float(w)) for i, w in np.ndenumerate(monolithic_solve(f, spec, kernel))]
         cells = spark.createDataFrame(rows, "ix int, iy int, iz int, v double, w double")
         u = poisson.solve(cells.drop("w"), spec, kernel, Options(strategy, decomposition, 4))

@@ -45,7 +45,22 @@ def op_sink_roundtrip_slab(spark, sf_dir):
     return cells_of(spark.read.parquet(path).where("slab = 1"))
 
 
-@query("op_source_grid")
+def _bump_sql(t: str) -> tuple[str, str]:
+    q = f"(1 - ({t}) * ({t}))"
+    b = f"CASE WHEN abs({t}) < 1 THEN exp(10 * (1 - 1 / {q})) ELSE 0.0 END"
+    d = f"CASE WHEN abs({t}) < 1 THEN 4 * exp(10 * (1 - 1 / {q})) * (10 * (-2 / pow({q}, 2) - 8 * pow({t}, 2) / pow({q}, 3)) + pow(20 * ({t}) / pow({q}, 2), 2)) ELSE 0.0 END"
+    return b, d
+
+
+def _grid_sql() -> str:
+    lines_ = []
+    for a, parts in (("x", ((1.4, "+"), (2.6, "+"))), ("y", ((1.0, "+"),)), ("z", ((0.6, "+"), (-0.6, "-")))):
+        b, d = ("".join(f" {s} ({_bump_sql(f'i / 4.0 - ({c})')[k]})" for c, s in parts) for k in (0, 1))
+        lines_.append(f"{a} AS (SELECT CAST(range AS INT) AS i, {b} AS b, {d} AS d FROM (SELECT CAST(range AS DOUBLE) AS i, range FROM range(0, 9)) r)")
+    return f"WITH {', '.join(lines_)} SELECT x.i AS ix, y.i AS iy, z.i AS iz, round(x.d * y.b * z.b + x.b * y.d * z.b + x.b * y.b * z.d, 6) + 0.0 AS v FROM x CROSS JOIN y CROSS JOIN z"
+
+
+@query("op_source_grid", _grid_sql())
 def op_source_grid(spark, sf_dir):
     spark.dataSource.register(GridSource)
     return cells_of(spark.read.format("grid").option("case", "semi").option("n", 8).load())

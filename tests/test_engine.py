@@ -339,3 +339,39 @@ def test_plans_prune_and_place(spark):
     u = poisson.solve(cells, GridSpec.of(*[Axis(8, layout=CELL)] * 3), "gauss4")
     # one for the cells of the table, one for the workers of each of five switches
     assert u._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") == 6
+
+
+def test_stored_spectrum(spark, tmp_path):
+    spec = analytic.case_grid("semi", 6)
+    _, f = analytic.scalar_arrays("semi", spec)
+    cells = analytic.scalar_field(spark, "semi", spec)
+    want = monolithic_solve(f, spec, "gauss6")
+    for decomposition in ("pencil", "slab"):
+        for strategy in ("packed_barrier", "batched_async"):
+            o = Options(strategy, decomposition, 6 if decomposition == "pencil" else 3)
+            path = poisson.store_spectrum(spark, spec, "gauss6", str(tmp_path), o)
+            assert poisson.store_spectrum(spark, spec, "gauss6", str(tmp_path), o) == path
+            assert np.array_equal(as_array(poisson.solve(cells, spec, "gauss6", o, stored=path), spec.shape)[0], want)
+    with pytest.raises(ValueError):
+        poisson.solve(cells, spec, "gauss6", Options("unpacked_direct"), stored=path)
+
+
+def test_truncated_plane_kernel_is_limited():
+    """With two open axes the broken-off sum limits the order; the quadrature does not."""
+    e = {}
+    for kernel in ("cutoff", kernels.TRUNCATED):
+        for n in (32, 64):
+            specs = analytic.tube_grids(n, 1)
+            f, u = analytic.tube_arrays(specs[0])
+            e[kernel, n] = np.abs(monolithic_curl_solve(f, specs, kernel) - u).max()
+    assert e["cutoff", 64] < 1e-13 and e[kernels.TRUNCATED, 64] > 1e-5
+    assert 0.5 < np.log2(e[kernels.TRUNCATED, 32] / e[kernels.TRUNCATED, 64]) < 2.5
+
+
+def test_node_first_order_changes_no_result(spark):
+    spec = analytic.case_grid("spectral", 6)
+    w = Workers(build(spec), 6, node_size=2)
+    assert w.peers(0, 1, 2)[:2] == [1, 0] and sorted(w.peers(0, 1, 2)) == [0, 1, 2]
+    cells = analytic.scalar_field(spark, "spectral", spec)
+    a, b = (as_array(poisson.solve(cells, spec, "gauss4", Options(workers=6, node_size=n)), spec.shape) for n in (0, 2))
+    assert np.array_equal(a, b)
