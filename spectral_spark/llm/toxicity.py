@@ -161,7 +161,8 @@ def _rows_of(index: np.ndarray, limits: np.ndarray, rows: np.ndarray) -> tuple[n
 def labelled_features(docs: DataFrame, labels: DataFrame, categories: dict[str, str], s: ChainSettings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Features and labels of at most ``s.sample`` labelled documents, the first by a hash of their ids."""
     want = labels.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.expr(x).cast("double").alias(c) for c, x in categories.items()]).dropna()
-    want = want.dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.sample)
+    # rows that repeat an id count once, by their largest labels
+    want = want.groupBy("doc_id").agg(*[F.max(c).alias(c) for c in categories]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.sample)
     names = list(categories)
 
     def run(batches):
@@ -174,7 +175,7 @@ def labelled_features(docs: DataFrame, labels: DataFrame, categories: dict[str,
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     # at most s.sample rows of a few numbers each
     rows = own.join(F.broadcast(want), "doc_id").mapInArrow(run, f"doc_id long, {', '.join(f'{c} double' for c in names)}, sets binary")
-    got = {r.doc_id: r for r in rows.collect()}
+    got = {r.doc_id: r for r in sorted(rows.collect(), key=lambda r: bytes(r.sets))}
     ordered = [got[k] for k in sorted(got)]
     sets = [np.frombuffer(r.sets, np.int32).astype(np.int64) for r in ordered]
     limits = np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int64)
