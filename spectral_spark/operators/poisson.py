@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..plans.boundary import omega as omega_column
 from ..plans.grid import GridSpec
-from ..plans.planner import TransformPlan, build
+from ..plans.planner import TransformPlan, auto_decomposition, auto_workers, build
 from . import kernels
 from .exchange import KERNEL, READY, TILE, Blocks, Workers, cell_columns, generate, own_tiles, onward, start, switch
 
@@ -23,7 +23,12 @@ SPECTRUM_ARROW = pa.schema([("kx", pa.int32()), ("ky", pa.int32()), ("kz", pa.in
 
 @dataclass(frozen=True)
 class Options:
-    """How a solve runs; none of these changes its result."""
+    """How a solve runs; none of these changes its result.
+
+    A worker's block is one task's: with ``workers`` 0 there are as many as keep it within 256 MB, and ``decomposition`` "auto"
+    takes slabs while there are planes for all workers, else pencils. ``batch``: tiles per message of the asynchronous switch; how many
+    are fetched at a time is Spark's ``spark.reducer.maxReqsInFlight``, fixed when a session starts.
+    """
 
     strategy: str = "packed_barrier"
     decomposition: str = "pencil"
@@ -157,7 +162,7 @@ def store_spectrum(spark: SparkSession, spec: GridSpec, kernel: str, folder: str
     """Write a kernel's spectrum once, as its owners' tiles, and return its path: solves of the same grid and options read it and
     save the kernel's line passes and switches. The path names all that the tiles depend on; an existing one is used again."""
     w = workers_of(spec, options)
-    path = f"{folder.rstrip('/')}/{spec.key()}-{kernel}-{origin}-{options.decomposition}-{options.workers}-{options.distribution}"
+    path = f"{folder.rstrip('/')}/{spec.key()}-{kernel}-{origin}-{w.decomposition}-{w.p}-{w.distribution}"
     conf, p = spark.sparkContext._jsc.hadoopConfiguration(), spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
     if p.getFileSystem(conf).exists(p):
         return path
@@ -192,7 +197,9 @@ def multiply(w: Workers, kernel: str):
 
 
 def workers_of(spec: GridSpec, options: Options) -> Workers:
-    return Workers(build(spec), options.workers, options.decomposition, options.distribution, options.node_size)
+    p = options.workers or auto_workers(spec)
+    kind = auto_decomposition(spec, p) if options.decomposition == "auto" else options.decomposition
+    return Workers(build(spec), p, kind, options.distribution, options.node_size)
 
 
 def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:

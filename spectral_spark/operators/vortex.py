@@ -7,8 +7,8 @@ from pyspark.sql import DataFrame
 from ..plans.boundary import LineTransform
 from ..plans.grid import GridSpec
 from ..plans.planner import TransformPlan, build
-from .exchange import KERNEL, READY, Blocks, Workers
-from .poisson import Options, multiply, sweep
+from .exchange import KERNEL, READY, Blocks
+from .poisson import Options, multiply, sweep, workers_of
 
 DERIVATIVES = ("spectral", "fd2", "fd4", "fd6")
 #: curl: for each output component two (sign, derivative axis, input component).
@@ -43,7 +43,7 @@ def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", deriv
     """(ix, iy, iz, comp, v) of u for ``cells(ix, iy, iz, comp, v)``; ``specs``: the grid of each component of f."""
     plans = {c: build(s) for c, s in enumerate(specs)}
     outs: dict[int, TransformPlan] = {c: build(s) for c, s in enumerate(out_specs(specs))}
-    w = Workers(plans[0], options.workers, options.decomposition, options.distribution, options.node_size)
+    w = workers_of(specs[0], options)
     orders = {p.order for p in [*plans.values(), *outs.values()]}
     if len(orders) > 1:
         raise ValueError("components must share the order of their axes")

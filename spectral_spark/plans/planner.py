@@ -78,6 +78,24 @@ def worker_grid(p: int, decomposition: str = "pencil") -> tuple[int, int]:
     return a, p // a
 
 
+def padded_volume(spec: GridSpec) -> int:
+    """Values of the largest array of a solve: the spectrum with every open axis doubled."""
+    plan = build(spec)
+    return int(np.prod([float(plan.lines[a].slots) for a in range(3)]))
+
+
+def auto_workers(spec: GridSpec, block_bytes: int = 256 << 20) -> int:
+    """The fewest workers whose complex block of the padded field stays within ``block_bytes``."""
+    return max(1, -(-16 * padded_volume(spec) // block_bytes))
+
+
+def auto_decomposition(spec: GridSpec, p: int) -> str:
+    """Slabs save one exchange while there are planes for all workers; beyond that pencils."""
+    plan = build(spec)
+    planes = min(spec.axes[plan.order[2]].points, plan.lines[plan.order[1]].slots)
+    return "slab" if p <= planes else "pencil"
+
+
 def message_model(n: int, p: int, decomposition: str) -> dict[str, float]:
     """Exchanges, peers of each, and values a worker sends in all."""
     if decomposition == "slab":

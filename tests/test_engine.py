@@ -375,3 +375,16 @@ def test_node_first_order_changes_no_result(spark):
     cells = analytic.scalar_field(spark, "spectral", spec)
     a, b = (as_array(poisson.solve(cells, spec, "gauss4", Options(workers=6, node_size=n)), spec.shape) for n in (0, 2))
     assert np.array_equal(a, b)
+
+
+def test_automatic_choices(spark):
+    from spectral_spark.plans.planner import auto_decomposition, auto_workers
+
+    big = GridSpec.of(*[Axis(2048, UNBOUNDED, UNBOUNDED)] * 3)
+    # the first axis has half a spectrum, 2049 slots, the others 4096
+    assert auto_workers(big) == -(-16 * 2049 * 4096 * 4096 // (256 << 20)) and auto_decomposition(big, auto_workers(big)) == "slab"
+    assert auto_decomposition(big, 5000) == "pencil"
+    spec = analytic.case_grid("unbounded", 6)
+    _, f = analytic.scalar_arrays("unbounded", spec)
+    got = as_array(poisson.solve(analytic.scalar_field(spark, "unbounded", spec), spec, "gauss4", Options(decomposition="auto", workers=0)), spec.shape)[0]
+    assert np.array_equal(got, monolithic_solve(f, spec, "gauss4"))
