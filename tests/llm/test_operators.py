@@ -342,3 +342,17 @@ def test_pipeline_stages(spark):
     assert ids(after) == Counter({i: n for i, n in rate.items() if n})
     before, after = seen["packing"]
     assert ids(after.where("piece = 0")) == ids(before)
+
+
+def test_cuts_agree_with_the_tokenizers_on_noise():
+    """Any mix of characters: ids and counts of the parts are those of the whole text."""
+    r = random.Random(21)
+    low = [chr(c) for c in range(256)]
+    high = [*"ΣσςİıǅﬀÅ①Ⅷ٣中é́̈ 　​­🙂👩‍🚀", "'s", "'RE", "<|endoftext|>", "<|startoftext|>", "  ", "\n\n"]
+    ids = packing.WordIds(tokens.vocabulary("word_bpe_49k.json"))
+    counts = tokens.PieceCounts(tokens.vocabulary("byte_bpe_50k.json"))
+    for alphabet in (low, [*low, *high], [*"abc XYZ'.,19", *high]):
+        texts = ["".join(r.choice(alphabet) for _ in range(r.randint(0, 60))) for _ in range(1500)]
+        for text, got, n in zip(texts, ids.encode(texts, 1), counts.count(texts)):
+            assert got.tolist() == [*ids.tokenizer.encode(text, add_special_tokens=False).ids, 1], repr(text)
+            assert n == len(counts.tokenizer.encode(text, add_special_tokens=False).ids), repr(text)
