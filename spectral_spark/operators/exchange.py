@@ -140,8 +140,11 @@ class Receiver:
         for c in np.unique(comp):
             mask = comp == c
             block, origin = self.target(int(c), im is not None)
-            value = re[mask] + (1j * im[mask] if im is not None else 0)
-            np.add.at(block, tuple(x[mask] - b for x, b in zip(at, origin)), value)
+            flat = np.ravel_multi_index(tuple(x[mask] - b for x, b in zip(at, origin)), block.shape)
+            # cells that are given twice add up
+            block.real += np.bincount(flat, re[mask], block.size).reshape(block.shape)
+            if im is not None:
+                block.imag += np.bincount(flat, im[mask], block.size).reshape(block.shape)
 
 
 def tile_table(rows: Iterable[tuple]) -> pa.Table:
