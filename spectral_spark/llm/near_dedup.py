@@ -262,9 +262,11 @@ def links_across(apart: DataFrame, nodes: DataFrame, texts: DataFrame, p: MinHas
                     found.append((int(ids[i]), int(ids[other[j]])))
         return pa.table({"a": pa.array([f[0] for f in found], pa.int64()), "b": pa.array([f[1] for f in found], pa.int64())})
 
-    kept = dealt.join(signs, "id").groupBy("bucket", "x", "y").applyInArrow(partnered, "id long, bucket long, x int, y int, mine int, comp long")
+    # blocks are few bytes and much work: their number of tasks must not follow their bytes
+    keys, tasks = ["bucket", "x", "y"], int(apart.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    kept = dealt.join(signs, "id").repartition(tasks, *keys).groupBy(*keys).applyInArrow(partnered, "id long, bucket long, x int, y int, mine int, comp long")
     full = kept.join(signs, "id").join(texts, "id")
-    return full.groupBy("bucket", "x", "y").applyInArrow(confirm_block, "a long, b long")
+    return full.repartition(tasks, *keys).groupBy(*keys).applyInArrow(confirm_block, "a long, b long")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()) -> DataFrame:
@@ -289,7 +291,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
     first = table(spark, components(spark, links), "first")
     more = table(spark, links_across(_apart(members.select("bucket", "id"), first), nodes, texts, p), "across")
     final = table(spark, components(spark, links.unionByName(more)), "components")
-    same = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id"))
+    # a table, so that the join below has an exchange on both sides and a large class of copies can be divided
+    same = table(spark, some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id")), "classes")
     out = signed.join(same, ["d1", "d2"], "left").join(final, "id", "left")
     drop(spark, members, near, first)
     component = F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.coalesce("component", "id"))
