@@ -211,8 +211,10 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragra
     links = table(spark, equal.unionByName(near).distinct(), "links")
     drop(spark, sets)
     comp = components(spark, links)
-    places = seen.select("doc_id", "first", "size", window_id().alias("id")).distinct().join(comp, "id")
+    places = table(spark, seen.select("doc_id", "first", "size", window_id().alias("id")).distinct().join(comp, "id"), "places")
     firsts = places.groupBy("component").agg(F.min(place).alias("home"), F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo <> hi")
+    # a table, so that the join below has an exchange on both sides and a passage of very many places can be divided
+    firsts = table(spark, firsts, "firsts")
     later = places.join(firsts, "component").where("doc_id <> home.doc_id").select("doc_id", "first", "size", F.col("home.doc_id").alias("home"))
     spans = later.groupBy("doc_id").agg(F.collect_list(F.struct("first", "size", "home")).alias("parts"))
 
