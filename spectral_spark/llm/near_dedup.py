@@ -157,12 +157,16 @@ def survivors(pairs: DataFrame, nodes: DataFrame, p: MinHash) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
+def texts_of(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """(id, text) of the ends of pairs."""
+    return texts.join(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "id", "left_semi")
+
+
 def confirm(pairs: DataFrame, texts: DataFrame, p: MinHash) -> DataFrame:
-    """The pairs whose full shingle sets reach the threshold; ``texts(id, text)`` are whole texts."""
-    ends = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    some = texts.join(ends, "id", "left_semi")
-    one = some.select(F.col("id").alias("a"), F.col("text").alias("ta"))
-    two = some.select(F.col("id").alias("b"), F.col("text").alias("tb"))
+    """The pairs whose full shingle sets reach the threshold; ``texts(id, text)``, whole texts, should be a stored table: then the
+    joins have an exchange on both sides, and the pairs of a hub can be divided."""
+    one = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
+    two = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))
 
     def run(batches):
         for batch in batches:
@@ -287,7 +291,9 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text")).where("id is not null")
     texts = texts.join(nodes.select("id"), "id", "left_semi")
     near = table(spark, survivors(pairs, nodes, p), "near")
-    links = table(spark, confirm(near, texts, p), "confirmed")
+    ends = table(spark, texts_of(near, texts), "texts")
+    links = table(spark, confirm(near, ends, p), "confirmed")
+    drop(spark, ends)
     first = table(spark, components(spark, links), "first")
     more = table(spark, links_across(_apart(members.select("bucket", "id"), first), nodes, texts, p), "across")
     final = table(spark, components(spark, links.unionByName(more)), "components")
