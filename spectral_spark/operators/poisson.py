@@ -13,7 +13,7 @@ from ..plans.boundary import omega as omega_column
 from ..plans.grid import GridSpec
 from ..plans.planner import TransformPlan, auto_decomposition, auto_workers, build
 from . import kernels
-from .exchange import KERNEL, READY, TILE, Blocks, Workers, cell_columns, generate, own_tiles, onward, start, switch
+from .exchange import KERNEL, READY, TILE, Blocks, Workers, cell_columns, generate, own_tiles, onward, start, switch, tile_table
 
 FIELD = "ix int, iy int, iz int, comp int, v double"
 FIELD_ARROW = pa.schema([("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("comp", pa.int32()), ("v", pa.float64())])
@@ -120,35 +120,50 @@ def with_component(cells: DataFrame) -> DataFrame:
     return cells if "comp" in cells.columns else cells.withColumn("comp", F.lit(0))
 
 
-def sweep(cells: DataFrame, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | None = None, origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
+def _field_tiles(w: Workers):
+    def finish(blocks: Blocks, worker: int):
+        origin = [a for a, _ in w.ranges(worker, 0)]
+        rows = [(worker, worker, 0, c, origin, list(b.shape), np.ascontiguousarray(b.real).tobytes(), None) for c, b in blocks.items()]
+        yield from tile_table(rows).to_batches()
+
+    return finish
+
+
+def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | None = None, origin: str = "cell_mean", stored: str | None = None, make=None, spark: SparkSession | None = None) -> DataFrame:
     """The whole path: lines of the first, second and third axis, ``middle`` in mode space, and, if ``out_plans``, back.
 
     A kernel with open axes is sampled by the workers and carried through the same switches as a component of its own, or its
-    ``stored`` spectrum joins the field at the last switch.
+    ``stored`` spectrum joins the field at the last switch. Instead of ``cells``, ``make(ranges)`` can give each worker its block
+    of the first axis' lines; the result is then tiles of the same owners, and two switches are made each way.
     """
+    spark = spark or cells.sparkSession
     s, b = options.strategy, options.batch
     steps = [forward_step(w, k, plans) for k in range(3)]
     fused = w.local(0, 1)  # slabs: the first two axes are transformed where they are
     first = _chain(steps[0], steps[1]) if fused else steps[0]
     to = 2 if fused else 1
-    sent = start(with_component(cells), w, first, s, b, to)
+    if make is None:
+        sent = start(with_component(cells), w, first, s, b, to)
+    else:
+        sent = generate(spark, w, lambda worker: first({0: make(w.ranges(worker, 0))}, worker), s, b, to)
+    finish, schema = (_field_rows(w), FIELD) if make is None else (_field_tiles(w), TILE)
     if kernel is not None and w.plan.spec.open_axes and stored is None:
-        sent = sent.unionByName(generate(cells.sparkSession, w, _kernel_maker(w, kernel, origin, first), s, b, to))
+        sent = sent.unionByName(generate(spark, w, _kernel_maker(w, kernel, origin, first), s, b, to))
     if not fused:
         sent = onward(sent, w, 1, 2, steps[1], s, b)
     if stored is not None:
         if s == "unpacked_direct":
             raise ValueError("a stored spectrum is kept in tiles; unpacked_direct sends cells")
-        sent = sent.unionByName(cells.sparkSession.read.schema(TILE).parquet(stored))
+        sent = sent.unionByName(spark.read.schema(TILE).parquet(stored))
     if out_plans is None:
         return switch(sent, w, 2, _chain(steps[2], middle), _spectrum_rows(w), SPECTRUM, s)
     back = [backward_step(w, k, out_plans) for k in range(3)]
     if fused:
         sent = onward(sent, w, 2, 1, _chain(steps[2], middle, back[2]), s, b)
-        return switch(sent, w, 1, _chain(back[1], back[0]), _field_rows(w), FIELD, s, True)
+        return switch(sent, w, 1, _chain(back[1], back[0]), finish, schema, s, True)
     sent = onward(sent, w, 2, 1, _chain(steps[2], middle, back[2]), s, b)
     sent = onward(sent, w, 1, 0, back[1], s, b, True)
-    return switch(sent, w, 0, back[0], _field_rows(w), FIELD, s, True)
+    return switch(sent, w, 0, back[0], finish, schema, s, True)
 
 
 def _kernel_maker(w: Workers, kernel: str, origin: str, first):
@@ -213,6 +228,18 @@ def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Opt
     return sweep(cells, w, plans, multiply(w, kernel), plans, options, kernel, origin, stored)
 
 
+def solve_aligned(spark: SparkSession, spec: GridSpec, make, kernel: str | None = "gauss4", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
+    """A solve of data that already lies along the first axis: ``make(ranges)`` returns the right-hand side on a box of points.
+
+    The result is a tile per worker (offset, shape, float64 bytes) in the same layout, so no value is ever a row of its own. Without a
+    kernel it is the forward and backward transform alone.
+    """
+    w = workers_of(spec, options)
+    same = _Same(w.plan)
+    middle = multiply(w, kernel) if kernel else lambda blocks, worker: blocks
+    return sweep(None, w, same, middle, same, options, kernel, origin, stored, make, spark)
+
+
 class _Same(dict):
     """One plan for every component."""
 
