@@ -1,15 +1,17 @@
-"""Substring deduplication over paragraphs: MinHash banding, exact Jaccard, removal clusters by components.
-
-Passages are repeated inside lines as well as between them, so a paragraph here is a window of whole segments cut by content
-alone: a segment ends with a sentence, a line or, in text without either, at a word chosen by its hash; a window starts at
-segments whose first words hash below those of the next segment, and runs to the first segment end at or after ``least_words`` words. A
-passage then yields the same windows wherever it stands.
-
-Windows are banded for high recall (``bands`` x ``rows`` minima): equal windows always collide, of two at the threshold 87 % do, and
-a passage of three windows is then missed in 2 cases of 1000. Only band keys are shuffled; the windows of colliding keys
-alone are cut out again. Equal sets are linked to the first of them, and each set of a key is compared with the key's first
-by the exact Jaccard similarity of their shingles. Windows of one component are one passage: its first place in the corpus stays, the words of all
-others are removed where a run of at least ``least_run`` words repeats.
+"""Substring deduplication: passages that repeat across documents, found by content-chosen seeds and cut to their borders.
+
+Passages are repeated inside lines as well as between them, so they are sought at words, not at lines. Of every ``span`` successive
+windows of ``size`` words the one whose first words hash least is a seed (all of them on a tie). The choice depends on the words of the
+span alone: a run of ``size + span - 1`` = 25 words holds a seed wherever it stands, and the same one. A passage of 50 words or
+more whose copy is similar at 80 % (Jaccard, shingles of five words) always keeps such a run.
+
+A seed's key is the hash of all its words, so the places of a key are equal and need no comparison with each other. A place whose key
+stands in an earlier document repeats it. Where a chain of repeating seeds begins or ends, the windows at every word of the next
+``span - 1`` are looked up in the same way, at each place of the outermost seed: a run of 25 or more words that an earlier
+document has is thereby found to its first and last word. Repeats shorter than that are found if they hold a seed.
+
+Runs of at least ``least_run`` words are removed. Two runs with the same home are removed with the words between them where the changed
+words leave the whole similar by edit distance (``percent``). Each passage stays in the first document that has it.
 """
 
 from __future__ import annotations
@@ -18,74 +20,78 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .components import components
-from .near_dedup import band_keys, signature
 from .store import drop, table
-from .words import LOWER, Block, distinct, mix, text_blocks
+from .words import LOWER, Block, mix, powers, text_blocks
 
 
 @dataclass(frozen=True)
 class Paragraphs:
-    least_words: int = 18
-    most_words: int = 60
+    size: int = 16
+    span: int = 10
     words: int = 5
     percent: int = 80
-    bands: int = 2
-    rows: int = 2
-    #: Windows of fewer distinct shingles (a phrase said over and over) name no passage.
-    least_distinct: int = 10
     least_run: int = 18
 
+    def __post_init__(self):
+        # a span that begins in a text must not reach the next text's windows
+        assert self.span <= self.size and self.words <= self.size
 
-SENTENCE_END = np.zeros(256, bool)
-SENTENCE_END[list(b".!?")] = True
 
+SEEDS = "key long, doc_id long, first int, again boolean"
+MOST = np.uint64(0xFFFFFFFFFFFFFFFF)
 
-def windows(block: Block, word: np.ndarray, p: Paragraphs) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(text, first word, words) of every paragraph window; word numbers count from the text's first."""
-    n, count = len(word), block.counts
-    if not n:
-        none = np.zeros(0, np.int64)
-        return none, none, none
-    owner = np.repeat(np.arange(len(count)), count)
-    last = np.zeros(n, bool)
-    last[block.first[1:][count > 0] - 1] = True
-    # a line end between two words
-    lines = np.concatenate([[0], np.cumsum(block.data == 0x0A)])
-    line_end = np.zeros(n, bool)
-    line_end[:-1] = lines[block.start[1:]] > lines[block.end[:-1]]
-    ends = last | line_end | SENTENCE_END[block.data[block.end - 1]] | (word % np.uint64(16) == 0)
-    segment_end = np.flatnonzero(ends)
-    starts = np.concatenate([[0], segment_end[:-1] + 1])
-    follow = mix(word[starts] + mix(word[np.minimum(starts + 1, n - 1)]), 9)
-    starts = starts[follow < np.append(follow[1:], np.uint64(0xFFFFFFFFFFFFFFFF))]
-    # the first segment end that leaves enough words, within the text
-    end = segment_end[np.minimum(np.searchsorted(segment_end, starts + p.least_words - 1), len(segment_end) - 1)]
-    text = owner[starts]
-    good = (owner[end] == text) & (end - starts + 1 >= p.least_words) & (end - starts + 1 <= p.most_words)
-    starts, end, text = starts[good], end[good], text[good]
-    return text, starts - block.first[text], end - starts + 1
-
-
-def window_sets(block: Block, word: np.ndarray, text: np.ndarray, first: np.ndarray, size: np.ndarray, p: Paragraphs) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct shingles of windows, sorted, and their limits."""
-    n = len(word)
-    rolled = np.zeros(max(n - p.words + 1, 0), np.uint64)
-    for k in range(p.words):
-        rolled = rolled * np.uint64(0xD6E8FEB86659FD93) + word[k : n - p.words + 1 + k]
-    rolled = mix(rolled)
-    made = np.maximum(size - p.words + 1, 0)
-    limits = np.concatenate([[0], np.cumsum(made)])
-    owner = np.repeat(np.arange(len(size)), made)
-    place = (block.first[text] + first)[owner] + np.arange(limits[-1]) - limits[owner]
-    return rolled[place], limits
+
+def window_keys(word: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
+    """Hash of the ``size`` words from each place."""
+    up, down = powers(len(word) + 1)
+    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(word * up[: len(word)])])
+    return mix((total[at + size] - total[at]) * down[at], 5).view(np.int64)
 
 
-def band_rows(docs: DataFrame, p: Paragraphs) -> DataFrame:
-    """(key, doc_id) of every band of every window."""
+def seeds(block: Block, word: np.ndarray, p: Paragraphs) -> tuple[np.ndarray, np.ndarray]:
+    """(text, place in ``word``) of every seed."""
+    n, count = len(word), block.counts
+    made = np.maximum(count - p.size + 1, 0)
+    if not made.any():
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    order = np.zeros(n, np.uint64)
+    for k in range(p.words):
+        order[: n - k] = order[: n - k] * np.uint64(0xD6E8FEB86659FD93) + word[k:]
+    order = np.maximum(mix(order, 9), np.uint64(1))
+    text = np.repeat(np.arange(len(count)), count)
+    place = np.arange(n) - block.first[text]
+    order[place >= made[text]] = MOST
+    least = order.copy()
+    for k in range(1, p.span):
+        np.minimum(least[: n - k], order[k:], out=least[: n - k])
+    # only spans that lie in the text's windows, or all of these where they are fewer
+    least[place >= np.maximum(made - p.span + 1, np.minimum(made, 1))[text]] = 0
+    chosen = least.copy()
+    for k in range(1, p.span):
+        np.maximum(chosen[k:], least[: n - k], out=chosen[k:])
+    at = np.flatnonzero((chosen == order) & (place < made[text]))
+    return text[at], at
+
+
+def _again(text: np.ndarray, key: np.ndarray) -> np.ndarray:
+    """Whether a text has the key at an earlier place (places ascend)."""
+    sort = np.lexsort((key, text))
+    out = np.zeros(len(key), bool)
+    out[sort[1:]] = (key[sort][1:] == key[sort][:-1]) & (text[sort][1:] == text[sort][:-1])
+    return out
+
+
+def _rows(ids: np.ndarray, block: Block, word: np.ndarray, text: np.ndarray, at: np.ndarray, p: Paragraphs) -> pa.RecordBatch:
+    key = window_keys(word, at, p.size)
+    first = (at - block.first[text]).astype(np.int32)
+    return pa.RecordBatch.from_arrays([pa.array(x) for x in (key, ids[text], first, _again(text, key))], ["key", "doc_id", "first", "again"])
+
+
+def seed_rows(docs: DataFrame, p: Paragraphs) -> DataFrame:
+    """Every seed of every text: key, doc_id, first word, whether the text has the key before."""
 
     def run(batches):
         for batch in batches:
@@ -93,145 +99,102 @@ def band_rows(docs: DataFrame, p: Paragraphs) -> DataFrame:
             for i, j, data, at in text_blocks(batch.column("text")):
                 block = Block(data, at)
                 word = block.hashes(LOWER)
-                text, first, size = windows(block, word, p)
-                if not len(text):
-                    continue
-                sets, limits = window_sets(block, word, text, first, size, p)
-                many = _distinct_counts(sets, limits) >= p.least_distinct
-                sig = signature(sets, limits, p.bands * p.rows)[many]
-                keys = band_keys(sig, p.bands, p.rows)
-                doc = ids[i:j][text[many]]
-                # a key once per document
-                pair = np.unique(np.column_stack([np.repeat(doc, p.bands), keys.ravel()]), axis=0) if len(keys) else np.zeros((0, 2), np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(pair[:, 1]), pa.array(pair[:, 0])], ["key", "doc_id"])
-
-    return docs.mapInArrow(run, "key long, doc_id long")
-
-
-def _distinct_counts(sets: np.ndarray, limits: np.ndarray) -> np.ndarray:
-    owner = np.repeat(np.arange(len(limits) - 1), np.diff(limits))
-    order = np.lexsort((sets, owner))
-    s, o = sets[order], owner[order]
-    new = np.ones(len(s), bool)
-    new[1:] = (s[1:] != s[:-1]) | (o[1:] != o[:-1])
-    return np.bincount(o[new], minlength=len(limits) - 1)
+                yield _rows(ids[i:j], block, word, *seeds(block, word, p), p)
 
+    return docs.mapInArrow(run, SEEDS)
 
-def _digests(sets: np.ndarray, limits: np.ndarray) -> np.ndarray:
-    """A hash of each window's set, whatever the order and repeats of its shingles."""
-    owner = np.repeat(np.arange(len(limits) - 1), np.diff(limits))
-    order = np.lexsort((sets, owner))
-    s, o = sets[order], owner[order]
-    new = np.ones(len(s), bool)
-    new[1:] = (s[1:] != s[:-1]) | (o[1:] != o[:-1])
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(np.where(new, mix(s, 31), np.uint64(0)))])
-    return (total[limits[1:]] - total[limits[:-1]]).view(np.int64)
 
+def border_rows(docs: DataFrame, borders: DataFrame, p: Paragraphs) -> DataFrame:
+    """The windows at every word of the ``span - 1`` before or after the seeds of ``borders(doc_id, borders)``, like :func:`seed_rows`.
 
-def _asked(text: np.ndarray, values: np.ndarray, lists: pa.Array) -> np.ndarray:
-    """Whether each value (a row or a matrix row per window) is in its text's list."""
-    of = np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy()))
-    asked = mix(lists.flatten().to_numpy().view(np.uint64)) + mix(of.astype(np.uint64), 1)
-    owner = mix(text.astype(np.uint64), 1)
-    return np.isin(mix(values.view(np.uint64)) + (owner[:, None] if values.ndim > 1 else owner), asked)
-
-
-def colliding_windows(docs: DataFrame, keys: DataFrame, p: Paragraphs) -> DataFrame:
-    """Windows of which a band key is in ``keys(doc_id, keys)``: key, doc_id, first, size, digest of their set."""
+    A border is twice the seed's first word, plus one for the words after it."""
 
     def run(batches):
         for batch in batches:
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
-            for i, j, data, at in text_blocks(batch.column("text")):
-                block = Block(data, at)
+            for i, j, data, limits in text_blocks(batch.column("text")):
+                block = Block(data, limits)
                 word = block.hashes(LOWER)
-                text, first, size = windows(block, word, p)
-                if not len(text):
-                    continue
-                sets, limits = window_sets(block, word, text, first, size, p)
-                many = _distinct_counts(sets, limits) >= p.least_distinct
-                keys_ = band_keys(signature(sets, limits, p.bands * p.rows), p.bands, p.rows)
-                w, b = np.nonzero(_asked(text, keys_, batch.column("keys").slice(i, j - i)) & many[:, None])
-                digest = _digests(sets, limits)
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (keys_[w, b], ids[i:j][text[w]], first[w], size[w], digest[w])], ["key", "doc_id", "first", "size", "digest"])
-
-    return docs.join(keys, "doc_id").mapInArrow(run, "key long, doc_id long, first long, size long, digest long")
-
-
-def shingle_sets(docs: DataFrame, firsts: DataFrame, p: Paragraphs) -> DataFrame:
-    """Digest and distinct shingles of the windows that begin at ``firsts(doc_id, firsts)``."""
-
-    def run(batches):
-        for batch in batches:
-            for i, j, data, at in text_blocks(batch.column("text")):
-                block = Block(data, at)
-                word = block.hashes(LOWER)
-                text, first, size = windows(block, word, p)
-                take = np.flatnonzero(_asked(text, first, batch.column("firsts").slice(i, j - i))) if len(text) else []
-                if not len(take):
-                    continue
-                sets, limits = window_sets(block, word, text[take], first[take], size[take], p)
-                shingles = [np.unique(sets[a:b]).view(np.int64) for a, b in zip(limits[:-1], limits[1:])]
-                yield pa.RecordBatch.from_arrays([pa.array(_digests(sets, limits)), pa.array(shingles, pa.list_(pa.int64()))], ["digest", "shingles"])
-
-    return docs.join(firsts, "doc_id").mapInArrow(run, "digest long, shingles array<long>")
-
-
-def window_id():
-    """A window's number."""
-    return F.xxhash64("doc_id", "first")
+                lists = batch.column("borders").slice(i, j - i)
+                text = np.repeat(np.arange(j - i), np.diff(lists.offsets.to_numpy()))
+                asked = lists.flatten().to_numpy()
+                step = np.arange(1, p.span)
+                place = ((asked >> 1)[:, None] + np.where(asked & 1, 1, -1)[:, None] * step).ravel()
+                text = np.repeat(text, len(step))
+                # rows that repeat a doc_id are asked for places of each other's texts
+                good = (place >= 0) & (place <= block.counts[text] - p.size)
+                at = np.unique(block.first[text[good]] + place[good])
+                yield _rows(ids[i:j], block, word, np.searchsorted(block.first, at, "right") - 1, at, p)
+
+    return docs.join(borders, "doc_id").mapInArrow(run, SEEDS)
+
+
+def _shared(spark: SparkSession, rows: DataFrame, name: str) -> DataFrame:
+    """The rows whose key stands in several documents, with the first of these (``home``) and the key's place there (``at``)."""
+    # keys are few here; a key of rows that repeat one doc_id passes and fails below
+    # tables, so that the joins below have an exchange on both sides and a key of very many places can be divided
+    several = table(spark, rows.where("not again").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), f"{name}_keys")
+    some = table(spark, rows.join(several, "key"), f"{name}_some")
+    homes = some.groupBy("key").agg(F.min("doc_id").alias("home"), F.max("doc_id").alias("hi"), F.min_by("first", F.when(~F.col("again"), F.col("doc_id"))).alias("at")).where("home < hi")
+    homes = table(spark, homes.drop("hi"), f"{name}_homes")
+    out = table(spark, some.join(homes, "key").select("key", "doc_id", "first", "home", "at"), name)
+    drop(spark, several, some, homes)
+    return out
+
+
+def runs_of(parts: list[dict], p: Paragraphs) -> list[dict]:
+    """Runs of words to remove, of repeated windows (first, home, at) of one document."""
+    runs: list[list[int]] = []
+    for x in sorted(parts, key=lambda x: (x["first"], x["home"], x["at"])):
+        a, home, shift = x["first"], x["home"], x["at"] - x["first"]
+        if runs and a <= runs[-1][1]:
+            # the window that ends the run says where its end lies at home
+            if a + p.size > runs[-1][1]:
+                runs[-1][1], runs[-1][4:] = a + p.size, [home, shift]
+        else:
+            runs.append([a, a + p.size, home, shift, home, shift])
+    out: list[list[int]] = []
+    for run in runs:
+        a, b, home, shift, _, _ = run
+        if b - a < p.least_run:
+            continue
+        if out and out[-1][4] == home:
+            last = out[-1]
+            here, there = a - last[1], a + shift - last[1] - last[5]
+            changed = last[6] + max(here, there)
+            if there >= 0 and 100 * changed <= (100 - p.percent) * (b - last[0]):
+                last[1], last[4:] = b, [*run[4:], changed]
+                continue
+        out.append([*run, 0])
+    return [{"first": r[0], "size": r[1] - r[0], "home": r[2]} for r in out]
 
 
 def repeated_spans(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragraphs()) -> DataFrame:
     """doc_id, spans array<struct<first, size, home>> of the word runs to remove, for documents that have any;
     ``home`` is the document in which the passage stays."""
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null and text is not null")
-    bands = table(spark, band_rows(own, p), "bands")
-    # a key of rows that repeat one doc_id passes here and fails below
-    shared = bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
-    hit = bands.join(shared, "key")
-    per_doc = hit.groupBy("doc_id").agg(F.collect_set("key").alias("keys"))
-    seen = table(spark, colliding_windows(own, per_doc, p), "windows")
-    drop(spark, bands)
-    place = F.struct("doc_id", "first")
-    # windows of equal sets are linked to the first of them, whatever else their keys hold
-    same = table(spark, seen.groupBy("digest").agg(F.min(place).alias("h")).select("digest", "h.doc_id", "h.first"), "same")
-    home = same.select("digest", window_id().alias("a"))
-    equal = seen.join(home, "digest").select(window_id().alias("b"), "a").where("a <> b")
-    # sets that share a key are compared with the key's first
-    each = seen.groupBy("key", "digest").agg(F.min(place).alias("w"))
-    head = each.groupBy("key").agg(F.min_by("digest", "w").alias("to"), F.count("*").alias("n")).where("n > 1")
-    pairs = table(spark, each.join(head, "key").where("digest <> to").select("digest", "to").distinct(), "pairs")
-    wanted = same.join(pairs.select(F.explode(F.array("digest", "to")).alias("digest")).distinct(), "digest", "left_semi")
-    sets = table(spark, shingle_sets(own, wanted.groupBy("doc_id").agg(F.collect_set("first").alias("firsts")), p).dropDuplicates(["digest"]), "sets")
-    both = F.size(F.array_intersect("s", "t"))
-    pairs = pairs.join(sets.select("digest", F.col("shingles").alias("s")), "digest").join(sets.select(F.col("digest").alias("to"), F.col("shingles").alias("t")), "to")
-    pairs = pairs.where(100 * both >= p.percent * (F.size("s") + F.size("t") - both)).select("digest", "to")
-    near = pairs.join(home.withColumnRenamed("a", "b"), "digest").join(home.withColumnRenamed("digest", "to"), "to").select("b", "a")
-    links = table(spark, equal.unionByName(near).distinct(), "links")
-    drop(spark, sets)
-    comp = components(spark, links)
-    places = table(spark, seen.select("doc_id", "first", "size", window_id().alias("id")).distinct().join(comp, "id"), "places")
-    firsts = places.groupBy("component").agg(F.min(place).alias("home"), F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo <> hi")
-    # a table, so that the join below has an exchange on both sides and a passage of very many places can be divided
-    firsts = table(spark, firsts, "firsts")
-    later = places.join(firsts, "component").where("doc_id <> home.doc_id").select("doc_id", "first", "size", F.col("home.doc_id").alias("home"))
-    spans = later.groupBy("doc_id").agg(F.collect_list(F.struct("first", "size", "home")).alias("parts"))
+    every = table(spark, seed_rows(own, p), "seeds")
+    seen = _shared(spark, every, "seen")
+    drop(spark, every)
+    later = seen.where("doc_id > home")
+    # seeds at which a chain of repeats begins or ends
+    order = Window.partitionBy("doc_id").orderBy("first")
+    near = lambda c: F.coalesce(c <= p.size, F.lit(False))
+    ends = later.select("key", near(F.col("first") - F.lag("first").over(order)).alias("l"), near(F.lead("first").over(order) - F.col("first")).alias("r"))
+    ends = ends.where("not (l and r)").groupBy("key").agg(F.min("l").alias("l"), F.min("r").alias("r"))
+    ends = table(spark, ends, "ends")
+    sides = F.array(F.when(~F.col("l"), 2 * F.col("first")), F.when(~F.col("r"), 2 * F.col("first") + 1))
+    asked = seen.join(ends, "key").select("doc_id", F.explode(F.array_compact(sides)).alias("b"))
+    borders = asked.groupBy("doc_id").agg(F.collect_set("b").alias("borders"))
+    fringe = table(spark, border_rows(own, borders, p), "fringe")
+    found = _shared(spark, fringe, "borders")
+    drop(spark, fringe, ends)
+    window = F.struct("first", "home", "at")
+    spans = later.unionByName(found.where("doc_id > home")).groupBy("doc_id").agg(F.collect_list(window).alias("parts"))
 
     def merge(batches):
         for batch in batches:
-            rows = []
-            for doc, parts in zip(batch.column("doc_id").to_pylist(), batch.column("parts").to_pylist()):
-                runs: list[list[int]] = []
-                for x in sorted(parts, key=lambda x: (x["first"], -x["size"], x["home"])):
-                    a, b = x["first"], x["first"] + x["size"]
-                    if runs and a <= runs[-1][1]:
-                        runs[-1][1] = max(runs[-1][1], b)
-                    else:
-                        runs.append([a, b, x["home"]])
-                keep = [{"first": a, "size": b - a, "home": c} for a, b, c in runs if b - a >= p.least_run]
-                if keep:
-                    rows.append((doc, keep))
+            rows = [(doc, runs) for doc, parts in zip(batch.column("doc_id").to_pylist(), batch.column("parts").to_pylist()) if (runs := runs_of(parts, p))]
             kind = pa.list_(pa.struct([("first", pa.int64()), ("size", pa.int64()), ("home", pa.int64())]))
             yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], kind)], ["doc_id", "spans"])
 

@@ -311,6 +311,51 @@ def test_repeated_passages_of_odd_rows(spark, odd):
     assert by[5].n_removed == 0 and by[6].n_removed >= 60 and by[0].clean_text is None and by[None].n_removed == 0
 
 
+def hosts(passages, seed, lead=120):
+    """Texts of words that stand nowhere else around each passage, with the place of the passage: (text, first word)."""
+    r, out = random.Random(seed), []
+    for k, words in enumerate(passages):
+        own = [f"w{seed}x{k}x{i}" + ("." if r.random() < 0.1 else "") for i in range(lead)]
+        at = r.randint(0, lead)
+        out.append((" ".join([*own[:at], *words, *own[at:]]), at))
+    return out
+
+
+def removed_runs(spark, texts):
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    return {x.doc_id: [(s["first"], s["size"]) for s in x.spans] for x in substring_dedup.repeated_spans(spark, docs).collect()}
+
+
+def test_all_words_of_a_passage_go(spark):
+    """Twelve passages of each length, each in three texts: the later two lose them from the first word to the last."""
+    passages = [passage(1000 * n + k, n).split() for n in (25, 51, 55, 60, 80, 300) for k in range(12)]
+    placed = hosts(passages * 3, 1)
+    got, m = removed_runs(spark, [t for t, _ in placed]), len(passages)
+    assert got == {i: [(at, len(passages[i % m]))] for i, (_, at) in enumerate(placed) if i >= m}
+
+
+def test_repeated_runs_equal_brute_force(spark):
+    """Every word of a run of 25 that an earlier document has is removed; what is removed repeats in windows of 16, but for short changes."""
+    rows = [(x.doc_id, brute.WORD.findall(brute.lower(x.text))) for x in spark.read.parquet(f"{SF}/documents.parquet").collect()]
+    first = {n: {} for n in (16, 25)}
+    for n, seen in first.items():
+        for i, words in sorted(rows):
+            for k in range(len(words) - n + 1):
+                seen.setdefault(tuple(words[k : k + n]), i)
+    cover = lambda i, words, n: {k + j for k in range(len(words) - n + 1) if first[n][tuple(words[k : k + n])] < i for j in range(n)}
+    spans = {x.doc_id: x.spans for x in substring_dedup.repeated_spans(spark, spark.read.parquet(f"{SF}/documents.parquet")).collect()}
+    whole = 0
+    for i, words in rows:
+        must, may = cover(i, words, 25), cover(i, words, 16)
+        whole += len(must)
+        got = {s["first"] + k for s in spans.get(i, []) for k in range(s["size"])}
+        assert must <= got
+        for s in spans.get(i, []):
+            run = set(range(s["first"], s["first"] + s["size"]))
+            assert max(run) < len(words) and 100 * len(run - may) <= 20 * len(run)
+    assert whole > 1000
+
+
 def test_exact_jaccard_of_edited_passages(spark):
     base = passage(77, 120).split()
     edited = [*base]
