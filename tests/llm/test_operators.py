@@ -365,6 +365,16 @@ def test_exact_jaccard_of_edited_passages(spark):
     assert out[1] == 0 and out[3] == 0 and out[2] >= 40
 
 
+def test_passages_with_one_changed_word_go_whole(spark):
+    """51, 55 and 60 words, the middle one changed: similar at 80 % by shingles of five."""
+    base = [passage(5000 * n + k, n).split() for n in (51, 55, 60) for k in range(12)]
+    base.append(passage(77, 60).split())
+    edited = [[*w[: len(w) // 2], "other", *w[len(w) // 2 + 1 :]] for w in base]
+    placed = hosts([*base, *edited], 2)
+    got = removed_runs(spark, [t for t, _ in placed])
+    assert got == {i: [(placed[i][1], len(edited[i - len(base)]))] for i in range(len(base), 2 * len(base))}
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as c
 
