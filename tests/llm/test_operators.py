@@ -375,6 +375,16 @@ def test_passages_with_one_changed_word_go_whole(spark):
     assert got == {i: [(placed[i][1], len(edited[i - len(base)]))] for i in range(len(base), 2 * len(base))}
 
 
+def test_passages_made_of_common_phrases(spark):
+    """Each phrase stands in an earlier text of its own; the two texts that share them all are still compared."""
+    phrases = [[passage(9000 + 10 * k + i, 15).split() for i in range(4)] for k in range(10)]
+    whole = [sum(x, []) for x in phrases]
+    single = [x for y in phrases for x in y]
+    placed = hosts([*single, *whole, *whole], 3)
+    got = removed_runs(spark, [t for t, _ in placed])
+    assert got == {i: [(placed[i][1], 60)] for i in range(len(placed) - len(whole), len(placed))}
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as c
 
