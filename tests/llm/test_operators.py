@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from spectral_spark.llm import mixing, near_dedup, packing, quality, queries, substring_dedup, tokens, toxicity, url_filter, vp_search, warc
 from spectral_spark.llm.components import components
+from spectral_spark.llm.words import Block
 
 from . import brute
 
@@ -385,6 +386,27 @@ def test_passages_made_of_common_phrases(spark):
     assert got == {i: [(placed[i][1], 60)] for i in range(len(placed) - len(whole), len(placed))}
 
 
+def test_seeds_do_not_depend_on_other_texts():
+    r, p = random.Random(6), substring_dedup.Paragraphs()
+    texts = ["", "one", *(" ".join(str(r.randint(0, 500)) for _ in range(r.randint(1, 200))) for _ in range(200)), "a " * 40, "x. " * 16, ""]
+
+    def found(some):
+        raw = "".join(some).encode()
+        block = Block(np.frombuffer(raw, np.uint8), np.cumsum([0, *(len(t.encode()) for t in some)]))
+        word = block.hashes()
+        text, at = substring_dedup.seeds(block, word, p)
+        rows = list(zip(text.tolist(), (at - block.first[text]).tolist(), substring_dedup.window_keys(word, at, p.size).tolist()))
+        return [[x[1:] for x in rows if x[0] == i] for i in range(len(some))]
+
+    alone = [found([t])[0] for t in texts]
+    assert found(texts) == alone and found(texts[::-1]) == alone[::-1]
+    for t, places in zip(texts, alone):
+        starts = {a for a, _ in places}
+        # every run of 25 words holds one, and so does every shorter text of 16 or more
+        assert all(starts & set(range(a, a + p.span)) for a in range(len(t.split()) - p.size - p.span + 2))
+        assert bool(places) == (len(t.split()) >= p.size)
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as c
 
