@@ -407,6 +407,13 @@ def test_seeds_do_not_depend_on_other_texts():
         assert bool(places) == (len(t.split()) >= p.size)
 
 
+def test_phrases_said_over_and_over_and_long_sentences(spark):
+    passages = ["we say this line once more".split() * 20, [f"long{i}" for i in range(90)], ["la"] * 70]
+    placed = hosts(passages * 3, 4)
+    got = removed_runs(spark, [t for t, _ in placed])
+    assert got == {i: [(at, len(passages[i % 3]))] for i, (_, at) in enumerate(placed) if i >= 3}
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as c
 
