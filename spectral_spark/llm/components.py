@@ -18,19 +18,23 @@ def _state(links: DataFrame) -> tuple:
     return row[0], row[1]
 
 
-def _star(links: DataFrame, large: bool) -> DataFrame:
-    """u > v in ``links``. Large star: neighbours above u move to u's least one; small star: those below and u itself."""
+def _star(spark: SparkSession, links: DataFrame, large: bool) -> tuple[DataFrame, DataFrame]:
+    """u > v in ``links``. Large star: neighbours above u move to u's least one; small star: those below and u itself.
+
+    Also returns the table of minima, which can go once the links are written. It is a table so that the join has an exchange on
+    both sides, and the links of a hub can be divided.
+    """
     if large:
         near = links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
     else:
         near = links
-    least = near.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
+    least = table(spark, near.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "least")
     joined = near.join(least, "u")
     if large:
         out = joined.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     else:
         out = joined.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
-    return out.where("u > v").distinct()
+    return out.where("u > v").distinct(), least
 
 
 def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -43,8 +47,11 @@ def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> D
     for _ in range(max_rounds):
         if not state[0]:
             break
-        then = table(spark, _star(_star(now, True), False), "links")
-        drop(spark, now)
+        large, above = _star(spark, now, True)
+        half = table(spark, large, "links")
+        small, below = _star(spark, half, False)
+        then = table(spark, small, "links")
+        drop(spark, now, above, half, below)
         now, before, state = then, state, _state(then)
         if state == before:
             break

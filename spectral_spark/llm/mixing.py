@@ -1,7 +1,7 @@
 """Mixing sources to target weights, in DataFrame operations only.
 
 Words are added up per source; each source's share of the total, capped at a multiple of what it has, gives its rate; a document
-is taken floor(rate) times, and once more with the fraction's probability, drawn from a hash of its id.
+is taken floor(rate) times, and once more with the fraction's probability, drawn from a hash of its id, text and source.
 """
 
 from __future__ import annotations
@@ -34,31 +34,38 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (3, 1, 2), perce
     return s.select("source", "source_size", F.when(F.col("at").isNull(), F.col("cap")).otherwise(F.least(F.col("cap"), F.col("weight") * F.col("at"))).alias("target"))
 
 
-def draw(doc_id, seed: str):
-    """A number in [0, 1) from the id's text; SQL engines without Spark's hashes can repeat it."""
-    text = F.concat(F.lit(seed + ":"), F.coalesce(doc_id.cast("string"), F.lit("")))
-    return F.conv(F.substring(F.md5(text), 1, 8), 16, 10).cast("double") / F.lit(4294967296.0)
+def draw(doc_id, text, source, seed: str):
+    """A number in [0, 1) from a row's id, text and source; SQL engines without Spark's hashes can repeat it."""
+    part = lambda c: F.coalesce(F.md5(c.cast("binary")), F.lit(""))
+    key = F.concat_ws(":", F.lit(seed), F.coalesce(doc_id.cast("string"), F.lit("")), part(text), part(source))
+    return F.conv(F.substring(F.md5(key), 1, 8), 16, 10).cast("double") / F.lit(4294967296.0)
 
 
 def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), percent: int = 150, most: int = 2, seed: str = "mix") -> DataFrame:
     """The documents with size, source_size, target and copies (how often each is taken).
 
-    A null text has size 0; null is a source of its own, the last. A null doc_id draws as an empty one; rows that repeat an id
-    draw alike. A source without words gets no copies. Sources are joined by null-safe equality; a hot source is divided by
-    adaptive execution, or the small side is broadcast if its measured size permits.
+    A null text has size 0; null is a source of its own, the last. Each row draws by its id, text and source: rows that share an
+    id, also a null one, draw apart, and only rows that repeat all three draw alike. A source without words gets no copies. Sources
+    are joined by null-safe equality; a hot source is divided by adaptive execution, or the small side is broadcast if its
+    measured size permits. Other columns stay, whatever their names; those of the result are replaced.
     """
-    own = ["size", "source_size", "target", "copies", "rate"]
-    rows = docs.drop(*own).withColumn("size", F.coalesce(F.regexp_count(F.col("text"), F.lit(WORD)), F.lit(0)).cast("long"))
-    sizes = rows.groupBy("source").agg(F.sum("size").alias("source_size"))
-    targets = source_targets(sizes, weights, percent, most).withColumnRenamed("source", "of")
-    out = rows.join(targets, F.col("source").eqNullSafe(F.col("of"))).drop("of")
+    own = ["size", "source_size", "target", "copies"]
+    size = F.coalesce(F.regexp_count(F.col("text").cast("string"), F.lit(WORD)), F.lit(0)).cast("long")
+    # struct columns keep the joined sides' names apart from any of the caller's
+    rows = docs.drop(*own).select(F.struct("*").alias("row"), size.alias("size"))
+    rows = rows.withColumn("key", F.col("row.source").cast("string"))
+    sizes = rows.groupBy(F.col("key").alias("source")).agg(F.sum("size").alias("source_size"))
+    mixture = source_targets(sizes, weights, percent, most).select(F.col("source").alias("of"), "source_size", "target")
+    out = rows.join(mixture, F.col("key").eqNullSafe(F.col("of")))
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    more = (draw(F.col("doc_id"), seed) < F.col("rate") - F.floor("rate")).cast("long")
-    return out.withColumn("rate", rate).withColumn("copies", F.least(F.floor("rate").cast("long") + more, F.lit(most).cast("long"))).drop("rate")
+    row = F.col("row")
+    more = (draw(row["doc_id"], row["text"], row["source"], seed) < rate - F.floor(rate)).cast("long")
+    copies = F.least(F.floor(rate).cast("long") + more, F.lit(most).cast("long"))
+    return out.select("row.*", "size", "source_size", "target", copies.alias("copies"))
 
 
 SQL = r"""
-WITH d AS (SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size FROM documents),
+WITH d AS (SELECT doc_id, source, text, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size FROM documents),
 s0 AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source),
 s AS (SELECT source, source_size, CAST([3, 1, 2][CAST((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1 AS INT)] AS DOUBLE) AS weight, CAST(source_size * 2 AS DOUBLE) AS cap FROM s0),
 r AS (SELECT *, (SELECT sum(source_size) * 150 / 100.0 FROM s) AS total, (SELECT sum(weight) FROM s) AS all_weight,
@@ -67,9 +74,9 @@ r AS (SELECT *, (SELECT sum(source_size) * 150 / 100.0 FROM s) AS total, (SELECT
 l AS (SELECT *, (total - below) / (all_weight - weight_below) AS level FROM r),
 f AS (SELECT level AS open_level FROM l WHERE weight * level <= cap ORDER BY weight_below LIMIT 1),
 t AS (SELECT source, source_size, least(cap, coalesce(weight * (SELECT open_level FROM f), cap)) AS target FROM l),
-j AS (SELECT d.doc_id, d.size, t.source_size, t.target, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0.0 END AS rate
+j AS (SELECT d.doc_id, d.text, d.source, d.size, t.source_size, t.target, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0.0 END AS rate
       FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
 SELECT doc_id, size, source_size, target,
-  size * least(CAST(floor(rate) AS BIGINT) + CASE WHEN CAST(('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '')), 1, 8)) AS BIGINT) / 4294967296.0 < rate - floor(rate) THEN 1 ELSE 0 END, 2) AS taken
+  size * least(CAST(floor(rate) AS BIGINT) + CASE WHEN CAST(('0x' || substr(md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '') || ':' || coalesce(md5(text), '') || ':' || coalesce(md5(source), '')), 1, 8)) AS BIGINT) / 4294967296.0 < rate - floor(rate) THEN 1 ELSE 0 END, 2) AS taken
 FROM j
 """

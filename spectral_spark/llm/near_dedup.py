@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .components import components
 from .store import drop, table
-from .words import Block, distinct, mix, shingles, text_blocks
+from .words import Block, distinct, fold, mix, shingles, text_blocks, tidy
 
 
 @dataclass(frozen=True)
@@ -70,16 +70,15 @@ def _coefficients(size: int) -> tuple[np.ndarray, np.ndarray]:
 def signature(sets: np.ndarray, limits: np.ndarray, size: int) -> np.ndarray:
     """Minima of ``size`` hash functions over each (non-empty) set, as uint32 rows."""
     a, b = _coefficients(size)
-    out = np.empty((len(limits) - 1, size), np.uint32)
-    step = 1 << 15
-    begin = 0
-    while begin < len(limits) - 1:
-        stop = max(begin + 1, int(np.searchsorted(limits, limits[begin] + step, "right")) - 1)
-        part, at = sets[limits[begin] : limits[stop]], limits[begin:stop] - limits[begin]
-        for k in range(size):
-            out[begin:stop, k] = np.minimum.reduceat((part * a[k] + b[k]) >> np.uint64(32), at)
-        begin = stop
-    return out
+    out = np.full((size, len(limits) - 1), 0xFFFFFFFF, np.uint64)
+    for k in range(size):
+        fold(sets, limits, lambda x, k=k: (x * a[k] + b[k]) >> np.uint64(32), np.minimum, out[k])
+    return np.ascontiguousarray(out.T.astype(np.uint32))
+
+
+def set_digests(sets: np.ndarray, limits: np.ndarray) -> list[np.ndarray]:
+    """Two 64-bit sums of mixed members, whatever their order."""
+    return [fold(sets, limits, lambda x, seed=seed: mix(x, seed), np.add, np.zeros(len(limits) - 1, np.uint64)).view(np.int64) for seed in (21, 22)]
 
 
 def band_keys(signatures: np.ndarray, bands: int, rows: int) -> np.ndarray:
@@ -106,17 +105,15 @@ def sign(docs: DataFrame, p: MinHash) -> DataFrame:
                 sets, limits = distinct(*shingles(block.hashes(), block.first, p.words))
                 n = np.diff(limits)
                 full = np.flatnonzero(n)
-                d = []
-                for seed in (21, 22):
-                    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(mix(sets, seed))])
-                    d.append((total[limits[1:]] - total[limits[:-1]]).view(np.int64))
+                d = set_digests(sets, limits)
                 sig = np.full(len(n), None, object)
                 if len(full):
                     tight = np.concatenate([[0], np.cumsum(n[full])])
                     sig[full] = [x.tobytes() for x in signature(sets, tight, p.size)]
-                yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array(n), pa.array(d[0]), pa.array(d[1]), pa.array(list(sig), pa.binary())], ["doc_id", "n_shingles", "d1", "d2", "sig"])
+                columns = [ids.slice(i, j - i), pa.array(n), pa.array(d[0]), pa.array(d[1]), pa.array(list(sig), pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, ["doc_id", "n_shingles", "d1", "d2", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, SIGNED)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), SIGNED)
 
 
 def _bands(nodes: DataFrame, p: MinHash) -> DataFrame:
@@ -128,7 +125,7 @@ def _bands(nodes: DataFrame, p: MinHash) -> DataFrame:
             ids = np.repeat(batch.column("id").to_numpy(zero_copy_only=False), p.bands)
             yield pa.RecordBatch.from_arrays([pa.array(band_keys(sig, p.bands, p.rows).ravel()), pa.array(ids)], ["bucket", "id"])
 
-    return nodes.select("id", "sig").mapInArrow(run, "bucket long, id long")
+    return nodes.select("id", "sig").mapInArrow(tidy(run), "bucket long, id long")
 
 
 def _sequential(left: np.ndarray, right: np.ndarray, p: MinHash) -> np.ndarray:
@@ -154,7 +151,7 @@ def survivors(pairs: DataFrame, nodes: DataFrame, p: MinHash) -> DataFrame:
             left, right = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint32).reshape(-1, p.size) for c in ("sa", "sb"))
             yield batch.select(["a", "b"]).take(pa.array(_sequential(left, right, p)))
 
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "sa", "sb").mapInArrow(tidy(run), "a long, b long")
 
 
 def texts_of(pairs: DataFrame, texts: DataFrame) -> DataFrame:
@@ -162,6 +159,20 @@ def texts_of(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     return texts.join(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "id", "left_semi")
 
 
+def digested(texts: DataFrame, p: MinHash) -> DataFrame:
+    """``texts(id, text)`` with the digest of each text's set."""
+
+    def run(batches):
+        for batch in batches:
+            for i, j, data, at in text_blocks(batch.column("text")):
+                block = Block(data, at)
+                d = set_digests(*distinct(*shingles(block.hashes(), block.first, p.words)))
+                part = batch.slice(i, j - i)
+                yield pa.RecordBatch.from_arrays([*part.select(["id", "text"]).columns, *map(pa.array, d)], ["id", "text", "d1", "d2"])
+
+    return texts.mapInArrow(tidy(run), "id long, text string, d1 long, d2 long")
+
+
 def confirm(pairs: DataFrame, texts: DataFrame, p: MinHash) -> DataFrame:
     """The pairs whose full shingle sets reach the threshold; ``texts(id, text)``, whole texts, should be a stored table: then the
     joins have an exchange on both sides, and the pairs of a hub can be divided."""
@@ -177,7 +188,7 @@ def confirm(pairs: DataFrame, texts: DataFrame, p: MinHash) -> DataFrame:
             if any(keep):
                 yield batch.select(["a", "b"]).filter(pa.array(keep))
 
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "ta", "tb").mapInArrow(tidy(run), "a long, b long")
 
 
 def _apart(members: DataFrame, comp: DataFrame) -> DataFrame:
@@ -277,29 +288,55 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
     """One row per document: doc_id, n_shingles, component_id, kept.
 
     Null and empty texts have an empty set and are linked with nothing. A null doc_id is linked with nothing, has a null
-    component and is kept. Rows that repeat a doc_id are one document, as far as links go. Other columns are ignored.
+    component and is kept. Rows that repeat a doc_id are one document, as far as links go, whether or not their texts are the
+    same: a copy of any of them is a copy of the document. Other columns are ignored.
     """
     signed = table(spark, sign(docs, p), "signed")
     some = signed.where("sig is not null and doc_id is not null")
-    nodes = table(spark, some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig")).groupBy("id").agg(F.min("sig").alias("sig")), "nodes")
+    # a node is a set, named by its least document
+    nodes = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig"))
+    repeated = table(spark, some.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id"), "repeated")
+    some_repeat = not repeated.isEmpty()
+    if some_repeat:
+        # one document can be the least of many sets: those of repeated ids are named by their digests
+        many = repeated.select(F.col("doc_id").alias("id"), F.lit(True).alias("many"))
+        nodes = nodes.join(many, "id", "left").withColumn("id", F.when(F.col("many"), F.xxhash64("d1", "d2")).otherwise(F.col("id"))).drop("many")
+    nodes = table(spark, nodes, "nodes")
     keys = _bands(nodes, p)
     shared = keys.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1")
     members = table(spark, keys.join(shared, "bucket"), "members")
     degree = members.groupBy("id").agg(F.sum("n").alias("degree"))
     hub = members.join(degree, "id").groupBy("bucket").agg((-F.max(F.struct("degree", (-F.col("id")).alias("i")))["i"]).alias("hub"))
-    pairs = members.join(hub, "bucket").where("id <> hub").select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
+    pairs = members.join(hub, "bucket").where("id <> hub")
+    pairs = pairs.select(F.least("id", "hub").alias("a"), F.greatest("id", "hub").alias("b")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text")).where("id is not null")
+    if some_repeat:
+        ids = repeated.select(F.col("doc_id").alias("id"))
+        named = digested(texts.join(ids, "id", "left_semi").distinct(), p).drop("id").join(nodes.select("d1", "d2", "id"), ["d1", "d2"])
+        texts = texts.join(ids, "id", "left_anti").unionByName(named.groupBy("id").agg(F.first("text").alias("text")))
     texts = texts.join(nodes.select("id"), "id", "left_semi")
     near = table(spark, survivors(pairs, nodes, p), "near")
     ends = table(spark, texts_of(near, texts), "texts")
     links = table(spark, confirm(near, ends, p), "confirmed")
     drop(spark, ends)
+    # a table, so that joins with it have an exchange on both sides and a large class of copies can be divided
+    same = table(spark, nodes.select("d1", "d2", "id"), "classes")
+    if some_repeat:
+        # the nodes of a document's texts are one
+        own = some.join(repeated, "doc_id", "left_semi").join(same, ["d1", "d2"]).select("doc_id", "id").distinct()
+        own = table(spark, own, "own")
+        least = table(spark, own.groupBy("doc_id").agg(F.min("id").alias("a")), "least")
+        joined = own.join(least, "doc_id").where("a <> id").select("a", F.col("id").alias("b"))
+        links = table(spark, links.unionByName(joined), "confirmed")
     first = table(spark, components(spark, links), "first")
     more = table(spark, links_across(_apart(members.select("bucket", "id"), first), nodes, texts, p), "across")
     final = table(spark, components(spark, links.unionByName(more)), "components")
-    # a table, so that the join below has an exchange on both sides and a large class of copies can be divided
-    same = table(spark, some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id")), "classes")
-    out = signed.join(same, ["d1", "d2"], "left").join(final, "id", "left")
-    drop(spark, members, near, first)
-    component = F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.coalesce("component", "id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    out = signed.join(same, ["d1", "d2"], "left").join(final, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    if some_repeat:
+        out = table(spark, out.select("doc_id", "n_shingles", "sig", "component"), "labelled")
+        least = table(spark, out.where("doc_id is not null").groupBy("component").agg(F.min("doc_id").alias("least")), "least")
+        out = out.join(least, "component", "left").withColumn("component", F.col("least"))
+    drop(spark, members, near, first, nodes)
+    component = F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component"))
+    out = out.select("doc_id", "n_shingles", component.alias("component_id"))
+    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))

@@ -20,13 +20,14 @@ from pyspark.sql import functions as F
 
 from .store import table
 from .tokens import CONTROL, MOST_CHARS, load, vocabulary
-from .words import text_blocks
+from .words import text_blocks, tidy
 
 STRICT_WORDS = re.compile(r"[\S\x1c-\x1f]+")
 #: Bound of a worker's table of ids.
 MOST_WORDS = 700_000
-#: Bins left by this many tasks are packed together in the second pass.
-TASKS_TOGETHER = 64
+#: Bins left by this many tasks are packed together in the second pass, with this many times as many open bins as the first:
+#: its items are whole bins, so the bound costs no memory worth naming and few bins are closed before their time.
+TASKS_TOGETHER, TAIL_BINS = 64, 8
 
 
 class BestFit:
@@ -174,13 +175,13 @@ def pack(spark: SparkSession, docs: DataFrame, path: str | None = None, capacity
             held = [x for x in held if x[5] in open_now]
         yield _rows(held, task, True)
 
-    first = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, PIECES)
+    first = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), PIECES)
     first = table(spark, first, "pieces")
     tails = first.where("is_open").groupBy("task", "bin").agg(F.sum("length").alias("used"))
 
     def again(t: pa.Table) -> pa.Table:
         t = t.sort_by([("used", "descending"), ("task", "ascending"), ("bin", "ascending")])
-        bins = BestFit(capacity, 1 << 30)
+        bins = BestFit(capacity, open_bins * TAIL_BINS)
         placed = [bins.put(n) for n in t.column("used").to_pylist()]
         group = t.column("task")[0].as_py() // TASKS_TOGETHER if t.num_rows else 0
         return pa.table({"task": t.column("task"), "bin": t.column("bin"), "to": pa.array([-1 - (group << 32) - b for b, _ in placed], pa.int64()), "base": pa.array([o for _, o in placed], pa.int64())})

@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .words import Block, mix, text_blocks
+from .words import Block, mix, text_blocks, tidy
 
 EXACT = np.arange(1, 257, dtype=np.uint64)
 SYMBOL = np.zeros(256, bool)
@@ -113,6 +113,6 @@ def line_first_cleaning(docs: DataFrame, least_words: int = 10, most_repeated: i
                 columns = [ids.slice(i, j - i), pa.array(block.counts), pa.array(per_text(starts_char & ~gap)), pa.array(per_text(SYMBOL[data])), pa.array([x[3] for x in lines], pa.int64()), pa.array(repeated_words(block, block.hashes(EXACT))), pa.array([x[2] for x in lines], pa.int64()), pa.array([x[0] if with_text else None for x in lines], pa.string())]
                 yield pa.RecordBatch.from_arrays(columns, [c.split()[0] for c in SCHEMA.split(", ")])
 
-    made = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, SCHEMA)
+    made = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), SCHEMA)
     made = made.withColumn("base_failed", (F.col("n_words") < least_words) | (100 * F.col("n_repeat_words") > most_repeated * F.col("n_words")))
     return made.withColumn("kept", ~F.col("base_failed") & (F.col("words_kept") >= LEAST_KEPT * F.col("n_words")))

@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a folder of our own only where none is configured (tests)."""
+    """The cluster's shared folder. Where none is set, a folder of our own, on a single machine only (tests)."""
     path = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if path is None:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         path = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="spark_shared_")
         shared_dir.own = path
     return path.rstrip("/")

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .words import text_blocks
+from .words import text_blocks, tidy
 
 #: Python counts 0x1C-0x1F as white space, the tokenizers do not.
 CONTROL = re.compile(r"[\x1c-\x1f]")
@@ -104,5 +104,5 @@ def token_counts(docs: DataFrame, path: str | None = None, limit: int = 512) ->
                 n = counts.count([raw[a:b].decode("utf-8", "replace") for a, b in zip(at[:-1], at[1:])])
                 yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array(np.diff(at)), pa.array(n, pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
 
-    made = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_bytes long, n_tokens long")
+    made = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "doc_id long, n_bytes long, n_tokens long")
     return made.withColumn("over_limit", F.col("n_tokens") > limit)

@@ -1,8 +1,9 @@
 """Toxicity by a classifier chain of linear models.
 
-Categories are predicted one after another; each later model also sees the logits of the earlier categories. Those that it
-is trained on are out-of-fold, so that it learns how far an earlier prediction can be trusted. Features are the distinct words
-of a text, hashed; each model takes those most dependent on its category. Training uses a bounded, hash-ordered sample of labelled documents; scoring is one pass over all documents.
+Categories are predicted one after another; each later model also sees the probabilities of the earlier categories. Those that
+it is trained on are out-of-fold, so that it learns how far an earlier prediction can be trusted. Features are the distinct words
+of a text, hashed; each model takes those most dependent on its category. Training uses a bounded, hash-ordered sample of
+labelled documents; scoring is one pass over all documents.
 """
 
 from __future__ import annotations
@@ -13,8 +14,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import BooleanType, DoubleType, StructField, StructType
 
-from .words import LOWER, Block, mix, text_blocks
+from .words import LOWER, Block, mix, text_blocks, tidy
 
 #: Every ASCII byte but letters and digits ends a word here, so that punctuation does not hide it.
 NOT_WORD = np.ones(256, bool)
@@ -31,9 +33,11 @@ OFTEN = (2, 3, 5)
 
 @dataclass(frozen=True)
 class ChainSettings:
-    """``sample`` bounds the labelled documents that training reads; all else is the usual regularised logistic regression."""
+    """``sample`` bounds the labelled documents that training reads, ``sample_features`` the features of each (the first by a
+    hash, of the whole text); all else is the usual regularised logistic regression."""
 
     sample: int = 6000
+    sample_features: int = 8192
     buckets: int = 1 << 20
     chosen: int = 1000
     folds: int = 4
@@ -42,23 +46,40 @@ class ChainSettings:
     threshold: float = 0.4
 
 
+#: Words whose features are counted together.
+PART_WORDS = 1 << 16
+
+
+def _added(keys: list[np.ndarray], times: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys and the sum of their counts."""
+    once, where = np.unique(np.concatenate(keys), return_inverse=True)
+    return once, np.bincount(where, np.concatenate(times), len(once)).astype(np.int64)
+
+
 def features(block: Block, buckets: int) -> tuple[np.ndarray, np.ndarray]:
     """Distinct feature numbers of every text (its words, prefixes of longer ones, and how often each stands there) and their limits."""
-    owner = np.repeat(np.arange(len(block.counts), dtype=np.uint64), block.counts)
     size = block.end - block.start
-    keys = [block.hashes(LOWER)]
-    owners = [owner]
-    for n in PREFIXES:
-        keys.append(block.hashes(LOWER, n) + np.uint64(n))
-        owners.append(owner[size > n])
-    number = (np.concatenate(keys) >> np.uint64(20)) % np.uint64(buckets)
-    once, times = np.unique(np.concatenate(owners) * np.uint64(buckets) + number, return_counts=True)
+    streams = [(block.hashes(LOWER), None)]
+    streams += [(block.hashes(LOWER, n) + np.uint64(n), np.flatnonzero(size > n)) for n in PREFIXES]
+    keys, times = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+    for hashes, at in streams:
+        for c in range(0, len(hashes), PART_WORDS):
+            words = np.arange(c, min(c + PART_WORDS, len(hashes))) if at is None else at[c : c + PART_WORDS]
+            owner = (np.searchsorted(block.first, words, "right") - 1).astype(np.uint64)
+            number = (hashes[c : c + PART_WORDS] >> np.uint64(20)) % np.uint64(buckets)
+            once, count = np.unique(owner * np.uint64(buckets) + number, return_counts=True)
+            keys.append(once)
+            times.append(count)
+            if len(keys) > 16:
+                keys, times = ([x] for x in _added(keys, times))
+    once, count = _added(keys, times)
     found = [once]
     for n in OFTEN:
-        more = once[times >= n]
+        more = once[count >= n]
         found.append(more - more % np.uint64(buckets) + mix(more % np.uint64(buckets), n) % np.uint64(buckets))
     both = np.unique(np.concatenate(found))
-    return (both % np.uint64(buckets)).astype(np.int64), np.searchsorted(both, np.arange(len(block.counts) + 1, dtype=np.uint64) * np.uint64(buckets))
+    limits = np.searchsorted(both, np.arange(len(block.counts) + 1, dtype=np.uint64) * np.uint64(buckets))
+    return (both % np.uint64(buckets)).astype(np.int64), limits
 
 
 def _row_sums(values: np.ndarray, limits: np.ndarray) -> np.ndarray:
@@ -106,6 +127,10 @@ def logits(w: np.ndarray, index: np.ndarray, limits: np.ndarray, extra: np.ndarr
     return _row_sums(w[index], limits) + extra @ w[size : size + k] + w[-1]
 
 
+def probability(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
 def _inner(known: np.ndarray, index: np.ndarray, limits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Positions of the known features of every text, and their limits."""
     to = known[index]
@@ -125,31 +150,37 @@ class Chain:
         """Probabilities, a column for each category."""
         seen = np.zeros((len(limits) - 1, 0))
         for known, w in self.models:
-            seen = np.column_stack([seen, np.clip(logits(w, *_inner(known, index, limits), seen), -8, 8)])
-        return 1 / (1 + np.exp(-seen))
+            seen = np.column_stack([seen, probability(logits(w, *_inner(known, index, limits), seen))])
+        return seen
 
 
 def train_chain(index: np.ndarray, limits: np.ndarray, labels: np.ndarray, categories: tuple[str, ...], s: ChainSettings) -> Chain:
-    """``labels``: 0/1 rows. What later models see of earlier categories is predicted by models that were not fitted on the row."""
+    """``labels``: 0/1 rows, NaN where a category's label is not known.
+
+    A category is learned from the rows that have its label. What later models see of it is predicted, for every row, by models
+    that were not fitted on the row.
+    """
     chain = Chain(categories, [], s)
     n = len(labels)
     fold = np.arange(n) % s.folds
     seen = np.zeros((n, 0))
 
-    def fit(index, limits, seen, y):
-        known = choose_features(index, limits, y, s)
-        return known, fit_logistic(*_inner(known, index, limits), seen, y, int((known >= 0).sum()), s)
+    def fit(rows, seen, y):
+        part = _rows_of(index, limits, rows)
+        known = choose_features(*part, y[rows], s)
+        return known, fit_logistic(*_inner(known, *part), seen[rows], y[rows], int((known >= 0).sum()), s)
 
     for c in range(len(categories)):
         y = labels[:, c].astype(float)
-        chain.models.append(fit(index, limits, seen, y))
+        given = ~np.isnan(y)
+        chain.models.append(fit(given, seen, y))
         if c + 1 < len(categories):
             out = np.zeros(n)
             for f in range(s.folds):
                 held = fold == f
-                known, w = fit(*_rows_of(index, limits, ~held), seen[~held], y[~held])
-                out[held] = logits(w, *_inner(known, *_rows_of(index, limits, held)), seen[held])
-            seen = np.column_stack([seen, np.clip(out, -8, 8)])
+                known, w = fit(~held & given, seen, y)
+                out[held] = probability(logits(w, *_inner(known, *_rows_of(index, limits, held)), seen[held]))
+            seen = np.column_stack([seen, out])
     return chain
 
 
@@ -159,27 +190,38 @@ def _rows_of(index: np.ndarray, limits: np.ndarray, rows: np.ndarray) -> tuple[n
 
 
 def labelled_features(docs: DataFrame, labels: DataFrame, categories: dict[str, str], s: ChainSettings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features and labels of at most ``s.sample`` labelled documents, the first by a hash of their ids."""
-    want = labels.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.expr(x).cast("double").alias(c) for c, x in categories.items()]).dropna()
-    # rows that repeat an id count once, by their largest labels
-    want = want.groupBy("doc_id").agg(*[F.max(c).alias(c) for c in categories]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.sample)
+    """Features and labels (NaN where unknown) of at most ``s.sample`` labelled documents, the first by a hash of their ids.
+
+    Rows that repeat an id count once: by its largest labels, and by one of its texts, always the same.
+    """
     names = list(categories)
+    want = labels.select(F.col("doc_id").cast("long").alias("doc_id"), *[F.expr(x).cast("double").alias(c) for c, x in categories.items()])
+    want = want.where(F.col("doc_id").isNotNull() & F.coalesce(*names).isNotNull())
+    want = want.groupBy("doc_id").agg(*[F.max(c).alias(c) for c in names]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(s.sample)
 
     def run(batches):
         for batch in batches:
             for i, j, data, at in text_blocks(batch.column("text")):
                 index, limits = features(Block(data, at, NOT_WORD), s.buckets)
-                sets = [index[a:b].astype(np.int32).tobytes() for a, b in zip(limits[:-1], limits[1:])]
-                yield pa.RecordBatch.from_arrays([batch.column(c).slice(i, j - i) for c in ["doc_id", *names]] + [pa.array(sets, pa.binary())], ["doc_id", *names, "sets"])
+                sets = []
+                for a, b in zip(limits[:-1], limits[1:]):
+                    one = index[a:b]
+                    if len(one) > s.sample_features:
+                        first = np.argpartition(mix(one.astype(np.uint64), 31), s.sample_features)[: s.sample_features]
+                        one = np.sort(one[first])
+                    sets.append(one.astype(np.int32).tobytes())
+                columns = [batch.column(c).slice(i, j - i) for c in ["doc_id", *names]]
+                yield pa.RecordBatch.from_arrays([*columns, pa.array(sets, pa.binary())], ["doc_id", *names, "sets"])
 
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     # at most s.sample rows of a few numbers each
-    rows = own.join(F.broadcast(want), "doc_id").mapInArrow(run, f"doc_id long, {', '.join(f'{c} double' for c in names)}, sets binary")
-    got = {r.doc_id: r for r in sorted(rows.collect(), key=lambda r: bytes(r.sets))}
-    ordered = [got[k] for k in sorted(got)]
-    sets = [np.frombuffer(r.sets, np.int32).astype(np.int64) for r in ordered]
+    made = own.join(F.broadcast(want), "doc_id").mapInArrow(tidy(run), f"doc_id long, {', '.join(f'{c} double' for c in names)}, sets binary")
+    # so few reach the driver, however many rows repeat an id
+    rows = made.groupBy("doc_id", *names).agg(F.min("sets").alias("sets")).orderBy("doc_id").collect()
+    sets = [np.frombuffer(r.sets, np.int32).astype(np.int64) for r in rows]
     limits = np.concatenate([[0], np.cumsum([len(x) for x in sets])]).astype(np.int64)
-    return (np.concatenate(sets) if sets else np.zeros(0, np.int64)), limits, np.array([[r[c] for c in names] for r in ordered], float).reshape(len(ordered), len(names))
+    known = np.array([[np.nan if r[c] is None else r[c] for c in names] for r in rows], float).reshape(len(rows), len(names))
+    return (np.concatenate(sets) if sets else np.zeros(0, np.int64)), limits, known
 
 
 #: In chain order; expressions over the label columns.
@@ -210,5 +252,6 @@ def score_toxicity(spark: SparkSession, docs: DataFrame, chain: Chain) -> DataFr
                 part = [batch.column(c).slice(i, j - i) for c in keep]
                 yield pa.RecordBatch.from_arrays([*part, *[pa.array(p[:, k]) for k in range(len(names))], pa.array(rejected)], [*keep, *names, "rejected"])
 
-    schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in keep], *[f"{c} double" for c in names], "rejected boolean"])
-    return docs.select(*keep).mapInArrow(run, schema)
+    own = [StructField(c, DoubleType()) for c in names]
+    schema = StructType([*[f for f in docs.schema if f.name in keep], *own, StructField("rejected", BooleanType())])
+    return docs.select(*[F.col(f"`{c}`") for c in keep]).mapInArrow(tidy(run), schema)
