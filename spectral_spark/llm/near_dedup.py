@@ -340,3 +340,26 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
     component = F.when(F.col("doc_id").isNull(), F.lit(None).cast("long")).when(F.col("sig").isNull(), F.col("doc_id")).otherwise(F.col("component"))
     out = out.select("doc_id", "n_shingles", component.alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def drop_copies(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()) -> DataFrame:
+    """``docs`` with one row of each group of near copies: that of the least doc_id. All columns stay, whatever their names.
+
+    Rows are judged one by one: of rows that share a doc_id, or have none, a copy goes and another text stays; of rows that repeat
+    both id and text one stays. Rows without words are no copies of each other.
+    """
+    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id")).groupBy("doc_id").agg(F.count("*").alias("n"))
+    shared = table(spark, ids.where("n > 1 or doc_id is null").select("doc_id"), "shared_ids")
+    if shared.isEmpty():
+        gone = near_duplicates(spark, docs, p).where("not kept").select("doc_id")
+        return docs.join(gone, docs["doc_id"].cast("long") == gone["doc_id"], "left_anti")
+    whole = docs.select(F.struct("*").alias("whole"), F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
+    many = F.col("id").isNull() | F.col("many")
+    mark = shared.where("doc_id is not null").select(F.col("doc_id").alias("id"), F.lit(True).alias("many"))
+    # beyond all usual ids, so that a row with an id of its own stays rather than one of these
+    name = F.shiftright(F.xxhash64("id", "text"), 2).bitwiseAND(F.lit((1 << 61) - 1)) + F.lit(1 << 62)
+    rows = whole.join(mark, "id", "left").withColumn("many", F.coalesce(many, F.lit(False))).withColumn("name", F.when(F.col("many"), name).otherwise(F.col("id")))
+    once = rows.where("many").dropDuplicates(["name"])
+    rows = table(spark, rows.where("not many").unionByName(once).select("name", "text", "whole"), "rows")
+    gone = near_duplicates(spark, rows.select(F.col("name").alias("doc_id"), "text"), p).where("not kept").select(F.col("doc_id").alias("name"))
+    return rows.join(gone, "name", "left_anti").select("whole.*")

@@ -1,17 +1,20 @@
-"""Substring deduplication: passages that repeat across documents, found by content-chosen seeds and cut to their borders.
-
-Passages are repeated inside lines as well as between them, so they are sought at words, not at lines. Of every ``span`` successive
-windows of ``size`` words the one whose first words hash least is a seed (all of them on a tie). The choice depends on the words of the
-span alone: a run of ``size + span - 1`` = 25 words holds a seed wherever it stands, and the same one. A passage of 50 words or
-more whose copy is similar at 80 % (Jaccard, shingles of five words) always keeps such a run.
-
-A seed's key is the hash of all its words, so the places of a key are equal and need no comparison with each other. A place whose key
-stands in an earlier document repeats it. Where a chain of repeating seeds begins or ends, the windows at every word of the next
-``span - 1`` are looked up in the same way, at each place of the outermost seed: a run of 25 or more words that an earlier
-document has is thereby found to its first and last word. Repeats shorter than that are found if they hold a seed.
-
-Runs of at least ``least_run`` words are removed. Two runs with the same home are removed with the words between them where the changed
-words leave the whole similar by edit distance (``percent``). Each passage stays in the first document that has it.
+"""Substring deduplication: paragraphs that repeat across documents, found by MinHash banding and cut to their borders.
+
+Passages are repeated inside lines as well as between them, so every run of 25 successive words is a paragraph. A paragraph's MinHash
+is taken over its 21 shingles of five words; the least shingles of ``rows`` hash functions make a band's key, and a key is noted once
+for all successive paragraphs that have it. With two bands of one row, paragraphs similar at 80 % share a key with probability
+0.96, equal ones always. A passage of 50 words or more whose copy is similar at 80 % holds an equal paragraph, so it always collides.
+
+Colliding paragraphs are verified word by word. Of every ``span`` successive windows of ``size`` words the one whose first words hash
+least is a seed (all of them on a tie); every paragraph holds one, and equal paragraphs the same one. A seed's key is the hash of all
+its words, so places of a key are equal and need no comparison with each other; a place whose key stands in an earlier document
+repeats it. Where a chain of repeating seeds begins or ends, the windows at every word of the next ``span - 1`` are looked up in the same
+way: a run of 25 or more words that an earlier document has is thereby found to its first and last word. Repeats shorter than
+that are found if they hold a seed.
+
+Runs of at least ``least_run`` words are removed. Two runs with the same home are removed with the words between them where the whole is
+similar by edit distance (``percent``). Removals are clustered: a run and the place that it repeats are linked, overlapping places of a
+document are one, and of each component the passage stays in the first document.
 """
 
 from __future__ import annotations
@@ -22,33 +25,124 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StringType, StructField, StructType
 
+from .components import components
 from .store import drop, table
-from .words import LOWER, Block, mix, powers, text_blocks
+from .words import BASE, LOWER, Block, mix, text_blocks, tidy
 
 
 @dataclass(frozen=True)
 class Paragraphs:
+    """``size`` and ``span`` of the verifying windows; a paragraph has ``size + span - 1`` words, its shingles ``words``."""
+
     size: int = 16
     span: int = 10
     words: int = 5
     percent: int = 80
     least_run: int = 18
+    bands: int = 2
+    rows: int = 1
 
     def __post_init__(self):
         # a span that begins in a text must not reach the next text's windows
         assert self.span <= self.size and self.words <= self.size
 
+    @property
+    def shingles(self) -> int:
+        """Of a paragraph."""
+        return self.size + self.span - self.words
+
 
-SEEDS = "key long, doc_id long, first int, again boolean"
+SEEDS = "key long, doc_id long, row long, first int, again boolean"
 MOST = np.uint64(0xFFFFFFFFFFFFFFFF)
+FACTOR = np.uint64(0xD6E8FEB86659FD93)
 
 
 def window_keys(word: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
     """Hash of the ``size`` words from each place."""
-    up, down = powers(len(word) + 1)
-    total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(word * up[: len(word)])])
-    return mix((total[at + size] - total[at]) * down[at], 5).view(np.int64)
+    key, base = np.zeros(len(at), np.uint64), np.uint64(1)
+    with np.errstate(over="ignore"):
+        for k in range(size):
+            key += word[at + k] * base
+            base *= BASE
+    return mix(key, 5).view(np.int64)
+
+
+def shingle_hashes(word: np.ndarray, size: int) -> np.ndarray:
+    """Of the ``size`` words from each place; the last places run out of words."""
+    out, n = np.zeros(len(word), np.uint64), len(word)
+    for k in range(min(size, n)):
+        out[: n - k] = out[: n - k] * FACTOR + word[k:]
+    return out
+
+
+def sliding_least(x: np.ndarray, span: int) -> np.ndarray:
+    """Least of the ``span`` values from each place (of fewer at the end), by doubling."""
+    out, have = x.copy(), 1
+    while have < min(span, len(x)):
+        step = min(have, span - have, len(x) - have)
+        np.minimum(out[: len(x) - step], out[step:].copy(), out=out[: len(x) - step])
+        have += step
+    return out
+
+
+def band_runs(block: Block, word: np.ndarray, p: Paragraphs) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(text, key, first paragraph, last paragraph) of every run of successive paragraphs that have a band's key.
+
+    A paragraph is named by the place in ``word`` where it begins. A text shorter than a paragraph is one.
+    """
+    count = block.counts
+    made = np.maximum(count - p.words + 1, 0)
+    # paragraphs of a text; none if it has not even one window
+    starts = np.where(count < p.size, 0, np.maximum(made - p.shingles + 1, 1))
+    long, short = np.flatnonzero(made >= p.shingles), np.flatnonzero((starts == 1) & (made < p.shingles))
+    base = shingle_hashes(word, p.words)
+    text = np.repeat(np.arange(len(count)), starts)
+    place = np.arange(len(text)) + np.repeat(block.first[:-1] - np.concatenate([[0], np.cumsum(starts)[:-1]]), starts)
+    new = np.ones(len(text), bool)
+    out = []
+    for band in range(p.bands):
+        key = np.full(len(word), band + 1, np.uint64)
+        for row in range(p.rows):
+            order = mix(base, 40 + band * p.rows + row)
+            least = sliding_least(order, p.shingles)
+            for t in short:
+                least[block.first[t]] = order[block.first[t] : block.first[t] + made[t]].min()
+            key = mix(key * FACTOR + least, 3)
+        key = key[place]
+        new[1:] = (key[1:] != key[:-1]) | (text[1:] != text[:-1])
+        at = np.flatnonzero(new)
+        last = np.append(at[1:], len(text)) - 1 if len(at) else at
+        out.append((text[at], key[at].view(np.int64), place[at], place[last]))
+    assert len(long) + len(short) == (starts > 0).sum()
+    return tuple(np.concatenate(x) for x in zip(*out))
+
+
+def named(docs: DataFrame) -> DataFrame:
+    """doc_id, text and ``row``, by which rows that share an id are told apart; rows without an id or a text are left out."""
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return own.where("doc_id is not null and text is not null").withColumn("row", F.xxhash64("doc_id", "text"))
+
+
+def band_rows(docs: DataFrame, p: Paragraphs) -> DataFrame:
+    """(key, doc_id, row): every band key that a text's paragraphs have, once a text."""
+
+    def run(batches):
+        for batch in batches:
+            for i, j, data, at in text_blocks(batch.column("text")):
+                block = Block(data, at)
+                text, key, _, _ = band_runs(block, block.hashes(LOWER), p)
+                order = np.lexsort((key, text))
+                text, key = text[order], key[order]
+                new = np.ones(len(key), bool)
+                new[1:] = (key[1:] != key[:-1]) | (text[1:] != text[:-1])
+                owner = pa.array(text[new])
+                part = batch.slice(i, j - i)
+                columns = [pa.array(key[new]), *(part.column(c).take(owner) for c in ("doc_id", "row"))]
+                yield pa.RecordBatch.from_arrays(columns, ["key", "doc_id", "row"])
+
+    return docs.mapInArrow(tidy(run), "key long, doc_id long, row long")
 
 
 def seeds(block: Block, word: np.ndarray, p: Paragraphs) -> tuple[np.ndarray, np.ndarray]:
@@ -57,10 +151,7 @@ def seeds(block: Block, word: np.ndarray, p: Paragraphs) -> tuple[np.ndarray, np
     made = np.maximum(count - p.size + 1, 0)
     if not made.any():
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    order = np.zeros(n, np.uint64)
-    for k in range(p.words):
-        order[: n - k] = order[: n - k] * np.uint64(0xD6E8FEB86659FD93) + word[k:]
-    order = np.maximum(mix(order, 9), np.uint64(1))
+    order = np.maximum(mix(shingle_hashes(word, p.words), 9), np.uint64(1))
     text = np.repeat(np.arange(len(count)), count)
     place = np.arange(n) - block.first[text]
     order[place >= made[text]] = MOST
@@ -84,49 +175,70 @@ def _again(text: np.ndarray, key: np.ndarray) -> np.ndarray:
     return out
 
 
-def _rows(ids: np.ndarray, block: Block, word: np.ndarray, text: np.ndarray, at: np.ndarray, p: Paragraphs) -> pa.RecordBatch:
+def _rows(part: pa.RecordBatch, block: Block, word: np.ndarray, text: np.ndarray, at: np.ndarray, p: Paragraphs) -> pa.RecordBatch:
     key = window_keys(word, at, p.size)
     first = (at - block.first[text]).astype(np.int32)
-    return pa.RecordBatch.from_arrays([pa.array(x) for x in (key, ids[text], first, _again(text, key))], ["key", "doc_id", "first", "again"])
+    owner = pa.array(text)
+    columns = [pa.array(key), *(part.column(c).take(owner) for c in ("doc_id", "row")), pa.array(first), pa.array(_again(text, key))]
+    return pa.RecordBatch.from_arrays(columns, ["key", "doc_id", "row", "first", "again"])
 
 
-def seed_rows(docs: DataFrame, p: Paragraphs) -> DataFrame:
-    """Every seed of every text: key, doc_id, first word, whether the text has the key before."""
+def seed_rows(docs: DataFrame, asked: DataFrame, p: Paragraphs) -> DataFrame:
+    """The seeds that lie in a paragraph with one of the keys of ``asked(doc_id, row, keys)``: key, doc_id, row, first word, and whether the
+    text has the key before."""
 
     def run(batches):
         for batch in batches:
-            ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
             for i, j, data, at in text_blocks(batch.column("text")):
-                block = Block(data, at)
+                block, part = Block(data, at), batch.slice(i, j - i)
                 word = block.hashes(LOWER)
-                yield _rows(ids[i:j], block, word, *seeds(block, word, p), p)
-
-    return docs.mapInArrow(run, SEEDS)
+                lists = part.column("keys")
+                owner = np.repeat(np.arange(j - i), np.diff(lists.offsets.to_numpy()))
+                text, key, lo, hi = band_runs(block, word, p)
+                name = lambda t, k: mix(k.view(np.uint64) * FACTOR + t.astype(np.uint64))
+                hit = np.isin(name(text, key), name(owner, lists.flatten().to_numpy()))
+                # windows that begin in a colliding paragraph and end in it
+                inside = np.zeros(len(word) + p.span + 1, np.int64)
+                np.add.at(inside, lo[hit], 1)
+                np.add.at(inside, hi[hit] + p.span, -1)
+                text, at_ = seeds(block, word, p)
+                keep = np.cumsum(inside)[at_] > 0
+                yield _rows(part, block, word, text[keep], at_[keep], p)
+
+    return docs.join(asked, ["doc_id", "row"]).select("doc_id", "row", "text", "keys").mapInArrow(tidy(run), SEEDS)
 
 
 def border_rows(docs: DataFrame, borders: DataFrame, p: Paragraphs) -> DataFrame:
-    """The windows at every word of the ``span - 1`` before or after the seeds of ``borders(doc_id, borders)``, like :func:`seed_rows`.
+    """The windows at every word of the ``span - 1`` before or after the seeds of ``borders(doc_id, row, borders)``, like :func:`seed_rows`.
 
     A border is twice the seed's first word, plus one for the words after it."""
 
     def run(batches):
         for batch in batches:
-            ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
             for i, j, data, limits in text_blocks(batch.column("text")):
-                block = Block(data, limits)
+                block, part = Block(data, limits), batch.slice(i, j - i)
                 word = block.hashes(LOWER)
-                lists = batch.column("borders").slice(i, j - i)
+                lists = part.column("borders")
                 text = np.repeat(np.arange(j - i), np.diff(lists.offsets.to_numpy()))
                 asked = lists.flatten().to_numpy()
                 step = np.arange(1, p.span)
                 place = ((asked >> 1)[:, None] + np.where(asked & 1, 1, -1)[:, None] * step).ravel()
                 text = np.repeat(text, len(step))
-                # rows that repeat a doc_id are asked for places of each other's texts
                 good = (place >= 0) & (place <= block.counts[text] - p.size)
                 at = np.unique(block.first[text[good]] + place[good])
-                yield _rows(ids[i:j], block, word, np.searchsorted(block.first, at, "right") - 1, at, p)
+                yield _rows(part, block, word, np.searchsorted(block.first, at, "right") - 1, at, p)
+
+    return docs.join(borders, ["doc_id", "row"]).select("doc_id", "row", "text", "borders").mapInArrow(tidy(run), SEEDS)
 
-    return docs.join(borders, "doc_id").mapInArrow(run, SEEDS)
+
+def colliding(spark: SparkSession, docs: DataFrame, p: Paragraphs) -> DataFrame:
+    """(doc_id, row, keys): of each text, the band keys that other texts have as well."""
+    bands = table(spark, band_rows(docs, p), "bands")
+    several = table(spark, bands.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "band_keys")
+    # tables on both sides: a key that very many paragraphs share can be divided
+    asked = table(spark, bands.join(several, "key").groupBy("doc_id", "row").agg(F.collect_list("key").alias("keys")), "colliding")
+    drop(spark, bands, several)
+    return asked
 
 
 def _shared(spark: SparkSession, rows: DataFrame, name: str) -> DataFrame:
@@ -135,15 +247,17 @@ def _shared(spark: SparkSession, rows: DataFrame, name: str) -> DataFrame:
     # tables, so that the joins below have an exchange on both sides and a key of very many places can be divided
     several = table(spark, rows.where("not again").groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), f"{name}_keys")
     some = table(spark, rows.join(several, "key"), f"{name}_some")
-    homes = some.groupBy("key").agg(F.min("doc_id").alias("home"), F.max("doc_id").alias("hi"), F.min_by("first", F.when(~F.col("again"), F.col("doc_id"))).alias("at")).where("home < hi")
+    place = F.min_by("first", F.when(~F.col("again"), F.struct("doc_id", "first")))
+    homes = some.groupBy("key").agg(F.min("doc_id").alias("home"), F.max("doc_id").alias("hi"), place.alias("at")).where("home < hi")
     homes = table(spark, homes.drop("hi"), f"{name}_homes")
-    out = table(spark, some.join(homes, "key").select("key", "doc_id", "first", "home", "at"), name)
+    out = table(spark, some.join(homes, "key").select("key", "doc_id", "row", "first", "home", "at"), name)
     drop(spark, several, some, homes)
     return out
 
 
 def runs_of(parts: list[dict], p: Paragraphs) -> list[dict]:
-    """Runs of words to remove, of repeated windows (first, home, at) of one document."""
+    """Runs of words to remove, of repeated windows (first, home, at) of one text; with the home and the place there of the
+    run's first and last word."""
     runs: list[list[int]] = []
     for x in sorted(parts, key=lambda x: (x["first"], x["home"], x["at"])):
         a, home, shift = x["first"], x["home"], x["at"] - x["first"]
@@ -166,58 +280,107 @@ def runs_of(parts: list[dict], p: Paragraphs) -> list[dict]:
                 last[1], last[4:] = b, [*run[4:], changed]
                 continue
         out.append([*run, 0])
-    return [{"first": r[0], "size": r[1] - r[0], "home": r[2]} for r in out]
+    ends = lambda r: (r[2], r[0] + r[3], r[4], r[1] - 1 + r[5])
+    return [{"first": r[0], "size": r[1] - r[0], "ends": ends(r)} for r in out]
 
 
-def repeated_spans(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragraphs()) -> DataFrame:
-    """doc_id, spans array<struct<first, size, home>> of the word runs to remove, for documents that have any;
-    ``home`` is the document in which the passage stays."""
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null and text is not null")
-    every = table(spark, seed_rows(own, p), "seeds")
+RUNS = "doc_id long, row long, first long, size long, home long, home_first long, other long, other_last long"
+
+
+def repeated_runs(spark: SparkSession, own: DataFrame, p: Paragraphs) -> DataFrame:
+    """The runs of words that an earlier document has, of ``own(doc_id, row, text)``."""
+    asked = colliding(spark, own, p)
+    every = table(spark, seed_rows(own, asked, p), "seeds")
     seen = _shared(spark, every, "seen")
-    drop(spark, every)
+    drop(spark, every, asked)
     later = seen.where("doc_id > home")
     # seeds at which a chain of repeats begins or ends
-    order = Window.partitionBy("doc_id").orderBy("first")
+    order = Window.partitionBy("doc_id", "row").orderBy("first")
     near = lambda c: F.coalesce(c <= p.size, F.lit(False))
     ends = later.select("key", near(F.col("first") - F.lag("first").over(order)).alias("l"), near(F.lead("first").over(order) - F.col("first")).alias("r"))
     ends = ends.where("not (l and r)").groupBy("key").agg(F.min("l").alias("l"), F.min("r").alias("r"))
     ends = table(spark, ends, "ends")
     sides = F.array(F.when(~F.col("l"), 2 * F.col("first")), F.when(~F.col("r"), 2 * F.col("first") + 1))
-    asked = seen.join(ends, "key").select("doc_id", F.explode(F.array_compact(sides)).alias("b"))
-    borders = asked.groupBy("doc_id").agg(F.collect_set("b").alias("borders"))
+    asked = seen.join(ends, "key").select("doc_id", "row", F.explode(F.array_compact(sides)).alias("b"))
+    borders = asked.groupBy("doc_id", "row").agg(F.collect_set("b").alias("borders"))
     fringe = table(spark, border_rows(own, borders, p), "fringe")
     found = _shared(spark, fringe, "borders")
     drop(spark, fringe, ends)
     window = F.struct("first", "home", "at")
-    spans = later.unionByName(found.where("doc_id > home")).groupBy("doc_id").agg(F.collect_list(window).alias("parts"))
+    parts = later.unionByName(found.where("doc_id > home")).groupBy("doc_id", "row").agg(F.collect_list(window).alias("parts"))
 
     def merge(batches):
         for batch in batches:
-            rows = [(doc, runs) for doc, parts in zip(batch.column("doc_id").to_pylist(), batch.column("parts").to_pylist()) if (runs := runs_of(parts, p))]
-            kind = pa.list_(pa.struct([("first", pa.int64()), ("size", pa.int64()), ("home", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], kind)], ["doc_id", "spans"])
+            rows = []
+            for doc, row, windows in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "row", "parts"))):
+                rows += [(doc, row, r["first"], r["size"], *r["ends"]) for r in runs_of(windows, p)]
+            columns = list(zip(*rows)) or [()] * 8
+            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], [c.split()[0] for c in RUNS.split(", ")])
 
-    return table(spark, spans.mapInArrow(merge, "doc_id long, spans array<struct<first:long,size:long,home:long>>"), "spans")
+    runs = table(spark, parts.mapInArrow(tidy(merge), RUNS), "runs")
+    drop(spark, seen, found)
+    return runs
+
+
+def clusters(spark: SparkSession, runs: DataFrame) -> DataFrame:
+    """``runs`` with ``kept_in``: the first document of the component that a run belongs to.
+
+    Nodes are stretches of a document that removed runs and the places they repeat cover together; a run links its own stretch with
+    those of its first and its last word's home.
+    """
+    last = F.col("first") + F.col("size")
+    spans = runs.select("doc_id", F.col("first").alias("a"), last.alias("b"))
+    for home, lo, hi in (("home", F.col("home_first"), F.col("home_first") + 1), ("other", F.col("other_last"), F.col("other_last") + 1)):
+        spans = spans.unionByName(runs.select(F.col(home).alias("doc_id"), lo.alias("a"), hi.alias("b")))
+    spans = spans.groupBy("doc_id", "a").agg(F.max("b").alias("b"))
+    order = Window.partitionBy("doc_id").orderBy("a")
+    before = F.max("b").over(order.rowsBetween(Window.unboundedPreceding, -1))
+    spans = spans.withColumn("new", F.when(before.isNull() | (F.col("a") >= before), F.col("a")))
+    spans = spans.select("doc_id", "a", F.xxhash64("doc_id", F.max("new").over(order.rowsBetween(Window.unboundedPreceding, 0))).alias("node"))
+    nodes = table(spark, spans, "stretches")
+    at = lambda doc, a, name: nodes.select(F.col("doc_id").alias(doc), F.col("a").alias(a), F.col("node").alias(name))
+    placed = runs.join(at("doc_id", "first", "mine"), ["doc_id", "first"])
+    placed = placed.join(at("home", "home_first", "one"), ["home", "home_first"]).join(at("other", "other_last", "two"), ["other", "other_last"])
+    placed = table(spark, placed.select("doc_id", "row", "first", "size", "mine", "one", "two"), "placed")
+    links = placed.select(F.col("mine").alias("a"), F.explode(F.array("one", "two")).alias("b")).distinct()
+    labels = table(spark, components(spark, links), "labels")
+    firsts = nodes.select("doc_id", F.col("node").alias("id")).join(labels, "id").groupBy("component").agg(F.min("doc_id").alias("kept_in"))
+    named_ = table(spark, labels.join(firsts, "component").select(F.col("id").alias("mine"), "kept_in"), "kept")
+    out = table(spark, placed.join(named_, "mine").select("doc_id", "row", "first", "size", "kept_in"), "clustered")
+    drop(spark, nodes, placed, labels, named_)
+    return out
+
+
+def repeated_spans(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragraphs()) -> DataFrame:
+    """doc_id, row, spans array<struct<first, size, home>> of the word runs to remove, for each text that has any; ``home`` is the
+    document in which the passage stays, ``row`` tells the texts of a repeated doc_id apart."""
+    found = clusters(spark, repeated_runs(spark, named(docs), p))
+    span = F.struct("first", "size", F.col("kept_in").alias("home"))
+    return found.distinct().groupBy("doc_id", "row").agg(F.array_sort(F.collect_list(span)).alias("spans"))
 
 
 def dedup_substrings(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragraphs()) -> DataFrame:
-    """``docs`` with ``spans`` (word runs removed; empty where none), ``n_removed`` words and ``clean_text``.
+    """``docs`` with ``spans`` (word runs removed; null where none), ``n_removed`` words and ``clean_text``.
 
     A null or empty text stays as it is. A null doc_id takes no part. Rows that repeat a doc_id are one document: a passage that
-    only they share stays, and spans are cut from each. Documents are never dropped; all columns stay, equal names are replaced.
+    only they share stays; what earlier documents have is cut from each by its own spans. Documents are never dropped; all columns
+    stay, whatever their names, and those of the result are replaced.
     """
     own = ["spans", "n_removed", "clean_text"]
     rows = docs.drop(*own)
-    spans = repeated_spans(spark, rows, p)
-    joined = rows.join(spans.withColumnRenamed("doc_id", "span_doc"), rows["doc_id"].cast("long") == F.col("span_doc"), "left").drop("span_doc")
     names = rows.columns
+    id_, text = F.col("doc_id").cast("long"), F.col("text").cast("string")
+    # a struct keeps the caller's names apart from those of the join
+    held = rows.select(F.struct("*").alias("whole"), id_.alias("doc_id"), F.xxhash64(id_, text).alias("row"))
+    spans = table(spark, repeated_spans(spark, rows, p), "spans")
+    joined = held.join(spans, ["doc_id", "row"], "left").select("whole.*", "spans")
 
     def cut(batches):
         for batch in batches:
-            texts, removed = batch.column("text").to_pylist(), [0] * batch.num_rows
-            spans_ = batch.column("spans").to_pylist()
-            for k, runs in enumerate(spans_):
+            lists = batch.column("spans").to_pylist()
+            given = batch.column("text").cast(pa.string())
+            texts, removed = given.to_pylist(), [0] * batch.num_rows
+            for k, runs in enumerate(lists):
                 if not runs or texts[k] is None:
                     continue
                 raw = np.frombuffer(texts[k].encode(), np.uint8)
@@ -230,8 +393,8 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, p: Paragraphs = Parag
                         keep[block.start[a] : stop] = False
                         removed[k] += b - a
                 texts[k] = raw[keep].tobytes().decode()
-            part = [batch.column(c) for c in names]
-            yield pa.RecordBatch.from_arrays([*part, batch.column("spans"), pa.array(removed, pa.int64()), pa.array(texts, pa.string())], [*names, *own])
+            columns = [*batch.columns[:-1], batch.column("spans"), pa.array(removed, pa.int64()), pa.array(texts, pa.string())]
+            yield pa.RecordBatch.from_arrays(columns, [*names, *own])
 
-    schema = ", ".join([*[f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema], "spans array<struct<first:long,size:long,home:long>>, n_removed long, clean_text string"])
-    return joined.select(*names, "spans").mapInArrow(cut, schema)
+    kinds = [StructField("spans", joined.schema["spans"].dataType), StructField("n_removed", LongType()), StructField("clean_text", StringType())]
+    return joined.mapInArrow(tidy(cut), StructType([*rows.schema.fields, *kinds]))

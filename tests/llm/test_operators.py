@@ -36,7 +36,7 @@ def odd_texts():
     base = passage(3, 120)
     near = base.split()
     near[60] = "changed"
-    texts = [None, "", " \t\n", "One", "one two", base, base, base.upper(), " ".join(near), "x\x1cy z\x85w <|endoftext|> q", "é" * 50 + " naïve Σίσυφος ΣΑΣ", passage(9, 20000), "a\nb\n\na\n", "   lead  and   gaps \r\n  "]
+    texts = [None, "", " \t\n", "One", "one two", base, base, base.upper(), " ".join(near), "x\x1cy z\x85w <|endoftext|> q", "é" * 50 + " naïve Σίσυφος ΣΑΣ", passage(9, 60000), "a\nb\n\na\n", "   lead  and   gaps \r\n  "]
     rows = [(i, t, "en", f"s{i % 3}" if i % 4 else None, None, "c", "z", "s") for i, t in enumerate(texts)]
     return [*rows, (None, base, None, None, 1, None, None, None), (3, "One", "en", "s0", 3, "c", "z", "s")]
 
@@ -106,6 +106,79 @@ def test_near_duplicates_of_odd_rows(spark, odd, none):
     assert len(by[3]) == 2 and near_dedup.near_duplicates(spark, none).count() == 0
 
 
+def test_near_duplicates_of_one_id_with_several_texts(spark):
+    """Documents 5 and 6 have two texts each; copies of either text belong to them, and 5 and 6 meet through 9."""
+    a, b, c, d = (passage(200 + i, 80) for i in range(4))
+    near = lambda t, w: " ".join([*t.split()[:40], w, *t.split()[41:]])
+    rows = [(5, a), (5, b), (7, near(b, "x")), (6, c), (6, d), (8, near(d, "y")), (10, passage(300, 80)), (5, a), (9, near(a, "z")), (9, near(c, "q"))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = defaultdict(set)
+    for x in near_dedup.near_duplicates(spark, docs).collect():
+        got[x.doc_id].add((x.component_id, x.kept))
+    assert got == {5: {(5, True)}, 7: {(5, False)}, 6: {(5, False)}, 8: {(5, False)}, 9: {(5, False)}, 10: {(10, True)}}
+    # one id on many rows of different texts
+    rows = [(1, passage(400 + i, 60)) for i in range(60)] + [(2 + i, near(passage(400 + i, 60), "w")) for i in range(0, 60, 7)] + [(900, passage(999, 60))]
+    out = near_dedup.near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert len(out) == len(rows) and {x.component_id for x in out if x.doc_id < 900} == {1} and [x.component_id for x in out if x.doc_id == 900] == [900]
+
+
+def test_copies_are_dropped_row_by_row(spark, odd, none):
+    a, b, c = (passage(500 + i, 80) for i in range(3))
+    near = " ".join([*a.split()[:40], "x", *a.split()[41:]])
+    rows = [(5, a, "p"), (9, near, "q"), (9, b, "r"), (9, b, "r"), (None, near, "s"), (None, c, "t"), (3, "", "u"), (4, None, "v")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, name string")
+    p = near_dedup.MinHash(words=5, percent=80)
+    kept = sorted(x.name for x in near_dedup.drop_copies(spark, docs, p).collect())
+    assert kept == ["p", "r", "t", "u", "v"]
+    assert near_dedup.drop_copies(spark, odd, p).columns == odd.columns and near_dedup.drop_copies(spark, none, p).count() == 0
+
+
+def test_long_texts_cost_little_memory():
+    """Hashing, shingle sets and signatures of a text of 64 MB in a process of its own: its bytes are held once, and a few numbers a word."""
+    import subprocess
+    import sys
+
+    code = """
+import numpy as np
+from spectral_spark.llm import near_dedup, words
+peak = lambda: int(next(l for l in open('/proc/self/status') if l.startswith('VmHWM')).split()[1]) / 1024
+names = [b'w%d ' % i for i in range(100000, 300000)]
+raw = np.frombuffer(b''.join(names[i] for i in np.random.default_rng(1).integers(0, 200000, 8_400_000)), np.uint8)
+del names
+words.release()
+open('/proc/self/clear_refs', 'w').write('5')
+base = peak()
+block = words.Block(raw, np.array([0, len(raw)]))
+sets, limits = words.distinct(*words.shingles(block.hashes(), block.first, 5))
+near_dedup.signature(sets, limits, 128), near_dedup.set_digests(sets, limits)
+print(len(raw) >> 20, peak() - base)
+"""
+    done = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, check=True)
+    size, used = map(float, done.stdout.split())
+    assert size >= 64 and used < 300
+
+
+def test_words_do_not_depend_on_chunks(monkeypatch):
+    from spectral_spark.llm import words
+
+    r = random.Random(13)
+    for _ in range(40):
+        texts = ["".join(r.choice("ab C\n\t é.x") for _ in range(r.randint(0, 60))) for _ in range(r.randint(0, 12))]
+        at = np.cumsum([0, *(len(t.encode()) for t in texts)])
+        raw = np.frombuffer("".join(texts).encode(), np.uint8)
+        seen = []
+        for chunk in (1 << 17, 16, 3):
+            monkeypatch.setattr(words, "CHUNK", chunk)
+            words.powers.cache_clear()
+            b = Block(raw, at)
+            w = b.hashes()
+            seen.append((b.start.tolist(), b.end.tolist(), w.tolist(), b.hashes(prefix=2).tolist(), words.shingles(w, b.first, 3)[0].tolist()))
+        words.powers.cache_clear()
+        assert seen[0] == seen[1] == seen[2]
+        words_of = [m for t in texts for m in __import__("re").findall(rb"[^\x20\x09-\x0d]+", t.encode())]
+        assert [raw[a:b].tobytes() for a, b in zip(*seen[0][:2])] == words_of
+
+
 def test_token_counts_equal_the_library(spark, documents, odd, none):
     lib = tokens.load(tokens.vocabulary("byte_bpe_50k.json"))
     r = random.Random(5)
@@ -205,6 +278,69 @@ def test_mixing(spark, odd, none):
     assert mixing.mix_sources(docs.where("source = 'empty'")).where("copies <> 0").count() == 0
 
 
+def test_mixing_draws_by_row(spark):
+    """Null and repeated ids draw apart; a caller's columns may have any name."""
+    rows = [(None if i % 2 else 7, f"w{i} b c", "null ids", "x") for i in range(8000)] + [(i, "w " * 40, "big", "y") for i in range(2000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, of string").withColumn("row", F.lit(1)).withColumn("key", F.lit(2)).withColumn("whole", F.lit(3))
+    out = mixing.mix_sources(docs)
+    assert out.columns == ["doc_id", "text", "source", "of", "row", "key", "whole", "size", "source_size", "target", "copies"]
+    got = out.groupBy("source").agg(F.sum(F.col("copies") * F.col("size")).alias("taken"), F.max("target").alias("target")).collect()
+    assert len(got) == 2 and all(abs(x.taken - x.target) <= 0.05 * x.target for x in got)
+
+
+def plain_chain(x, labels, fit, folds):
+    """A chain with plain dense features: out-of-fold probabilities of a category are a column for the next one."""
+    seen, models, n = np.zeros((len(x), 0)), [], len(x)
+    for c in range(labels.shape[1]):
+        y, given = labels[:, c], ~np.isnan(labels[:, c])
+        models.append(fit(np.hstack([x, seen])[given], y[given]))
+        out = np.zeros(n)
+        for f in range(folds):
+            held = np.arange(n) % folds == f
+            w = fit(np.hstack([x, seen])[~held & given], y[~held & given])
+            out[held] = 1 / (1 + np.exp(-(np.hstack([x, seen])[held] @ w[:-1] + w[-1])))
+        seen = np.column_stack([seen, out])
+    return models
+
+
+def test_chain_equals_a_plain_one():
+    """The sparse chain against dense matrices and the same descent, labels of one category partly unknown."""
+    r, s = np.random.default_rng(9), toxicity.ChainSettings(buckets=12, chosen=12, steps=150)
+    dense = r.random((160, 12)) < 0.3
+    dense[:2] = True
+    labels = np.column_stack([dense[:, 0] | (r.random(160) < 0.1), dense[:, 0] ^ dense[:, 3]]).astype(float)
+    labels[::9, 0] = np.nan
+    index, limits = np.nonzero(dense)[1], np.concatenate([[0], np.cumsum(dense.sum(1))])
+
+    def fit(x, y):
+        w, rate = np.zeros(x.shape[1] + 1), y.mean()
+        w[-1] = np.log((rate + 1e-3) / (1 - rate + 1e-3))
+        m, v, one = np.zeros_like(w), np.zeros_like(w), np.hstack([x, np.ones((len(x), 1))])
+        for t in range(1, s.steps + 1):
+            g = one.T @ (1 / (1 + np.exp(-(one @ w))) - y)
+            g[:-1] += s.ridge * w[:-1]
+            g /= len(x)
+            m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
+            w = w - 0.05 * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.999**t)) + 1e-8)
+        return w
+
+    chain = toxicity.train_chain(index, limits, labels, ("a", "b"), s)
+    assert [(known >= 0).sum() for known, _ in chain.models] == [12, 12]
+    for (_, w), want in zip(chain.models, plain_chain(dense.astype(float), labels, fit, s.folds)):
+        assert np.allclose(w, want, atol=1e-6)
+    p = chain.predict(index, limits)
+    first = 1 / (1 + np.exp(-(dense @ chain.models[0][1][:-1] + chain.models[0][1][-1])))
+    assert np.allclose(p[:, 0], first) and np.allclose(p[:, 1], 1 / (1 + np.exp(-(np.column_stack([dense, first]) @ chain.models[1][1][:-1] + chain.models[1][1][-1]))))
+
+
+def test_training_rows_are_bounded(spark):
+    """Many rows of one labelled id give one training row; a long text gives at most the bound of features."""
+    docs = spark.createDataFrame([(1, f"a{i} b c") for i in range(500)] + [(2, " ".join(f"w{i}" for i in range(3000)))], "doc_id long, text string")
+    labels = spark.createDataFrame([(1, None, 1), (2, 1, 0), (2, 0, None)], "doc_id long, quality int, toxic int")
+    index, limits, known = toxicity.labelled_features(docs, labels, toxicity.CATEGORIES, toxicity.ChainSettings(sample_features=500))
+    assert len(limits) == 3 and np.diff(limits)[1] == 500 and np.isnan(known[0, 0]) and known[0, 1] == 1 and known[1].tolist() == [1, 0]
+
+
 def test_toxicity_on_held_out_labels(spark):
     sf = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
@@ -240,6 +376,27 @@ def test_archive_round_trip(spark, tmp_path):
     assert doubled.count() == 2 * len(html) and doubled.where("not sound").count() == 0
 
 
+def test_single_records_by_index_entry(spark, tmp_path, monkeypatch):
+    """Each record is read by the file, offset and length that the index names; files are bounded, payloads longer than a piece are whole."""
+    import gzip
+
+    monkeypatch.setattr(warc, "PIECE", 1000)
+    html = [f"<p>{i}</p>" * (1 + 400 * (i % 5)) for i in range(60)] + ["<p>0</p>"]
+    pages = spark.createDataFrame([(i, f"http://h.org/{i}\n", h) for i, h in enumerate(html)], "page_id long, url string, html string").repartition(3)
+    path = str(tmp_path / "a")
+    index = warc.archive(spark, pages, path).collect()
+    assert len(index) == len(html)
+    for x in index:
+        headers, block = warc.fetch(path, x.file, x.offset, x.length)
+        assert headers["warc-record-id"] == f"<urn:page:{x.page_id}>" and headers["warc-target-uri"].endswith("%0A")
+        assert block == (html[x.page_id].encode() if x.record_type == "response" else b"")
+        assert gzip.decompress(open(f"{path}/{x.file}", "rb").read()[x.offset : x.offset + x.length]).startswith(b"WARC/1.1")
+    with open(f"{path}/{index[0].file}", "rb") as f:
+        whole = f.read()
+    with pytest.raises(ValueError):
+        list(warc.members(__import__("io").BytesIO(whole[:-5])))
+
+
 def test_index_is_in_global_order(spark):
     pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
     keys = [(x.url_key, x.captured) for x in warc.archive(spark, pages).collect()]
@@ -282,6 +439,41 @@ def test_vantage_point_recall(spark):
         assert np.mean([len(got[q] & {i for i, _ in found}) / len(found) for q, found in want.items()]) >= 0.9
 
 
+def test_vantage_point_search_prunes(spark):
+    """Clustered vectors: the exact search skips most of them, and a smaller factor skips more; many queries walk a tree together."""
+    r = np.random.default_rng(4)
+    centres = r.normal(size=(40, 16)) * 5
+    m = np.repeat(centres, 100, 0) + r.normal(size=(4000, 16)) * 0.3
+    tree = vp_search.VPTree(np.arange(4000), m, 11)
+    asked, bound = np.arange(0, 4000, 20), np.full(200, np.inf)
+    want = brute.nearest(list(enumerate(m)), [(int(i), m[i]) for i in asked], 10)
+    compared = []
+    for factor in (1.0, 0.5, 0.2):
+        score, who, seen = tree.search(asked, m[asked], 10, factor, bound)
+        compared.append(seen.mean())
+        if factor == 1.0:
+            assert all([int(j) for j in who[k]] == [j for j, _ in want[int(i)]] for k, i in enumerate(asked))
+    assert compared[0] < 0.3 * 4000 and compared == sorted(compared, reverse=True)
+
+
+def test_vantage_point_shards(spark, monkeypatch):
+    """Several shards: exact at factor one, and leaves are skipped where the vectors part."""
+    monkeypatch.setattr(vp_search, "SHARD_ROWS", 150)
+    r = np.random.default_rng(6)
+    m = np.repeat(r.normal(size=(12, 8)) * 6, 100, 0) + r.normal(size=(1200, 8)) * 0.2
+    rows = [(i, v) for i, v in enumerate(m.tolist())] + [(1100, m[1100].tolist())] * 30
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(5)
+    asked = table.where("vec_id % 20 = 0")
+    got = defaultdict(list)
+    compared = {}
+    for x in vp_search.nearest(spark, table, asked, factor=1.0).orderBy("query_id", "rank").collect():
+        got[x.query_id].append(x.vec_id)
+        compared[x.query_id] = x.compared
+    want = brute.nearest([(i, v) for i, v in rows], [(i, m[i]) for i in range(0, 1200, 20)], 10)
+    assert got == {i: [j for j, _ in found] for i, found in want.items()}
+    assert np.mean(list(compared.values())) < 0.5 * len(rows)
+
+
 def test_repeated_passages(spark, none):
     planted = [passage(100 + i, 55 + 5 * i) for i in range(4)]
     r, v = random.Random(11), vocabulary(3000, 12)
@@ -407,6 +599,50 @@ def test_seeds_do_not_depend_on_other_texts():
         assert bool(places) == (len(t.split()) >= p.size)
 
 
+def test_similar_paragraphs_share_a_band():
+    """Every pair of equal paragraphs of 25 words does; of pairs similar at 0.8 or a little more, at least 95 % do."""
+    p, r = substring_dedup.Paragraphs(), random.Random(17)
+
+    def keys(words):
+        raw = " ".join(words).encode()
+        block = Block(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]))
+        return set(substring_dedup.band_runs(block, block.hashes(), p)[1].tolist())
+
+    met = 0
+    for k in range(400):
+        words = [f"v{r.randint(0, 10**6)}" for _ in range(25)]
+        assert keys(words) == keys(list(words))
+        near = list(words)
+        near[r.choice([1, 23])] = "changed"
+        a, b = ({tuple(x[i : i + 5]) for i in range(21)} for x in (words, near))
+        assert 0.8 <= len(a & b) / len(a | b) < 0.9
+        met += bool(keys(words) & keys(near))
+    assert met >= 380
+
+
+def test_clusters_keep_the_first_document(spark):
+    """Document 9 repeats 4, which repeats 2, by different halves of a passage: one component, kept in 2."""
+    a, b = passage(610, 40), passage(611, 40)
+    (x, _), (y, _), (z, _), (w, _) = hosts([a.split(), [*a.split(), *b.split()], b.split(), passage(612, 40).split()], 7)
+    docs = spark.createDataFrame([(2, x), (4, y), (9, z), (11, w)], "doc_id long, text string")
+    out = {d.doc_id: [(s["size"], s["home"]) for s in d.spans] for d in substring_dedup.repeated_spans(spark, docs).collect()}
+    assert out == {4: [(40, 2)], 9: [(40, 4)]}
+    docs = spark.createDataFrame([(2, x), (4, y), (9, z), (1, z)], "doc_id long, text string")
+    out = {d.doc_id: [(s["size"], s["home"]) for s in d.spans] for d in substring_dedup.repeated_spans(spark, docs).collect()}
+    assert out == {4: [(80, 1)], 9: [(40, 1)]}
+
+
+def test_passages_of_rows_that_share_an_id(spark):
+    """Each text loses its own spans; equal names of other columns do not matter."""
+    a = passage(620, 60)
+    (x, _), (y, at), (z, _) = hosts([a.split(), a.split(), passage(621, 60).split()], 8)
+    docs = spark.createDataFrame([(1, x, "q", "s"), (3, y, "q", "s"), (3, z, "q", "s"), (3, y, "q", "s")], "doc_id long, text string, row string, whole string")
+    docs = docs.withColumn("span_doc", F.lit(1)).withColumn("spans", F.lit("x")).withColumn("n_removed", F.lit("x")).withColumn("clean_text", F.lit("x"))
+    out = substring_dedup.dedup_substrings(spark, docs).collect()
+    assert sorted((d.text, d.n_removed) for d in out) == sorted([(x, 0), (y, 60), (z, 0), (y, 60)])
+    assert all(d.clean_text == (d.text if not d.n_removed else " ".join([*y.split()[:at], *y.split()[at + 60 :]])) for d in out)
+
+
 def test_phrases_said_over_and_over_and_long_sentences(spark):
     passages = ["we say this line once more".split() * 20, [f"long{i}" for i in range(90)], ["la"] * 70]
     placed = hosts(passages * 3, 4)
@@ -414,23 +650,64 @@ def test_phrases_said_over_and_over_and_long_sentences(spark):
     assert got == {i: [(at, len(passages[i % 3]))] for i, (_, at) in enumerate(placed) if i >= 3}
 
 
+def removed_by_brute_force(rows, size=25):
+    """(words that must go, words that may): those of runs of ``size`` or of 16 words that an earlier document has."""
+    out = []
+    for n in (size, 16):
+        first = {}
+        for i, words in sorted(rows):
+            for k in range(len(words) - n + 1):
+                first.setdefault(tuple(words[k : k + n]), i)
+        out.append({i: {k + j for k in range(len(words) - n + 1) if first[tuple(words[k : k + n])] < i for j in range(n)} for i, words in rows})
+    return out
+
+
 def test_pipeline_stages(spark):
+    """Every stage on its predecessor's rows, against a plain version of it."""
     import corpus_pipeline as c
 
-    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    sf = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
     seen = {}
     for name, stage in c.STAGES:
-        out = stage(spark, docs, "/root/testdata/sf0.01")
+        out = stage(spark, docs, sf)
         if name != c.STAGES[-1][0]:
             assert out.columns == c.COLUMNS
         seen[name] = (docs, out := out.cache())
         docs = out
     ids = lambda df: Counter(x.doc_id for x in df.select("doc_id").collect())
+    before, after = seen["toxicity"]
+    labels = {x.doc_id: x.toxic for x in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    kept = ids(after)
+    assert kept <= ids(before)
+    # the chain, document by document on plain Python sets of the same features
+    chain = toxicity.fit_toxicity(before, spark.read.parquet(f"{sf}/labels.parquet"))
+    for x in before.collect():
+        raw = (x.text or "").encode()
+        index, limits = toxicity.features(Block(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]), toxicity.NOT_WORD), chain.settings.buckets)
+        found, given = set(index.tolist()), []
+        for known, w in chain.models:
+            at = sorted(int(known[f]) for f in found if known[f] >= 0)
+            n = len(w) - len(given) - 1
+            z = sum(w[k] for k in at) + sum(a * b for a, b in zip(w[n:], given)) + w[-1]
+            given.append(1 / (1 + np.exp(-z)))
+        assert (x.doc_id in kept) == (not found or given[-1] < chain.settings.threshold)
+    known = [x.doc_id for x in before.collect() if x.doc_id in labels]
+    assert sum(labels[i] and i not in kept for i in known) >= 0.9 * sum(labels[i] or 0 for i in known)
+    assert sum(not labels[i] and i not in kept for i in known) <= 0.01 * len(known)
     before, after = seen["near_dedup"]
     want = brute.near_components([(x.doc_id, x.text) for x in before.collect()], 5, 80)
     assert set(ids(after)) == {i for i, (_, c_) in want.items() if i == c_}
     before, after = seen["substring_dedup"]
     assert ids(before) == ids(after)
+    rows = [(x.doc_id, brute.WORD.findall(x.text or "")) for x in before.collect()]
+    must, may = removed_by_brute_force([(i, [brute.lower(w) for w in words]) for i, words in rows])
+    clean = {x.doc_id: brute.WORD.findall(x.text or "") for x in after.collect()}
+    for i, words in rows:
+        # what stays is what must not go, but for short changes between removed runs
+        rest = [w for k, w in enumerate(words) if k not in must[i]]
+        assert len(clean[i]) <= len(rest) and not Counter(clean[i]) - Counter(rest)
+        assert len(words) - len(clean[i]) <= 1.25 * len(may[i]) and (may[i] or clean[i] == words)
     before, after = seen["mixing"]
     rate = {x.doc_id: x.copies for x in mixing.mix_sources(before).collect()}
     assert ids(after) == Counter({i: n for i, n in rate.items() if n})
@@ -438,6 +715,23 @@ def test_pipeline_stages(spark):
     assert ids(after.where("piece = 0")) == ids(before)
 
 
+def test_pipeline_of_odd_rows(spark, odd, none, tmp_path):
+    """Nulls, repeats and empty tables through all stages."""
+    import corpus_pipeline as c
+
+    labels = spark.createDataFrame([(5, 1, 0), (8, 1, 1), (9, None, 1), (None, 1, 1)], "doc_id long, quality int, toxic int")
+    for name, docs in (("odd", odd), ("none", none)):
+        sf = str(tmp_path / name)
+        docs.select(*c.COLUMNS).write.parquet(f"{sf}/documents.parquet")
+        labels.write.parquet(f"{sf}/labels.parquet")
+        rows = c.run(spark, sf).collect()
+        assert bool(rows) == (name == "odd")
+        ends = defaultdict(int)
+        for x in sorted(rows, key=lambda x: (x.sequence_id, x.offset)):
+            assert x.offset == ends[x.sequence_id]
+            ends[x.sequence_id] += x.length
+
+
 def test_cuts_agree_with_the_tokenizers_on_noise():
     """Any mix of characters: ids and counts of the parts are those of the whole text."""
     r = random.Random(21)
