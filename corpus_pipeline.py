@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spectral_spark.llm.mixing import mix_sources
-from spectral_spark.llm.near_dedup import MinHash, near_duplicates
+from spectral_spark.llm.near_dedup import MinHash, drop_copies
 from spectral_spark.llm.packing import pack
 from spectral_spark.llm.store import table
 from spectral_spark.llm.substring_dedup import dedup_substrings
@@ -26,16 +26,16 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of each group; shingles of five words, similarity 0.8."""
-    found = near_duplicates(spark, docs, MinHash(words=5, percent=80))
-    return docs.join(found.where("not kept").select("doc_id").distinct(), "doc_id", "left_anti").select(*COLUMNS)
+    """The row of least id of each group; shingles of five words, similarity 0.8."""
+    return drop_copies(spark, docs.select(*COLUMNS), MinHash(words=5, percent=80)).select(*COLUMNS)
 
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages stay where they stand first and are cut from all other texts."""
     out = dedup_substrings(spark, docs.select(*COLUMNS))
     cut = F.col("n_removed") > 0
-    return out.withColumn("n_chars", F.when(cut, F.length("clean_text").cast("long")).otherwise(F.col("n_chars"))).withColumn("text", F.col("clean_text")).select(*COLUMNS)
+    size = F.when(cut, F.length("clean_text").cast("long")).otherwise(F.col("n_chars"))
+    return out.withColumn("n_chars", size).withColumn("text", F.col("clean_text")).select(*COLUMNS)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -56,7 +56,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: A trained classifier and MinHash components have no SQL form; tests compare the stages with brute force.
+#: A trained classifier and MinHash components have no SQL form; tests/llm compare every stage with a brute-force version.
 ORACLE_SQL = None
 
 
