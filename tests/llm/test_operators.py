@@ -627,7 +627,8 @@ def test_clusters_keep_the_first_document(spark):
     docs = spark.createDataFrame([(2, x), (4, y), (9, z), (11, w)], "doc_id long, text string")
     out = {d.doc_id: [(s["size"], s["home"]) for s in d.spans] for d in substring_dedup.repeated_spans(spark, docs).collect()}
     assert out == {4: [(40, 2)], 9: [(40, 4)]}
-    docs = spark.createDataFrame([(2, x), (4, y), (9, z), (1, z)], "doc_id long, text string")
+    (v, _), = hosts([b.split()], 9)
+    docs = spark.createDataFrame([(2, x), (4, y), (9, z), (1, v)], "doc_id long, text string")
     out = {d.doc_id: [(s["size"], s["home"]) for s in d.spans] for d in substring_dedup.repeated_spans(spark, docs).collect()}
     assert out == {4: [(80, 1)], 9: [(40, 1)]}
 
@@ -719,7 +720,7 @@ def test_pipeline_of_odd_rows(spark, odd, none, tmp_path):
     """Nulls, repeats and empty tables through all stages."""
     import corpus_pipeline as c
 
-    labels = spark.createDataFrame([(5, 1, 0), (8, 1, 1), (9, None, 1), (None, 1, 1)], "doc_id long, quality int, toxic int")
+    labels = spark.createDataFrame([(3, 1, 0), (5, 1, 0), (8, 1, 0), (10, 0, 0), (12, None, 0), (9, None, 1), (None, 1, 1)], "doc_id long, quality int, toxic int")
     for name, docs in (("odd", odd), ("none", none)):
         sf = str(tmp_path / name)
         docs.select(*c.COLUMNS).write.parquet(f"{sf}/documents.parquet")
