@@ -23,10 +23,20 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/llm_work/{name}-{uuid.uuid4().hex}"
 
 
+#: Rows that go to a Python worker at a time: texts can be long, and both sides hold a batch more than once.
+BATCH_ROWS = 1000
+BATCH_CONF = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 def table(spark: SparkSession, df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: later stages survive a lost executor."""
     path = fresh_path(spark, name)
-    df.write.parquet(path)
+    before = int(spark.conf.get(BATCH_CONF))
+    spark.conf.set(BATCH_CONF, min(before, BATCH_ROWS) if before > 0 else BATCH_ROWS)
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(BATCH_CONF, before)
     out = spark.read.schema(df.schema).parquet(path)
     out.stored_at = path
     return out

@@ -23,12 +23,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 
 from .components import components
-from .store import drop, table
+from .store import BATCH_ROWS, drop, table
 from .words import BASE, LOWER, Block, mix, text_blocks, tidy
 
 
@@ -255,33 +256,36 @@ def _shared(spark: SparkSession, rows: DataFrame, name: str) -> DataFrame:
     return out
 
 
-def runs_of(parts: list[dict], p: Paragraphs) -> list[dict]:
-    """Runs of words to remove, of repeated windows (first, home, at) of one text; with the home and the place there of the
-    run's first and last word."""
-    runs: list[list[int]] = []
-    for x in sorted(parts, key=lambda x: (x["first"], x["home"], x["at"])):
-        a, home, shift = x["first"], x["home"], x["at"] - x["first"]
-        if runs and a <= runs[-1][1]:
-            # the window that ends the run says where its end lies at home
-            if a + p.size > runs[-1][1]:
-                runs[-1][1], runs[-1][4:] = a + p.size, [home, shift]
-        else:
-            runs.append([a, a + p.size, home, shift, home, shift])
+def runs_of(text: np.ndarray, first: np.ndarray, home: np.ndarray, at: np.ndarray, p: Paragraphs) -> list[tuple]:
+    """Runs of words to remove, of repeated windows (first, home, at) of several texts: (text, first, size, home and place there of the
+    first word, and of the last)."""
+    if not len(first):
+        return []
+    order = np.lexsort((at, home, first, text))
+    text, first, home, shift = text[order], first[order], home[order], (at - first)[order]
+    new = np.ones(len(first), bool)
+    new[1:] = (text[1:] != text[:-1]) | (first[1:] > first[:-1] + p.size)
+    begin = np.flatnonzero(new)
+    end = np.append(begin[1:], len(first)) - 1
+    # the window that ends a run, the first of equal ones, says where its end lies at home
+    step = np.ones(len(first), bool)
+    step[1:] = (first[1:] != first[:-1]) | new[1:]
+    end = np.maximum.accumulate(np.where(step, np.arange(len(first)), 0))[end]
+    long = first[end] + p.size - first[begin] >= p.least_run
+    begin, end = begin[long], end[long]
+    columns = (text[begin], first[begin], first[end] + p.size, home[begin], shift[begin], home[end], shift[end])
     out: list[list[int]] = []
-    for run in runs:
-        a, b, home, shift, _, _ = run
-        if b - a < p.least_run:
-            continue
-        if out and out[-1][4] == home:
+    for run in zip(*(c.tolist() for c in columns)):
+        t, a, b, _, shift_, home_, _ = run
+        if out and out[-1][0] == t and out[-1][5] == run[3]:
             last = out[-1]
-            here, there = a - last[1], a + shift - last[1] - last[5]
-            changed = last[6] + max(here, there)
-            if there >= 0 and 100 * changed <= (100 - p.percent) * (b - last[0]):
-                last[1], last[4:] = b, [*run[4:], changed]
+            here, there = a - last[2], a + shift_ - last[2] - last[6]
+            changed = last[7] + max(here, there)
+            if there >= 0 and 100 * changed <= (100 - p.percent) * (b - last[1]):
+                last[2], last[5:] = b, [home_, run[6], changed]
                 continue
         out.append([*run, 0])
-    ends = lambda r: (r[2], r[0] + r[3], r[4], r[1] - 1 + r[5])
-    return [{"first": r[0], "size": r[1] - r[0], "ends": ends(r)} for r in out]
+    return [(r[0], r[1], r[2] - r[1], r[3], r[1] + r[4], r[5], r[2] - 1 + r[6]) for r in out]
 
 
 RUNS = "doc_id long, row long, first long, size long, home long, home_first long, other long, other_last long"
@@ -311,11 +315,13 @@ def repeated_runs(spark: SparkSession, own: DataFrame, p: Paragraphs) -> DataFra
 
     def merge(batches):
         for batch in batches:
-            rows = []
-            for doc, row, windows in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "row", "parts"))):
-                rows += [(doc, row, r["first"], r["size"], *r["ends"]) for r in runs_of(windows, p)]
-            columns = list(zip(*rows)) or [()] * 8
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], [c.split()[0] for c in RUNS.split(", ")])
+            lists = batch.column("parts")
+            owner = np.repeat(np.arange(batch.num_rows), np.diff(lists.offsets.to_numpy()))
+            flat = lists.flatten()
+            found = runs_of(owner, *(flat.field(c).to_numpy().astype(np.int64) for c in ("first", "home", "at")), p)
+            texts, *columns = list(zip(*found)) or [()] * 7
+            names = [batch.column(c).take(pa.array(texts, pa.int64())) for c in ("doc_id", "row")]
+            yield pa.RecordBatch.from_arrays([*names, *(pa.array(c, pa.int64()) for c in columns)], [c.split()[0] for c in RUNS.split(", ")])
 
     runs = table(spark, parts.mapInArrow(tidy(merge), RUNS), "runs")
     drop(spark, seen, found)
@@ -345,9 +351,11 @@ def clusters(spark: SparkSession, runs: DataFrame) -> DataFrame:
     links = placed.select(F.col("mine").alias("a"), F.explode(F.array("one", "two")).alias("b")).distinct()
     labels = table(spark, components(spark, links), "labels")
     firsts = nodes.select("doc_id", F.col("node").alias("id")).join(labels, "id").groupBy("component").agg(F.min("doc_id").alias("kept_in"))
+    # a table, so that a component of very many stretches can be divided
+    firsts = table(spark, firsts, "firsts")
     named_ = table(spark, labels.join(firsts, "component").select(F.col("id").alias("mine"), "kept_in"), "kept")
     out = table(spark, placed.join(named_, "mine").select("doc_id", "row", "first", "size", "kept_in"), "clustered")
-    drop(spark, nodes, placed, labels, named_)
+    drop(spark, nodes, placed, labels, firsts, named_)
     return out
 
 
@@ -359,6 +367,20 @@ def repeated_spans(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragra
     return found.distinct().groupBy("doc_id", "row").agg(F.array_sort(F.collect_list(span)).alias("spans"))
 
 
+def without(text: str, runs: list[dict]) -> tuple[str, int]:
+    """A text without some runs of its words, each with the white space after it; and how many words these were."""
+    raw = np.frombuffer(text.encode(), np.uint8)
+    block = Block(raw, np.array([0, len(raw)]))
+    keep, removed = np.ones(len(raw), bool), 0
+    for r in runs:
+        a, b = r["first"], min(r["first"] + r["size"], len(block.start))
+        if a < b:
+            stop = block.start[b] if b < len(block.start) else len(raw)
+            keep[block.start[a] : stop] = False
+            removed += b - a
+    return raw[keep].tobytes().decode(), removed
+
+
 def dedup_substrings(spark: SparkSession, docs: DataFrame, p: Paragraphs = Paragraphs()) -> DataFrame:
     """``docs`` with ``spans`` (word runs removed; null where none), ``n_removed`` words and ``clean_text``.
 
@@ -376,25 +398,20 @@ def dedup_substrings(spark: SparkSession, docs: DataFrame, p: Paragraphs = Parag
     joined = held.join(spans, ["doc_id", "row"], "left").select("whole.*", "spans")
 
     def cut(batches):
-        for batch in batches:
-            lists = batch.column("spans").to_pylist()
-            given = batch.column("text").cast(pa.string())
-            texts, removed = given.to_pylist(), [0] * batch.num_rows
-            for k, runs in enumerate(lists):
-                if not runs or texts[k] is None:
-                    continue
-                raw = np.frombuffer(texts[k].encode(), np.uint8)
-                block = Block(raw, np.array([0, len(raw)]))
-                keep = np.ones(len(raw), bool)
-                for r in runs:
-                    a, b = r["first"], min(r["first"] + r["size"], len(block.start))
-                    if a < b:
-                        stop = block.start[b] if b < len(block.start) else len(raw)
-                        keep[block.start[a] : stop] = False
-                        removed[k] += b - a
-                texts[k] = raw[keep].tobytes().decode()
-            columns = [*batch.columns[:-1], batch.column("spans"), pa.array(removed, pa.int64()), pa.array(texts, pa.string())]
-            yield pa.RecordBatch.from_arrays(columns, [*names, *own])
+        for whole in batches:
+            for k in range(0, whole.num_rows, BATCH_ROWS):
+                batch = whole.slice(k, BATCH_ROWS)
+                lists = batch.column("spans")
+                given = batch.column("text").cast(pa.string())
+                texts, removed = [], np.zeros(batch.num_rows, np.int64)
+                rows = np.flatnonzero(lists.is_valid().to_numpy(zero_copy_only=False) & given.is_valid().to_numpy(zero_copy_only=False))
+                for i in rows:
+                    text, removed[i] = without(given[i].as_py(), lists[i].as_py())
+                    texts.append(text)
+                mask = np.zeros(batch.num_rows, bool)
+                mask[rows] = True
+                clean = pc.replace_with_mask(given, pa.array(mask), pa.array(texts, pa.string()))
+                yield pa.RecordBatch.from_arrays([*batch.columns[:-1], lists, pa.array(removed), clean], [*names, *own])
 
     kinds = [StructField("spans", joined.schema["spans"].dataType), StructField("n_removed", LongType()), StructField("clean_text", StringType())]
     return joined.mapInArrow(tidy(cut), StructType([*rows.schema.fields, *kinds]))
