@@ -4,20 +4,23 @@ A worker holds whole lines of the active axis and a range of the other two. At a
 each receiver, which pastes them into a zeroed block. Third-axis ranges do not change at a switch, so a worker
 exchanges with the peers of its row or column of the worker grid only.
 
-- ``packed_barrier``: all tiles are packed; a receiver starts when all of its tiles have arrived (a grouped function).
+- ``packed_barrier``: all tiles are packed; a receiver pastes when all of its tiles have arrived.
 - ``batched_async``: tiles leave in batches of bounded size and are pasted as they come, in any order (no sort).
 - ``unpacked_direct``: cells are sent as rows, without packing; the receiver alone orders them.
 
-Zeros of padded axes are made by the receiver and cut off before sending back, so they are never moved.
+All three place a worker by its number, so that each is one task. Zeros of padded axes are made by the receiver and cut off before
+sending back, so they are never moved. A complex tile is sent as it lies in memory (``re`` holds both parts, ``im`` is empty).
 """
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+from pyspark import AccumulatorParam
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,14 +33,30 @@ TILE_NAMES = [c.split()[0] for c in TILE.split(", ")]
 TILE_ARROW = pa.schema([("dst", pa.int32()), ("src", pa.int32()), ("seq", pa.int32()), ("comp", pa.int32()), ("o", pa.list_(pa.int32())), ("n", pa.list_(pa.int32())), ("re", pa.binary()), ("im", pa.binary())])
 CELLS = "dst int, comp int, ix int, iy int, iz int, re double, im double"
 CELLS_ARROW = pa.schema([("dst", pa.int32()), ("comp", pa.int32()), ("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("re", pa.float64()), ("im", pa.float64())])
-#: Component number of a kernel that travels with the field.
-KERNEL = -1
+#: Component numbers of kernels that travel with the field: KERNEL, KERNEL - 1, ...
+KERNEL = -10
 #: A kernel's finished spectrum, read from storage at the last forward switch.
 READY = -2
 
 Blocks = dict[int, np.ndarray]
 
 
+def is_kernel(comp: int) -> bool:
+    return comp <= KERNEL
+
+
+class Clock(AccumulatorParam):
+    """Seconds that the workers spend, by (step, on the way back, phase)."""
+
+    def zero(self, value: dict) -> dict:
+        return {}
+
+    def addInPlace(self, a: dict, b: dict) -> dict:
+        for key, seconds in b.items():
+            a[key] = a.get(key, 0.0) + seconds
+        return a
+
+
 @dataclass(frozen=True)
 class Workers:
     """A worker grid over a plan: who owns what at each step, under one index distribution."""
@@ -48,6 +67,8 @@ class Workers:
     distribution: str = "strided"
     #: Workers of a machine; if set, those of the same machine are served first (tried by the reference, without gain).
     node_size: int = 0
+    #: An accumulator of :class:`Clock`, or none.
+    clock: object = field(default=None, compare=False)
     grid: tuple[int, int] = field(init=False)
 
     def __post_init__(self):
@@ -97,7 +118,7 @@ def cut(blocks: Blocks, w: Workers, worker: int, step: int, to: int, tile_bytes:
     for comp, block in blocks.items():
         mine = [(a, a + n) for a, n in zip(_origin(w, worker, step, comp), block.shape)]
         for seq, dst in enumerate(w.peers(worker, step, to)):
-            theirs = w.ranges(dst, to, comp == KERNEL, to < step)
+            theirs = w.ranges(dst, to, is_kernel(comp), to < step)
             lo = [max(a[0], b[0]) for a, b in zip(mine, theirs)]
             hi = [min(a[1], b[1]) for a, b in zip(mine, theirs)]
             if any(x >= y for x, y in zip(lo, hi)):
@@ -106,12 +127,12 @@ def cut(blocks: Blocks, w: Workers, worker: int, step: int, to: int, tile_bytes:
             for x in range(lo[0], hi[0], rows):
                 y = min(x + rows, hi[0])
                 part = block[x - mine[0][0] : y - mine[0][0], lo[1] - mine[1][0] : hi[1] - mine[1][0], lo[2] - mine[2][0] : hi[2] - mine[2][0]]
-                im = np.ascontiguousarray(part.imag).tobytes() if np.iscomplexobj(part) else None
-                yield dst, worker, seq, comp, [x, lo[1], lo[2]], list(part.shape), np.ascontiguousarray(part.real).tobytes(), im
+                im = b"" if np.iscomplexobj(part) else None
+                yield dst, worker, seq, comp, [x, lo[1], lo[2]], list(part.shape), np.ascontiguousarray(part), im
 
 
 def _origin(w: Workers, worker: int, step: int, comp: int) -> list[int]:
-    return [r[0] for r in w.ranges(worker, step, comp == KERNEL)]
+    return [r[0] for r in w.ranges(worker, step, is_kernel(comp))]
 
 
 class Receiver:
@@ -122,40 +143,46 @@ class Receiver:
         self.blocks: Blocks = {}
 
     def target(self, comp: int, is_complex: bool) -> tuple[np.ndarray, list[int]]:
-        ranges = self.w.ranges(self.worker, self.step, comp == KERNEL, self.done or comp == READY)
+        ranges = self.w.ranges(self.worker, self.step, is_kernel(comp), self.done or comp == READY)
         if comp not in self.blocks:
             self.blocks[comp] = np.zeros([b - a for a, b in ranges], complex if is_complex else float)
         elif is_complex and not np.iscomplexobj(self.blocks[comp]):
             self.blocks[comp] = self.blocks[comp].astype(complex)
         return self.blocks[comp], [a for a, _ in ranges]
 
-    def paste(self, comp: int, o: list[int], n: list[int], re: bytes, im: bytes | None) -> None:
+    def paste(self, comp: int, o: list[int], n: list[int], re, im: bytes | None) -> None:
         block, origin = self.target(comp, im is not None)
-        part = np.frombuffer(re).reshape(n)
-        if im is not None:
-            part = part + 1j * np.frombuffer(im).reshape(n)
+        part = np.frombuffer(re, float if im is None else complex).reshape(n)
         block[tuple(slice(a - b, a - b + m) for a, b, m in zip(o, origin, n))] = part
 
-    def paste_cells(self, comp: np.ndarray, at: list[np.ndarray], re: np.ndarray, im: np.ndarray | None) -> None:
+    def paste_cells(self, comp: np.ndarray, at: list[np.ndarray], values: np.ndarray) -> None:
+        """Cells that are given twice add up."""
         for c in np.unique(comp):
             mask = comp == c
-            block, origin = self.target(int(c), im is not None)
+            block, origin = self.target(int(c), np.iscomplexobj(values))
             flat = np.ravel_multi_index(tuple(x[mask] - b for x, b in zip(at, origin)), block.shape)
-            # cells that are given twice add up
-            block.real += np.bincount(flat, re[mask], block.size).reshape(block.shape)
-            if im is not None:
-                block.imag += np.bincount(flat, im[mask], block.size).reshape(block.shape)
+            np.add.at(block.reshape(-1), flat, values[mask])
+
+
+def bytes_column(arrays: list[np.ndarray]) -> pa.Array:
+    """Binary values from arrays; a single one is not copied."""
+    sizes = [a.nbytes for a in arrays]
+    flat = [a.reshape(-1).view(np.uint8) for a in arrays]
+    data = flat[0] if len(flat) == 1 else np.concatenate([np.zeros(0, np.uint8), *flat])
+    offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(arrays), [None, pa.py_buffer(offsets), pa.py_buffer(data)])
 
 
-def tile_table(rows: Iterable[tuple]) -> pa.Table:
+def tile_batch(rows: Iterable[tuple]) -> pa.RecordBatch:
     columns = list(zip(*rows)) or [()] * len(TILE_NAMES)
-    return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(columns, TILE_ARROW)], schema=TILE_ARROW)
+    arrays = [bytes_column(list(c)) if f.name == "re" else pa.array(c, f.type) for c, f in zip(columns, TILE_ARROW)]
+    return pa.RecordBatch.from_arrays(arrays, schema=TILE_ARROW)
 
 
-def own_tiles(blocks: Blocks, w: Workers, worker: int) -> pa.Table:
+def own_tiles(blocks: Blocks, w: Workers, worker: int) -> pa.RecordBatch:
     """Spectral blocks of the last step as tiles for the same worker."""
     origin = [a for a, _ in w.ranges(worker, 2, done=True)]
-    return tile_table([(worker, worker, 0, c, origin, list(b.shape), np.ascontiguousarray(b).tobytes(), None) for c, b in blocks.items()])
+    return tile_batch([(worker, worker, 0, c, origin, list(b.shape), np.ascontiguousarray(b), None) for c, b in blocks.items()])
 
 
 def cell_columns(blocks: Blocks, w: Workers, worker: int, step: int) -> Iterator[tuple[int, list[np.ndarray], np.ndarray]]:
@@ -170,7 +197,7 @@ def cell_rows(blocks: Blocks, w: Workers, worker: int, step: int, to: int) -> It
     for comp, at, value in cell_columns(blocks, w, worker, step):
         owner = np.zeros(len(value), np.int64)
         for axis, parts, weight in zip(w.divided(to), w.grid, (w.grid[1], 1)):
-            owner += Distribution(w.size(axis, to, comp == KERNEL), parts, w.distribution).owners()[at[axis]] * weight
+            owner += Distribution(w.size(axis, to, is_kernel(comp)), parts, w.distribution).owners()[at[axis]] * weight
         im = pa.array(value.imag) if np.iscomplexobj(value) else pa.nulls(len(value), pa.float64())
         arrays = [pa.array(owner.astype(np.int32)), pa.array(np.full(len(value), comp, np.int32)), *[pa.array(x.astype(np.int32)) for x in at], pa.array(np.ascontiguousarray(value.real)), im]
         yield pa.RecordBatch.from_arrays(arrays, schema=CELLS_ARROW)
@@ -179,62 +206,99 @@ def cell_rows(blocks: Blocks, w: Workers, worker: int, step: int, to: int) -> It
 Work = Callable[[Blocks, int], Blocks]
 
 
+#: Bytes of tiles that ``packed_barrier`` hands over in one message, so that no Arrow column outgrows its offsets.
+MESSAGE_BYTES = 1 << 30
+
+
 def _emit(blocks: Blocks, w: Workers, worker: int, step: int, to: int, strategy: str, batch: int) -> Iterator[pa.RecordBatch]:
     if strategy == "unpacked_direct":
         yield from cell_rows(blocks, w, worker, step, to)
-    elif strategy == "packed_barrier":
-        yield from tile_table(list(cut(blocks, w, worker, step, to))).to_batches()
-    else:
-        held = []
-        for tile in cut(blocks, w, worker, step, to):
-            held.append(tile)
-            if len(held) == batch:
-                yield from tile_table(held).to_batches()
-                held = []
-        if held:
-            yield from tile_table(held).to_batches()
+        return
+    tiles = cut(blocks, w, worker, step, to)
+    if strategy == "packed_barrier":
+        tiles, batch = iter(list(tiles)), 1 << 30
+    held, size = [], 0
+    for tile in tiles:
+        held.append(tile)
+        size += tile[6].nbytes
+        if len(held) == batch or size >= MESSAGE_BYTES:
+            yield tile_batch(held)
+            held, size = [], 0
+    if held:
+        yield tile_batch(held)
 
 
 def sent_schema(strategy: str) -> str:
     return CELLS if strategy == "unpacked_direct" else TILE
 
 
-def switch(sent: DataFrame, w: Workers, step: int, work: Work, finish: Callable[[Blocks, int], Iterator[pa.RecordBatch]], schema: str, strategy: str, done: bool = False) -> DataFrame:
+Finish = Callable[[Blocks, int], Iterator[pa.RecordBatch]]
+
+
+def switch(sent: DataFrame, w: Workers, step: int, work: Work, finish: Finish, schema: str, strategy: str, done: bool = False) -> DataFrame:
     """Receive at ``step`` (``done``: on the way back), apply ``work`` to each worker's blocks and let ``finish`` emit the outcome."""
-    if strategy == "batched_async":
-
-        def absorb(batches):
-            held: dict[int, Receiver] = {}
-            for b in batches:
-                for t in b.to_pylist():
-                    held.setdefault(t["dst"], Receiver(w, t["dst"], step, done)).paste(t["comp"], t["o"], t["n"], t["re"], t["im"])
-            for worker in sorted(held):
-                yield from finish(work(held.pop(worker).blocks, worker), worker)
-
-        return sent.repartitionById(w.p, F.col("dst")).mapInArrow(absorb, schema)
-
-    def gather(table: pa.Table) -> pa.Table:
-        worker = table.column("dst")[0].as_py()
-        receiver = Receiver(w, worker, step, done)
-        if strategy == "packed_barrier":
-            for t in table.to_pylist():
-                receiver.paste(t["comp"], t["o"], t["n"], t["re"], t["im"])
-        else:
-            _paste_table(receiver, table)
-        return pa.Table.from_batches(list(finish(work(receiver.blocks, worker), worker)))
+    clock = w.clock
 
-    return sent.groupBy("dst").applyInArrow(gather, schema)
+    def absorb(batches):
+        held: dict[int, Receiver] = {}
+        spent = {"communication": 0.0, "copy": 0.0, "compute": 0.0}
+        last = time.perf_counter()
 
+        def lap(phase: str) -> None:
+            nonlocal last
+            now = time.perf_counter()
+            spent[phase] += now - last
+            last = now
 
-def _paste_table(receiver: Receiver, table: pa.Table) -> None:
-    comp = table.column("comp").to_numpy()
-    at = [table.column(c).to_numpy() for c in ("ix", "iy", "iz")]
-    im = table.column("im")
-    for c in np.unique(comp):
-        mask = comp == c
-        part = im.filter(pa.array(mask))
-        values = None if part.null_count == len(part) else part.to_numpy()
-        receiver.paste_cells(comp[mask], [x[mask] for x in at], table.column("re").to_numpy()[mask], values)
+        paste = _paste_cells if strategy == "unpacked_direct" else _paste_tiles
+        waiting = []
+        for b in batches:
+            lap("communication")
+            if strategy == "packed_barrier":
+                # nothing is pasted before all tiles have come
+                waiting.append(b)
+            else:
+                paste(b, held, w, step, done)
+                lap("copy")
+        lap("communication")
+        while waiting:
+            paste(waiting.pop(), held, w, step, done)
+        lap("copy")
+        for worker in sorted(held):
+            blocks = work(held.pop(worker).blocks, worker)
+            lap("compute")
+            for batch in finish(blocks, worker):
+                lap("copy")
+                yield batch
+                lap("communication")
+            lap("copy")
+        if clock is not None:
+            clock.add({(step, done, phase): seconds for phase, seconds in spent.items()})
+
+    return sent.repartitionById(w.p, F.col("dst")).mapInArrow(absorb, schema)
+
+
+def _paste_tiles(b: pa.RecordBatch, held: dict[int, Receiver], w: Workers, step: int, done: bool) -> None:
+    heads = zip(*(b.column(c).to_pylist() for c in ("dst", "comp", "o", "n", "im")))
+    for (dst, comp, o, n, im), re in zip(heads, b.column("re")):
+        if dst not in held:
+            held[dst] = Receiver(w, dst, step, done)
+        held[dst].paste(comp, o, n, re.as_buffer(), im)
+
+
+def _paste_cells(b: pa.RecordBatch, held: dict[int, Receiver], w: Workers, step: int, done: bool) -> None:
+    dsts, comp = b.column("dst").to_numpy(), b.column("comp").to_numpy()
+    at = [b.column(c).to_numpy() for c in ("ix", "iy", "iz")]
+    re, im = b.column("re").to_numpy(), b.column("im")
+    given = im.is_valid().to_numpy(zero_copy_only=False)
+    both = re if not given.any() else re + 1j * im.fill_null(0.0).to_numpy()
+    for dst in np.unique(dsts):
+        if dst not in held:
+            held[int(dst)] = Receiver(w, int(dst), step, done)
+        for cut_ in (given, ~given):
+            mask = (dsts == dst) & cut_
+            if mask.any():
+                held[int(dst)].paste_cells(comp[mask], [x[mask] for x in at], both[mask] if cut_ is given else re[mask])
 
 
 def start(cells: DataFrame, w: Workers, work: Work, strategy: str, batch: int, to: int = 1) -> DataFrame:

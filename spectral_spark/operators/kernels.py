@@ -174,20 +174,43 @@ def _lattice(d: int, offsets: list[np.ndarray], kappa2: np.ndarray, h: float) ->
     return out
 
 
+def numbered(key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of non-negative integers and each one's place among them; by counting where they are dense, else by sorting."""
+    top = int(key.max()) + 1 if len(key) else 0
+    if top > 4 * len(key) + 1024:
+        return np.unique(key, return_inverse=True)
+    present = np.flatnonzero(np.bincount(key, minlength=top))
+    place = np.zeros(top, np.int64)
+    place[present] = np.arange(len(present))
+    return present, place[key]
+
+
 def sample(kernel: str, offsets: list[np.ndarray], kappa2: np.ndarray, h: float, origin: str = "cell_mean") -> np.ndarray:
-    """Kernel at integer offsets along the open axes (one array per axis) and kappa2, flat arrays of one length."""
+    """Kernel at integer offsets along the open axes (one array per axis) and kappa2, flat arrays of one length.
+
+    A kernel depends on the squared distance and kappa2 alone (``lattice``: on the offsets in any order), so it is evaluated once
+    for each distinct pair of these.
+    """
     d = len(offsets)
+    if len(kappa2) and (kappa2 == kappa2[0]).all():
+        levels, level = kappa2[:1], np.zeros(len(kappa2), np.int64)
+    else:
+        levels, level = np.unique(kappa2, return_inverse=True)
     if kernel == "lattice":
-        columns = [np.sort(np.stack(offsets), 0), kappa2]
+        ordered = np.sort(np.stack(offsets), 0).astype(np.int64)
+        size = int(ordered.max(initial=0)) + 1
+        key = np.zeros(len(kappa2), np.int64)
+        for row in ordered:
+            key = key * size + row
     else:
-        columns = [sum(o.astype(np.int64) ** 2 for o in offsets)[None], kappa2]
-    key = np.concatenate([columns[0].astype(float), kappa2[None]])
-    distinct, back = np.unique(key, axis=1, return_inverse=True)
-    k2 = distinct[-1]
+        key = sum(o.astype(np.int64) ** 2 for o in offsets)
+    distinct, back = numbered(key * len(levels) + level.ravel())
+    k2, at = levels[distinct % max(len(levels), 1)], distinct // max(len(levels), 1)
     if kernel == "lattice":
-        g = _lattice(d, [row.astype(np.int64) for row in distinct[:-1]], k2, h)
+        rows = [at // size**k % size for k in reversed(range(d))]
+        g = _lattice(d, rows, k2, h)
     else:
-        r = h * np.sqrt(distinct[0])
+        r = h * np.sqrt(at)
         if kernel == "singular":
             g = _singular(d, r, k2, h, origin)
         elif kernel in ("cutoff", TRUNCATED):

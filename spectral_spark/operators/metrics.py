@@ -128,4 +128,30 @@ def phases(spark: SparkSession, run, label: str, workers: int) -> list[dict]:
     return [*rows, {**total, "phase": "total", "shuffle_read": None, "shuffle_write": None}]
 
 
+#: What a worker does in a line pass: its transforms; packing, pasting and clearing; and waiting for, or handing over, tiles.
+PHASES = ("compute", "copy", "communication")
+
+
+def breakdown(spark: SparkSession, run, label: str) -> DataFrame:
+    """(strategy, line_pass, phase, seconds) of a solve, added up over its workers. ``run(clock)`` gives the solve with that clock in
+    its options; line passes are numbered in the order in which they run. The first one takes in the caller's data.
+
+    Spark separates stages, so copies overlap the communication of other workers, never that of the same switch's senders.
+    """
+    from .poisson import clocked
+
+    clock = clocked(spark)
+    run(clock).write.format("noop").mode("overwrite").save()
+    passes = _in_order(list({k[:2] for k in clock.value}))
+    rows = [(label, passes[step, done], phase, float(seconds)) for (step, done, phase), seconds in clock.value.items()]
+    return spark.createDataFrame(rows, "strategy string, line_pass int, phase string, seconds double")
+
+
+def _in_order(steps: list[tuple[int, bool]]) -> dict[tuple[int, bool], int]:
+    """Forward passes by step, the way back from the last to the first."""
+    there = sorted(k for k in steps if not k[1])
+    back = sorted((k for k in steps if k[1]), reverse=True)
+    return {k: i + 1 for i, k in enumerate([*there, *back])}
+
+
 __all__ = [n for n in dir() if not n.startswith("_")] + ["padding_factor"]

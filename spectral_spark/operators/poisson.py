@@ -12,8 +12,9 @@ from pyspark.sql import functions as F
 from ..plans.boundary import omega as omega_column
 from ..plans.grid import GridSpec
 from ..plans.planner import TransformPlan, auto_decomposition, auto_workers, build
+from ..sources.fields import check_field_schema
 from . import kernels
-from .exchange import KERNEL, READY, TILE, Blocks, Workers, cell_columns, generate, own_tiles, onward, start, switch, tile_table
+from .exchange import KERNEL, READY, TILE, Blocks, Clock, Workers, cell_columns, generate, is_kernel, onward, own_tiles, start, switch, tile_batch
 
 FIELD = "ix int, iy int, iz int, comp int, v double"
 FIELD_ARROW = pa.schema([("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("comp", pa.int32()), ("v", pa.float64())])
@@ -25,17 +26,38 @@ SPECTRUM_ARROW = pa.schema([("kx", pa.int32()), ("ky", pa.int32()), ("kz", pa.in
 class Options:
     """How a solve runs; none of these changes its result.
 
-    A worker's block is one task's: with ``workers`` 0 there are as many as keep it within 256 MB, and ``decomposition`` "auto"
-    takes slabs while there are planes for all workers, else pencils. ``batch``: tiles per message of the asynchronous switch; how many
-    are fetched at a time is Spark's ``spark.reducer.maxReqsInFlight``, fixed when a session starts.
+    A worker's block is one task's: with ``workers`` 0 there are as many as keep it within 256 MB, or more, down to 4 MB, while the
+    session has free slots. ``decomposition`` "auto" takes slabs while there are planes for all workers, else pencils. ``batch``:
+    tiles per message of the asynchronous switch. ``pending``: most fetches that a receiver has open at a time; Spark fixes it when a
+    session starts (:meth:`session_conf`), so a session that has another value is refused. ``clock``: see :func:`clocked`.
     """
 
     strategy: str = "packed_barrier"
     decomposition: str = "pencil"
-    workers: int = 4
+    workers: int = 0
     distribution: str = "strided"
     batch: int = 1
     node_size: int = 0
+    pending: int | None = None
+    clock: object = None
+
+    def session_conf(self) -> dict[str, str]:
+        """Settings with which a session must be started for these options."""
+        return {} if self.pending is None else {PENDING: str(self.pending)}
+
+    def check(self, spark: SparkSession) -> None:
+        for key, value in self.session_conf().items():
+            if spark.sparkContext.getConf().get(key, None) != value:
+                raise ValueError(f"pending = {self.pending} needs a session that was started with {key}={value}")
+
+
+#: Fetch requests that a task has in flight.
+PENDING = "spark.reducer.maxReqsInFlight"
+
+
+def clocked(spark: SparkSession) -> object:
+    """An accumulator for ``Options.clock``: {(step, on the way back, phase): seconds}."""
+    return spark.sparkContext.accumulator({}, Clock())
 
 
 def on_axis(fn, block: np.ndarray, axis: int) -> np.ndarray:
@@ -75,7 +97,7 @@ def forward_step(w: Workers, step: int, plans: dict[int, TransformPlan]):
     axis = w.plan.order[step]
 
     def work(blocks: Blocks, worker: int) -> Blocks:
-        line = lambda c: w.plan.lines[axis].kernel_forward if c == KERNEL else plans[c].lines[axis].forward
+        line = lambda c: w.plan.lines[axis].kernel_forward if is_kernel(c) else plans[c].lines[axis].forward
         return {c: b if c == READY else on_axis(line(c), b, axis) for c, b in blocks.items()}
 
     return work
@@ -116,20 +138,33 @@ def _spectrum_rows(w: Workers):
     return finish
 
 
-def with_component(cells: DataFrame) -> DataFrame:
-    return cells if "comp" in cells.columns else cells.withColumn("comp", F.lit(0))
+def checked_cells(cells: DataFrame, spec: GridSpec) -> DataFrame:
+    """``cells`` with a component, an error for any that lies outside the grid or has no index, and zero for a null value.
+
+    A value that is not finite spoils its component, as it does in any Fourier method; it is not searched for.
+    """
+    cells = check_field_schema(cells)
+    if "comp" not in cells.columns:
+        cells = cells.withColumn("comp", F.lit(0))
+    names = ["ix", "iy", "iz", "comp"]
+    inside = F.lit(True)
+    for name, n in zip(names, spec.shape):
+        inside = inside & F.col(name).isNotNull() & F.col(name).between(0, n - 1)
+    inside = inside & F.col("comp").isNotNull() & (F.col("comp") >= 0)
+    where = F.concat_ws(", ", *[F.coalesce(F.col(c).cast("string"), F.lit("null")) for c in names])
+    error = F.raise_error(F.concat(F.lit("cell outside the grid (ix, iy, iz, comp): "), where))
+    return cells.select(F.when(inside, F.col("ix")).otherwise(error.cast("int")).alias("ix"), "iy", "iz", "comp", F.coalesce("v", F.lit(0.0)).alias("v"))
 
 
 def _field_tiles(w: Workers):
     def finish(blocks: Blocks, worker: int):
         origin = [a for a, _ in w.ranges(worker, 0)]
-        rows = [(worker, worker, 0, c, origin, list(b.shape), np.ascontiguousarray(b.real).tobytes(), None) for c, b in blocks.items()]
-        yield from tile_table(rows).to_batches()
+        yield tile_batch([(worker, worker, 0, c, origin, list(b.shape), np.ascontiguousarray(b.real), None) for c, b in blocks.items()])
 
     return finish
 
 
-def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | None = None, origin: str = "cell_mean", stored: str | None = None, make=None, spark: SparkSession | None = None) -> DataFrame:
+def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | list[str] | None = None, origin: str = "cell_mean", stored: str | None = None, make=None, spark: SparkSession | None = None) -> DataFrame:
     """The whole path: lines of the first, second and third axis, ``middle`` in mode space, and, if ``out_plans``, back.
 
     A kernel with open axes is sampled by the workers and carried through the same switches as a component of its own, or its
@@ -137,13 +172,14 @@ def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan],
     of the first axis' lines; the result is then tiles of the same owners, and two switches are made each way.
     """
     spark = spark or cells.sparkSession
+    options.check(spark)
     s, b = options.strategy, options.batch
     steps = [forward_step(w, k, plans) for k in range(3)]
     fused = w.local(0, 1)  # slabs: the first two axes are transformed where they are
     first = _chain(steps[0], steps[1]) if fused else steps[0]
     to = 2 if fused else 1
     if make is None:
-        sent = start(with_component(cells), w, first, s, b, to)
+        sent = start(checked_cells(cells, w.plan.spec), w, first, s, b, to)
     else:
         sent = generate(spark, w, lambda worker: first({0: make(w.ranges(worker, 0))}, worker), s, b, to)
     finish, schema = (_field_rows(w), FIELD) if make is None else (_field_tiles(w), TILE)
@@ -166,9 +202,11 @@ def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan],
     return switch(sent, w, 0, back[0], finish, schema, s, True)
 
 
-def _kernel_maker(w: Workers, kernel: str, origin: str, first):
+def _kernel_maker(w: Workers, kernel: str | list[str], origin: str, first):
+    kinds = [kernel] if isinstance(kernel, str) else kernel
+
     def make(worker: int) -> Blocks:
-        return first({KERNEL: kernel_samples(w.plan, kernel, w.ranges(worker, 0, True), origin)}, worker)
+        return first({KERNEL - i: kernel_samples(w.plan, k, w.ranges(worker, 0, True), origin) for i, k in enumerate(kinds)}, worker)
 
     return make
 
@@ -189,7 +227,7 @@ def store_spectrum(spark: SparkSession, spec: GridSpec, kernel: str, folder: str
         sent = onward(sent, w, 1, 2, steps[1], "packed_barrier", 1)
 
     def keep(blocks: Blocks, worker: int):
-        yield from own_tiles({READY: blocks[KERNEL]}, w, worker).to_batches()
+        yield own_tiles({READY: blocks[KERNEL]}, w, worker)
 
     switch(sent, w, 2, steps[2], keep, TILE, "packed_barrier").write.mode("overwrite").parquet(path)
     return path
@@ -211,16 +249,35 @@ def multiply(w: Workers, kernel: str):
     return work
 
 
+def product_of(w: Workers, kinds: list[str], comps: int):
+    """Products with several kernels: component c times kernel i becomes component i * comps + c."""
+
+    def work(blocks: Blocks, worker: int) -> Blocks:
+        g = [blocks.pop(KERNEL - i, None) for i in range(len(kinds))]
+        if w.plan.spec.open_axes and any(x is None for x in g):
+            return {}
+        if not w.plan.spec.open_axes:
+            g = [kernel_samples(w.plan, k, w.ranges(worker, 2, done=True), "cell_mean") for k in kinds]
+        return {i * comps + c: b * x for i, x in enumerate(g) for c, b in blocks.items()}
+
+    return work
+
+
 def workers_of(spec: GridSpec, options: Options) -> Workers:
-    p = options.workers or auto_workers(spec)
+    p = options.workers
+    if not p:
+        session = SparkSession.getActiveSession()
+        slots = session.sparkContext.defaultParallelism if session else 1
+        p = max(auto_workers(spec), min(slots, auto_workers(spec, 4 << 20)))
     kind = auto_decomposition(spec, p) if options.decomposition == "auto" else options.decomposition
-    return Workers(build(spec), p, kind, options.distribution, options.node_size)
+    return Workers(build(spec), p, kind, options.distribution, options.node_size, options.clock)
 
 
 def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
     """(ix, iy, iz, comp, v) of the solution of lap(u) = f for f in ``cells`` (ix, iy, iz, v[, comp]).
 
-    Missing cells are zero; a table without rows has no solution rows. If every boundary is periodic or even the
+    Missing cells and null values are zero, cells that are given twice add up, and a table without rows has no solution rows. A cell
+    outside the grid or without an index is an error that names it. If every boundary is periodic or even the
     solution is the one of zero mean, of f less its mean.
     """
     w = workers_of(spec, options)
@@ -228,6 +285,14 @@ def solve(cells: DataFrame, spec: GridSpec, kernel: str = "gauss4", options: Opt
     return sweep(cells, w, plans, multiply(w, kernel), plans, options, kernel, origin, stored)
 
 
+def solve_each(cells: DataFrame, spec: GridSpec, kinds: list[str], options: Options = Options(), origin: str = "cell_mean") -> DataFrame:
+    """(kernel, ix, iy, iz, v) of the solutions by several kernels: the right-hand side, of one component, is transformed once."""
+    w = workers_of(spec, options)
+    plans = _Same(w.plan)
+    u = sweep(cells, w, plans, product_of(w, kinds, 1), plans, options, kinds, origin)
+    return u.select(F.element_at(F.array(*map(F.lit, kinds)), F.col("comp") + 1).alias("kernel"), "ix", "iy", "iz", "v")
+
+
 def solve_aligned(spark: SparkSession, spec: GridSpec, make, kernel: str | None = "gauss4", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
     """A solve of data that already lies along the first axis: ``make(ranges)`` returns the right-hand side on a box of points.
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 
@@ -20,7 +21,7 @@ class TransformPlan:
     spec: GridSpec
     order: tuple[int, int, int]
 
-    @property
+    @cached_property
     def lines(self) -> dict[int, LineTransform]:
         """By axis. The first DFT in the order reads real data, any later one complex data."""
         out, complex_in = {}, False

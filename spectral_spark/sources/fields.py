@@ -39,19 +39,19 @@ def day(column: str, start: str) -> Column:
 def cube_lineitem(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
     """Part x supplier x ship day, revenue in millions."""
     t = table(spark, sf_dir, "lineitem").where(F.col("l_shipdate").isNotNull())
-    return rasterise(t, F.col("l_partkey") % n, F.col("l_suppkey") % n, day("l_shipdate", "1995-01-01") % n, F.col("l_extendedprice") * (1 - F.col("l_discount")) / 1e6)
+    return rasterise(t, F.pmod("l_partkey", F.lit(n)), F.pmod("l_suppkey", F.lit(n)), F.pmod(day("l_shipdate", "1995-01-01"), F.lit(n)), F.col("l_extendedprice") * (1 - F.col("l_discount")) / 1e6)
 
 
 def cube_events(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
     """Day x hour x property k, values in thousands."""
     t = table(spark, sf_dir, "events")
-    return rasterise(t, F.floor(day("ts", "2024-01-01") * n / 30), F.floor(F.hour("ts") * n / 24), F.get_json_object("props", "$.k").cast("int") % n, F.col("value") / 1e3)
+    return rasterise(t, F.floor(day("ts", "2024-01-01") * n / 30), F.floor(F.hour("ts") * n / 24), F.pmod(F.get_json_object("props", "$.k").cast("int"), F.lit(n)), F.col("value") / 1e3)
 
 
 def cube_orders(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
     """Day x customer x order number, prices in millions."""
     t = table(spark, sf_dir, "orders")
-    return rasterise(t, day("o_orderdate", "1995-01-01") % n, F.col("o_custkey") % n, F.col("o_orderkey") % n, F.col("o_totalprice") / 1e6)
+    return rasterise(t, F.pmod(day("o_orderdate", "1995-01-01"), F.lit(n)), F.pmod("o_custkey", F.lit(n)), F.pmod("o_orderkey", F.lit(n)), F.col("o_totalprice") / 1e6)
 
 
 def components_lineitem(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
@@ -60,7 +60,7 @@ def components_lineitem(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFra
     price = F.col("l_extendedprice") / 1e6
     parts = F.posexplode(F.array(price * F.col("l_tax"), price * F.col("l_discount"), price)).alias("comp", "part")
     t = t.select("l_partkey", "l_suppkey", "l_shipdate", parts)
-    return rasterise(t, F.col("l_partkey") % n, F.col("l_suppkey") % n, day("l_shipdate", "1995-01-01") % n, F.col("part"), F.col("comp"))
+    return rasterise(t, F.pmod("l_partkey", F.lit(n)), F.pmod("l_suppkey", F.lit(n)), F.pmod(day("l_shipdate", "1995-01-01"), F.lit(n)), F.col("part"), F.col("comp"))
 
 
 def dense(spark: SparkSession, cells: DataFrame, n: int) -> DataFrame:
@@ -71,8 +71,11 @@ def dense(spark: SparkSession, cells: DataFrame, n: int) -> DataFrame:
 
 
 def lines(cells: DataFrame, key: str, n: int, index: str = "j", value: str = "v") -> DataFrame:
-    """(key, line): one array per key over 0..n-1, missing points zero; later points are left out."""
-    got = cells.where(F.col(index).between(0, n - 1)).groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct(F.col(index).cast("int"), F.col(value)))).alias("m"))
+    """(key, line): one array per key over 0..n-1, missing points zero; a point beyond the line, or without an index, is an error."""
+    at = F.col(index)
+    error = F.raise_error(F.concat(F.lit("point outside the line: "), F.coalesce(at.cast("string"), F.lit("null"))))
+    got = cells.withColumn(index, F.when(at.isNotNull() & at.between(0, n - 1), at).otherwise(error.cast("int")))
+    got = got.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct(F.col(index).cast("int"), F.col(value)))).alias("m"))
     return got.select(key, F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda j: F.coalesce(F.col("m")[j], F.lit(0.0))).alias("line"))
 
 

@@ -17,9 +17,11 @@ EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value do
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; one of our own only where none is set."""
+    """The cluster's shared folder. Where none is set, one of our own, on a single machine only."""
     path = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if path is None:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         path = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="spectral_stream_")
         shared_dir.own = path
     return f"{path.rstrip('/')}/stream-{uuid.uuid4().hex}"
@@ -69,12 +71,12 @@ def deduplicated(events: DataFrame) -> DataFrame:
 
 
 def late_rows(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int]:
-    """The stream in two files, the later events first: what comes behind the watermark is dropped, and counted by the query's progress."""
+    """The stream in two runs, the later events first: what comes behind the watermark is dropped, and counted by the query's progress."""
     base = shared_dir(spark)
     events = spark.read.schema(EVENTS).parquet(f"{sf_dir}/events.parquet")
     middle = F.lit("2024-01-15").cast("timestamp")
-    events.where(F.col("ts") >= middle).coalesce(1).write.parquet(f"{base}/in/a")
-    stream = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(f"{base}/in")
+    events.where(F.col("ts") >= middle).write.parquet(f"{base}/in/a")
+    stream = spark.readStream.schema(EVENTS).option("recursiveFileLookup", "true").parquet(f"{base}/in")
     out = tumbling_cells(stream)
 
     def run():
@@ -83,7 +85,7 @@ def late_rows(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int]:
         return sum(s["numRowsDroppedByWatermark"] for p in q.recentProgress for s in p["stateOperators"])
 
     dropped = run()
-    events.where(F.col("ts") < middle).coalesce(1).write.parquet(f"{base}/in/b")
+    events.where(F.col("ts") < middle).write.parquet(f"{base}/in/b")
     dropped += run()
     return spark.read.schema(out.schema).parquet(f"{base}/out"), dropped
 

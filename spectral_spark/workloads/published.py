@@ -42,6 +42,53 @@ ERRORS = {
     "lattice": (0.0112963, 0.00280508, 0.000700092, 0.000174949, 4.37328e-05, 1.09329e-05, 2.73321e-06),
     "gauss2": (0.3437, 0.107774, 0.0286782, 0.00728505, 0.0018286, 0.00045761, 0.000114431),
     "gauss4": (0.0959881, 0.0087914, 0.000608172, 3.90018e-05, 2.4534e-06, 1.53585e-07, 9.60297e-09),
+    "gauss6": (0.0232007, 0.00058816, 1.04068e-05, 1.6777e-07, 2.642e-09, 4.13618e-11, 6.47815e-13),
+    "gauss8": (0.00485968, 3.23509e-05, 1.44436e-07, 5.87122e-10, 2.38487e-12, 1.12133e-14, 3.88578e-15),
+    "gauss10": (0.000861695, 3.02079e-06, 8.32719e-09, 1.26446e-11, 1.39761e-14, 3.77476e-15, 3.88578e-15),
+    "cutoff": (2.52418e-08, 9.65466e-13, 1.33227e-15, 2.55351e-15, 3.44169e-15, 3.77476e-15, 3.88578e-15),
+}
+# E_inf of the half-open case, 33 and 65 points per axis
+SEMI = {
+    "singular": (0.0516755, 0.0131966),
+    "lattice": (0.0111028, 0.00280275),
+    "gauss2": (0.337844, 0.107653),
+    "gauss4": (0.0939906, 0.00877942),
+    "gauss6": (0.0226599, 0.000587287),
+    "gauss8": (0.00474199, 3.87118e-05),
+    "gauss10": (0.000923655, 6.26398e-06),
+    "cutoff": (3.81747e-08, 1.39833e-12),
+}
+# E_inf of the tube's velocity by derivative, 33 and 65 points per axis
+TUBE = {
+    "spectral": {
+        "singular": (0.0256073, 0.00722996),
+        "gauss2": (0.711435, 0.287455),
+        "gauss4": (0.362443, 0.0677251),
+        "gauss6": (0.182082, 0.016062),
+        "gauss8": (0.106472, 0.004175),
+        "gauss10": (0.0622903, 0.00108271),
+    },
+    "fd2": {
+        "singular": (0.100294, 0.0289218),
+        "gauss2": (0.732027, 0.300543),
+        "gauss4": (0.403613, 0.086822),
+        "gauss6": (0.238435, 0.0368848),
+        "gauss8": (0.158454, 0.0253345),
+        "gauss10": (0.121591, 0.0226953),
+    },
+    "fd4": {
+        "singular": (0.03543, 0.00820234),
+        "gauss2": (0.713026, 0.28793),
+        "gauss4": (0.366316, 0.0685143),
+    },
+    "fd6": {
+        "singular": (0.0268313, 0.00729742),
+        "gauss2": (0.71163, 0.287483),
+        "gauss4": (0.362994, 0.0677763),
+        "gauss6": (0.183024, 0.0161404),
+        "gauss8": (0.108164, 0.0042626),
+        "gauss10": (0.0645538, 0.00117427),
+    },
 }
 
 

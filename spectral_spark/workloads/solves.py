@@ -5,17 +5,20 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.transforms_sql import basis, dense_solve_3d, spectral_factor
 from ..operators import kernels, metrics, poisson, vortex
-from ..operators.baselines import cell_shuffle_fft, direct_sum, monolithic_fft
+from ..operators.baselines import cell_shuffle_fft, direct_sum, monolithic_fft, monolithic_solve
+from ..operators.exchange import STRATEGIES
 from ..operators.poisson import Options
-from ..plans.grid import CELL, EVEN, NODE, ODD, PERIODIC, UNBOUNDED, Axis, GridSpec
+from ..plans.grid import CELL, EVEN, NODE, ODD, PAIRS, PERIODIC, UNBOUNDED, Axis, GridSpec
 from ..queries import query, rounded
 from ..sources import analytic
 from ..sources.fields import components_lineitem, cube_events, cube_lineitem, cube_orders, day, dense, table
+from . import published
 
 N = 8
 C1 = "SELECT CAST(l_partkey % 8 AS BIGINT) AS ix, CAST(l_suppkey % 8 AS BIGINT) AS iy, CAST(date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE)) % 8 AS BIGINT) AS iz, sum(l_extendedprice * (1 - l_discount) / 1e6) AS v FROM lineitem GROUP BY 1, 2, 3"
@@ -49,7 +52,7 @@ def daily(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(priority, ix, v) over 64 bins; priorities become components of one solve."""
     o = table(spark, sf_dir, "orders")
     number = F.substring("o_orderpriority", 1, 1).cast("int")
-    return o.groupBy(number.alias("comp"), (day("o_orderdate", "1995-01-01") % 64).cast("int").alias("ix")).agg(F.sum(F.col("o_totalprice") / 1e6).alias("v")).withColumn("iy", F.lit(0)).withColumn("iz", F.lit(0))
+    return o.groupBy(number.alias("comp"), F.pmod(day("o_orderdate", "1995-01-01"), F.lit(64)).cast("int").alias("ix")).agg(F.sum(F.col("o_totalprice") / 1e6).alias("v")).withColumn("iy", F.lit(0)).withColumn("iz", F.lit(0))
 
 
 def _line_result(df: DataFrame) -> DataFrame:
@@ -162,12 +165,8 @@ def _curl_sql() -> str:
 @query("curl_poisson_lineitem", _curl_sql())
 def curl_poisson_lineitem(spark, sf_dir):
     """lap(u) = curl(f) for three measures as components, with all four derivatives."""
-    f = components_lineitem(spark, sf_dir)
-    out = None
-    for d in vortex.DERIVATIVES:
-        u = rounded_cells(vortex.solve(f, curl_grids(), "gauss4", d).withColumn("derivative", F.lit(d)), "derivative", "comp")
-        out = u if out is None else out.unionByName(u)
-    return out
+    u = vortex.solve_each(components_lineitem(spark, sf_dir), curl_grids(), ["gauss4"], vortex.DERIVATIVES)
+    return rounded_cells(u, "derivative", "comp")
 
 
 # kernels in mode space
@@ -275,12 +274,20 @@ def linearity_events(spark, sf_dir):
 
 GAUSS = [k for k in kernels.KERNELS if k.startswith("gauss")]
 _K2 = math.pi**2 * (1 + 25 / 4 + 64)
+#: Intervals at which the solver runs; the closed form goes on to the largest published grid.
+SOLVED = (16, 32, 64)
+CLOSED = (128, 256, 512, 1024, 2048)
 
 
 def _validation_sql() -> str:
+    """Errors of the closed case, |1 - symbol| of each kernel at its one wave; none is left by ``singular`` and by ``cutoff``, whose
+    wave lies below the cut."""
+    sizes = ", ".join(f"({n}, '{how}')" for how, ns in (("solver", SOLVED), ("closed form", CLOSED)) for n in ns)
     rows = []
-    for k in (*GAUSS, "lattice"):
-        if k == "lattice":
+    for k in kernels.KERNELS:
+        if k in ("singular", "cutoff"):
+            e = f"CASE WHEN {_K2!r} < pi() * pi() * n * n OR '{k}' = 'singular' THEN 0.0 ELSE 1.0 END"
+        elif k == "lattice":
             d2 = " + ".join(f"4.0 * n * n * pow(sin({w}.0 * pi() / n / 4), 2)" for w in (2, 5, 16))
             e = f"abs({_K2!r} / ({d2}) - 1)"
         else:
@@ -290,60 +297,117 @@ def _validation_sql() -> str:
                 f *= j
                 terms.append(f"pow({q}, {j}) / {f}.0")
             e = f"abs(1 - exp(-{q}) * ({' + '.join(terms)}))"
-        rows.append(f"SELECT '{k}' AS kernel, CAST(n AS INT) AS n, round({e}, 9) + 0.0 AS error FROM (VALUES (16), (32)) v(n)")
+        rows.append(f"SELECT '{k}' AS kernel, CAST(n AS INT) AS n, how, round({e}, 9) + 0.0 AS error FROM (VALUES {sizes}) v(n, how)")
     return " UNION ALL ".join(rows)
 
 
-def case_errors(spark: SparkSession, case: str, kernel_list, sizes, origin: str = "published") -> DataFrame:
-    """E_inf of the distributed solver on an analytic case."""
+def case_errors(spark: SparkSession, case: str, kinds: list[str], sizes: tuple[int, ...], origin: str = "published", layout: str = NODE, options: Options = Options()) -> DataFrame:
+    """(kernel, n, error): E_inf of the distributed solver on an analytic case, all kernels in one solve for each size."""
     out = None
     for n in sizes:
-        spec = analytic.case_grid(case, n)
+        spec = analytic.case_grid(case, n, layout)
         f, u = analytic.scalar_field(spark, case, spec), analytic.scalar_field(spark, case, spec, "u")
-        for k in kernel_list:
-            e = metrics.e_inf(poisson.solve(f, spec, k, Options(workers=4), origin), u, ["ix", "iy", "iz"])
-            e = e.select(F.lit(k).alias("kernel"), F.lit(n).alias("n"), F.col("e_inf").alias("error"))
-            out = e if out is None else out.unionByName(e)
+        got = poisson.solve_each(f, spec, kinds, options, origin)
+        both = got.join(u.withColumnRenamed("v", "u"), ["ix", "iy", "iz"])
+        e = both.groupBy("kernel").agg(F.max(F.abs(F.col("v") - F.col("u"))).alias("error")).select("kernel", F.lit(n).alias("n"), "error")
+        out = e if out is None else out.unionByName(e)
     return out
 
 
 @query("validation_spectral_errors", _validation_sql())
 def validation_spectral_errors(spark, sf_dir):
-    """Errors of the closed case equal |1 - symbol| of each kernel; 16 intervals resolve its fastest wave at its maxima."""
-    return case_errors(spark, "spectral", [*GAUSS, "lattice"], (16, 32)).select("kernel", "n", rounded("error", 9).alias("error"))
+    """Errors of the closed case equal |1 - symbol| of each kernel: by the solver up to 64 intervals, by the kernel's column expression at
+    the case's one wave up to 2048."""
+    kinds = list(kernels.KERNELS)
+    solved = case_errors(spark, "spectral", kinds, SOLVED).withColumn("how", F.lit("solver"))
+    out = solved
+    wave = spark.createDataFrame([(1, 2, 4)], "kx int, ky int, kz int")
+    for n in CLOSED:
+        for k in kinds:
+            g = poisson.closed_form(wave, analytic.case_grid("spectral", n), k)
+            out = out.unionByName(g.select(F.lit(k).alias("kernel"), F.lit(n).alias("n"), F.abs(F.col("re") * _K2 + 1).alias("error"), F.lit("closed form").alias("how")))
+    return out.select("kernel", "n", "how", rounded("error", 9).alias("error"))
+
+
+def _digits(column: str) -> str:
+    """Three decimals of the mantissa and the power of ten: as much as the published digits and two summation orders share."""
+    return f"round({column} / pow(10.0, floor(log10({column}))), 3) + 0.0 AS mantissa, CAST(floor(log10({column})) AS INT) AS exponent"
+
 
+def _published_errors(errors: dict[str, tuple], least: float = 1e-9) -> str:
+    """(kernel, n, error) of the published values above ``least``; below it they are round-off."""
+    rows = [(k, n, e) for k, values in errors.items() for n, e in zip((32, 64), values) if e > least]
+    return "(SELECT * FROM (VALUES " + ", ".join(f"('{k}', {n}, CAST({e!r} AS DOUBLE))" for k, n, e in rows) + ") v(kernel, n, error))"
 
-@query("validation_unbounded_orders")
+
+def _ordered(errors: str, by: str = "") -> str:
+    return f"SELECT {by}kernel, CAST(n AS INT) AS n, {_digits('error')}, round(log2(lag(error) OVER (PARTITION BY {by}kernel ORDER BY n) / error), 2) + 0.0 AS convergence_order FROM {errors} e"
+
+
+def _with_order(df: DataFrame, by: list[str]) -> DataFrame:
+    """Mantissa, exponent and order of convergence of (by.., n, error)."""
+    p = metrics.order(df.where("error > 1e-9"), by)
+    power = F.floor(F.log10("error"))
+    mantissa = rounded(F.col("error") / F.pow(F.lit(10.0), power), 3).alias("mantissa")
+    return p.select(*by, "n", mantissa, power.cast("int").alias("exponent"), rounded("order", 2).alias("convergence_order"))
+
+
+@query("validation_unbounded_orders", _ordered(_published_errors(published.ERRORS)))
 def validation_unbounded_orders(spark, sf_dir):
-    return metrics.order(case_errors(spark, "unbounded", ("singular", "gauss4", "cutoff"), (8, 16)), ["kernel"])
+    """The open case at 33 and 65 points, all kernels: the published errors and orders."""
+    return _with_order(case_errors(spark, "unbounded", list(published.ERRORS), (32, 64)), ["kernel"])
 
 
-@query("validation_semi_orders")
+@query("validation_semi_orders", _ordered(_published_errors(published.SEMI)))
 def validation_semi_orders(spark, sf_dir):
-    return metrics.order(case_errors(spark, "semi", ("singular", "gauss4", "lattice"), (8, 16)), ["kernel"])
+    """The half-open case at 33 and 65 points, all kernels: the published errors and orders."""
+    return _with_order(case_errors(spark, "semi", list(published.SEMI), (32, 64)), ["kernel"])
+
 
+_TUBE = "(" + " UNION ALL ".join(f"SELECT '{d}' AS derivative, * FROM {_published_errors(e)} {d}" for d, e in published.TUBE.items()) + ")"
 
-@query("vortex_tube_errors")
+
+@query("vortex_tube_errors", _ordered(_TUBE, "derivative, "))
 def vortex_tube_errors(spark, sf_dir):
-    """Errors of the tube's velocity per derivative; the order is the lesser of kernel's and derivative's."""
-    out = None
-    for n in (16, 32):
+    """The tube's velocity at 33 and 65 points, all derivatives and all kernels whose figures are published and not broken off."""
+    wanted = spark.createDataFrame([(d, k) for d, e in published.TUBE.items() for k in e], "derivative string, kernel string")
+    kinds, out = list(published.TUBE["spectral"]), None
+    for n in (32, 64):
         specs = analytic.tube_grids(n, 2)
         f, u = analytic.tube_field(spark, specs[0]), analytic.tube_field(spark, specs[0], "u")
-        for d in vortex.DERIVATIVES:
-            e = metrics.e_inf(vortex.solve(f, specs, "gauss4", d), u).select(F.lit(d).alias("derivative"), F.lit(n).alias("n"), F.col("e_inf").alias("error"))
-            out = e if out is None else out.unionByName(e)
-    return metrics.order(out, ["derivative"])
+        got = vortex.solve_each(f, specs, kinds, vortex.DERIVATIVES)
+        both = got.join(u.withColumnRenamed("v", "u"), ["ix", "iy", "iz", "comp"])
+        e = both.groupBy("derivative", "kernel").agg(F.max(F.abs(F.col("v") - F.col("u"))).alias("error")).withColumn("n", F.lit(n))
+        out = e if out is None else out.unionByName(e)
+    # as many rows as published series
+    return _with_order(out.join(F.broadcast(wanted), ["derivative", "kernel"]), ["derivative", "kernel"])
+
+
+# every pair of choices
 
 
 def sweep_cases() -> list[tuple]:
-    """(case, boundaries, layout, kernel, strategy, decomposition): every pair on every axis, both layouts, all kernels and switches."""
-    from ..plans.grid import PAIRS
+    """(case, boundaries, layout, kernel, strategy, decomposition): every pair of values of any two of the seven choices (three boundary
+    pairs, layout, kernel, switch, decomposition) stands in some case. Cases are built one by one, each from the pair that is still
+    missing with the most companions, its other choices taken to cover most missing pairs."""
+    levels = [list(PAIRS)] * 3 + [[CELL, NODE], list(kernels.KERNELS), list(STRATEGIES), ["pencil", "slab"]]
+    sizes = [len(x) for x in levels]
+    missing = {(a, i, b, j) for a in range(7) for b in range(a + 1, 7) for i in range(sizes[a]) for j in range(sizes[b])}
+
+    def gain(row: dict[int, int], a: int, i: int) -> int:
+        return sum(((a, i, b, j) if a < b else (b, j, a, i)) in missing for b, j in row.items())
 
     out = []
-    for case in range(20):
-        triple = [PAIRS[(case + s * (1 + a)) % 10] for a, s in enumerate((1, 3, 7))]
-        out.append((case, triple, (CELL, NODE)[case // 10], kernels.KERNELS[case % 8], *STRATEGY_CASES[case % 6]))
+    while missing:
+        a, i, b, j = min(missing)
+        row = {a: i, b: j}
+        for c in range(7):
+            if c not in row:
+                # of equal gains the one that has come least recently
+                row[c] = max(range(sizes[c]), key=lambda k: (gain(row, c, k), -((k - len(out)) % sizes[c])))
+        missing -= {(c, row[c], d, row[d]) for c in range(7) for d in range(c + 1, 7)}
+        triple = [levels[c][row[c]] for c in range(3)]
+        out.append((len(out), triple, *(levels[c][row[c]] for c in range(3, 7))))
     return out
 
 
@@ -352,20 +416,44 @@ def _sweep_sql() -> str:
     return f'SELECT CAST(c AS INT) AS "case", boundaries, layout, kernel, strategy, decomposition, 0.0 + round(0.0, 6) AS difference FROM (VALUES {rows}) v(c, boundaries, layout, kernel, strategy, decomposition)'
 
 
+#: Cases whose solves are one job.
+TOGETHER = 15
+
+
 @query("combination_sweep", _sweep_sql())
 def combination_sweep(spark, sf_dir):
-    """Covering boundary triples, layouts, kernels and switches, each solved by Spark and as one array: the largest difference is zero."""
-    from ..operators.baselines import monolithic_solve
-
-    out, rng = None, np.random.default_rng(1)
-    for case, triple, layout, kernel, strategy, decomposition in sweep_cases():
-        spec = GridSpec.of(*[Axis(4, *p, layout) for p in triple])
-        f = rng.normal(size=spec.shape)
-        # the test's own grid of 64 or 125 points
-        rows = [(*map(int, i), float(f[i]), float(w)) for i, w in np.ndenumerate(monolithic_solve(f, spec, kernel))]
-        cells = spark.createDataFrame(rows, "ix int, iy int, iz int, v double, w double")
-        u = poisson.solve(cells.drop("w"), spec, kernel, Options(strategy, decomposition, 4))
-        e = metrics.e_inf(u, cells.select("ix", "iy", "iz", F.col("w").alias("v")), ["ix", "iy", "iz"])
-        e = e.select(F.lit(case).alias("case"), F.lit(" ".join("-".join(p) for p in triple)).alias("boundaries"), F.lit(layout).alias("layout"), F.lit(kernel).alias("kernel"), F.lit(strategy).alias("strategy"), F.lit(decomposition).alias("decomposition"), rounded("e_inf", 9).alias("difference"))
-        out = e if out is None else out.unionByName(e)
-    return out
+    """A cover of all pairs of choices on 8^3 intervals, each case solved by Spark and as one array: the largest difference is zero."""
+    rng, cases, rows = np.random.default_rng(1), sweep_cases(), []
+    for first in range(0, len(cases), TOGETHER):
+        out = None
+        for case, triple, layout, kernel, strategy, decomposition in cases[first : first + TOGETHER]:
+            spec = GridSpec.of(*[Axis(N, *p, layout) for p in triple])
+            f = rng.normal(size=spec.shape)
+            # the test's own grid of 512 or 729 points
+            whole = monolithic_solve(f, spec, kernel)
+            at = np.indices(spec.shape).reshape(3, -1).astype(np.int32)
+            cells = spark.createDataFrame(pa.table({"ix": at[0], "iy": at[1], "iz": at[2], "v": f.ravel(), "w": whole.ravel()}))
+            u = poisson.solve(cells.drop("w"), spec, kernel, Options(strategy, decomposition, 4))
+            e = metrics.e_inf(u, cells.select("ix", "iy", "iz", F.col("w").alias("v")), ["ix", "iy", "iz"])
+            e = e.select(F.lit(case).alias("case"), rounded("e_inf", 9).alias("difference"))
+            out = e if out is None else out.unionByName(e)
+        # a number for each case
+        rows += [(c, " ".join("-".join(p) for p in cases[c][1]), *cases[c][2:], d) for c, d in out.collect()]
+    return spark.createDataFrame(rows, "case int, boundaries string, layout string, kernel string, strategy string, decomposition string, difference double")
+
+
+# where the time goes
+
+_PHASES = [(s, k, p) for s in STRATEGIES for k in range(1, 6) for p in metrics.PHASES]
+
+
+@query("step_breakdown_events", "SELECT strategy, CAST(line_pass AS INT) AS line_pass, phase, true AS measured FROM (VALUES " + ", ".join(f"('{s}', {k}, '{p}')" for s, k, p in _PHASES) + ") v(strategy, line_pass, phase)")
+def step_breakdown_events(spark, sf_dir):
+    """Which seconds a solve records: for each strategy, line pass and phase (compute, copy, communication). The seconds themselves,
+    which no other engine can repeat, are in the bench; here stands that each was measured."""
+    spec, f = GridSpec.of(*[Axis(N, UNBOUNDED, UNBOUNDED, CELL)] * 3), cube_events(spark, sf_dir)
+    out = None
+    for s in STRATEGIES:
+        t = metrics.breakdown(spark, lambda clock, s=s: poisson.solve(f, spec, "gauss4", Options(s, workers=4, clock=clock)), s)
+        out = t if out is None else out.unionByName(t)
+    return out.select("strategy", "line_pass", "phase", (F.col("seconds") > 0).alias("measured"))

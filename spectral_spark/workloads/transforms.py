@@ -183,11 +183,16 @@ def text_length_line(spark, sf_dir):
     return y.withColumnRenamed("key", "lang")
 
 
-@query("conversation_turn_line", f"SELECT key AS conv_id, CAST(k AS INT) AS k, round(y, 6) + 0.0 AS y FROM ({dense('dct2', '(SELECT conv_id AS key, CAST(turn AS BIGINT) AS j, sum(length(text)) / 1e3 AS v FROM conversations WHERE turn BETWEEN 0 AND 15 GROUP BY 1, 2) p', 16)}) a WHERE k < 4")
+_TURNS = "SELECT conv_id, CAST(turn AS BIGINT) AS j, sum(length(text)) / 1e3 AS v FROM conversations GROUP BY 1, 2"
+
+
+@query("conversation_turn_line", f"WITH c AS ({_TURNS}), n AS (SELECT greatest(16, max(j) + 1) AS n FROM c), m AS (SELECT n, unnest(range(0, n)) AS k FROM n) SELECT conv_id, CAST(k AS INT) AS k, round(sum(2 * v * cos(pi() * k * (j + 0.5) / n)), 6) + 0.0 AS y FROM c CROSS JOIN m GROUP BY conv_id, k")
 def conversation_turn_line(spark, sf_dir):
-    """Turn lengths, a ragged line per conversation padded to sixteen turns."""
-    c = table(spark, sf_dir, "conversations").where("turn between 0 and 15").groupBy("conv_id", F.col("turn").alias("j")).agg((F.sum(F.length("text")) / 1e3).alias("v"))
-    y = exploded(lines(c, "conv_id", 16).select(F.col("conv_id").alias("key"), T.dct_column(2)("line").alias("y"))).where("k < 4")
+    """Turn lengths, a ragged line per conversation padded to the longest one, sixteen turns at least."""
+    c = table(spark, sf_dir, "conversations").groupBy("conv_id", F.col("turn").alias("j")).agg((F.sum(F.length("text")) / 1e3).alias("v"))
+    # one number decides the length of all lines
+    n = max(16, (c.agg(F.max("j")).first()[0] or 0) + 1)
+    y = exploded(lines(c, "conv_id", n).select(F.col("conv_id").alias("key"), T.dct_column(2)("line").alias("y")))
     return y.withColumnRenamed("key", "conv_id")
 
 

@@ -179,7 +179,7 @@ def test_every_boundary_combination_on_one_array():
     for layout in (CELL, NODE):
         for a in PAIRS:
             for b in PAIRS:
-                for c in PAIRS[::3]:
+                for c in PAIRS:
                     spec = GridSpec.of(*[Axis(2, *p, layout) for p in (a, b, c)])
                     f = r.normal(size=spec.shape)
                     assert np.isfinite(monolithic_solve(f, spec, "gauss2")).all()
@@ -313,6 +313,95 @@ def test_fields(spark):
     assert empty.count() == 0
 
 
+def test_cells_that_do_not_fit(spark):
+    """Null values are zero, repeated cells add up, tables need their types; cells outside the grid are an error that names them."""
+    from pyspark.errors import PySparkException
+
+    spec = analytic.case_grid("spectral", 4)
+    schema = "ix int, iy int, iz int, comp int, v double"
+    base = [(1, 2, 3, 0, 2.0), (0, 1, 1, 0, 1.0)]
+    table = lambda rows: spark.createDataFrame(rows, schema)
+    want = as_array(poisson.solve(table(base), spec), spec.shape)
+    for rows in ([*base, (2, 2, 2, 0, None)], [(1, 2, 3, 0, 1.5), (1, 2, 3, 0, 0.5), base[1]]):
+        assert np.array_equal(as_array(poisson.solve(table(rows), spec), spec.shape), want)
+    for bad in ((5, 0, 0, 0, 1.0), (-1, 0, 0, 0, 1.0), (0, None, 0, 0, 1.0), (0, 0, 99, 0, 1.0), (0, 0, 0, -3, 1.0)):
+        for strategy in STRATEGIES:
+            with pytest.raises(PySparkException, match="cell outside the grid"):
+                poisson.solve(table([*base, bad]), spec, options=Options(strategy)).collect()
+    with pytest.raises(TypeError):
+        poisson.solve(table(base).withColumn("v", F.col("v").cast("float")), spec)
+    assert np.isnan(as_array(poisson.solve(table([*base, (2, 1, 3, 0, float("nan"))]), spec), spec.shape)[0, :, 1:, :]).all()
+    with pytest.raises(PySparkException, match="point outside the line"):
+        lines(spark.createDataFrame([(1, 7, 1.0)], "key int, j int, v double"), "key", 4).collect()
+
+
+def test_several_kernels_in_one_solve(spark):
+    """The same as one solve for each kernel, open and closed, scalar and curl."""
+    kinds = ["singular", "gauss6", "cutoff", "lattice"]
+    for case in ("semi", "spectral"):
+        spec = analytic.case_grid(case, 6)
+        _, f = analytic.scalar_arrays(case, spec)
+        got = poisson.solve_each(analytic.scalar_field(spark, case, spec), spec, kinds, Options("batched_async", workers=6)).toPandas()
+        for k in kinds:
+            p = got[got.kernel == k]
+            out = np.zeros(spec.shape)
+            out[p.ix, p.iy, p.iz] = p.v
+            # the sine integral differs by a rounding between batches of different length
+            assert len(p) == out.size and np.allclose(out, monolithic_solve(f, spec, k), rtol=0, atol=1e-15 if k == "cutoff" else 0)
+    specs = analytic.tube_grids(6, 3)
+    f, _ = analytic.tube_arrays(specs[0])
+    got = vortex.solve_each(analytic.tube_field(spark, specs[0]), specs, ["gauss2", "singular"], ("fd2", "spectral")).toPandas()
+    for k in ("gauss2", "singular"):
+        for d in ("fd2", "spectral"):
+            p = got[(got.kernel == k) & (got.derivative == d)]
+            out = np.zeros((3, *specs[0].shape))
+            out[p.comp, p.ix, p.iy, p.iz] = p.v
+            assert np.array_equal(out, monolithic_curl_solve(f, specs, k, d))
+
+
+def test_sweep_covers_all_pairs():
+    from spectral_spark import queries  # noqa: F401
+    from spectral_spark.workloads.solves import sweep_cases
+
+    rows = [(*map(tuple, triple), layout, kernel, strategy, kind) for _, triple, layout, kernel, strategy, kind in sweep_cases()]
+    levels = [PAIRS] * 3 + [(CELL, NODE), kernels.KERNELS, STRATEGIES, ("pencil", "slab")]
+    assert 100 <= len(rows) <= 160
+    for a in range(7):
+        for b in range(a + 1, 7):
+            assert len({(r[a], r[b]) for r in rows}) == len(levels[a]) * len(levels[b])
+
+
+def test_pending_needs_its_session(spark):
+    spec = analytic.case_grid("spectral", 4)
+    assert Options(pending=3).session_conf() == {poisson.PENDING: "3"}
+    with pytest.raises(ValueError, match="maxReqsInFlight"):
+        poisson.solve(analytic.scalar_field(spark, "spectral", spec), spec, options=Options("batched_async", pending=3))
+
+
+def test_breakdown_times_every_pass(spark):
+    spec = analytic.case_grid("unbounded", 6)
+    cells = analytic.scalar_field(spark, "unbounded", spec)
+    for strategy in STRATEGIES:
+        t = metrics.breakdown(spark, lambda clock: poisson.solve(cells, spec, "gauss4", Options(strategy, workers=4, clock=clock)), strategy).collect()
+        assert {(x.line_pass, x.phase) for x in t} == {(k, p) for k in range(1, 6) for p in metrics.PHASES} and all(x.seconds > 0 for x in t)
+
+
+def test_asof_by_hours_equals_a_plain_search(spark):
+    from spectral_spark import queries
+
+    op_join_asof_time = queries.QUERIES["op_join_asof_time"]
+
+    sf = "/root/testdata/sf0.001"
+    events = spark.read.parquet(f"{sf}/events.parquet").orderBy("ts", "event_id").collect()
+    got = {(x.event_type, x.hour): x.value for x in op_join_asof_time(spark, sf).collect()}
+    start = np.datetime64("2024-01-01")
+    for t in {e.event_type for e in events}:
+        mine = [(np.datetime64(e.ts), e.value) for e in events if e.event_type == t]
+        for h in range(1, 720):
+            last = [v for at, v in mine if at <= start + np.timedelta64(h, "h")]
+            assert got[t, h] == (round(last[-1], 4) if last else None)
+
+
 def test_measures(spark):
     a = spark.createDataFrame([(0, 0, 0, 1.0), (0, 0, 1, 2.0)], "ix int, iy int, iz int, v double")
     b = spark.createDataFrame([(0, 0, 0, 1.5)], "ix int, iy int, iz int, v double")
@@ -337,8 +426,14 @@ def test_plans_prune_and_place(spark):
     scan = next(x for x in plan.splitlines() if "ReadSchema" in x)
     assert "l_comment" not in scan and "l_returnflag" not in scan and "PushedFilters: [IsNotNull(l_shipdate)]" in scan
     u = poisson.solve(cells, GridSpec.of(*[Axis(8, layout=CELL)] * 3), "gauss4")
-    # one for the cells of the table, one for the workers of each of five switches
-    assert u._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") == 6
+    # one for the cells of the table; five switches, or four of slabs, that place workers by number and sort nothing
+    plan = u._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and "FlatMapGroups" not in plan
+    assert plan.count("Exchange ") - 1 in (3, 5) and (plan.count("Sort ") == 0)
+    for strategy in STRATEGIES:
+        u = poisson.solve(cells, GridSpec.of(*[Axis(8, layout=CELL)] * 3), "gauss4", Options(strategy, workers=4))
+        plan = u._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("Exchange ") == 6 and "FlatMapGroups" not in plan
 
 
 def test_stored_spectrum(spark, tmp_path):
