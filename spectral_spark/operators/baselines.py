@@ -81,7 +81,9 @@ def cell_shuffle_fft(cells: DataFrame, n: int, inverse: bool = False) -> DataFra
         lines = out.groupBy(*others).agg(F.array_sort(F.collect_list(F.struct(axis, "re", "im"))).alias("line"))
         lines = lines.withColumn("y", dft_c2c_column(1 if inverse else -1)(F.col("line.re"), F.col("line.im")))
         out = lines.select(*others, F.posexplode(F.arrays_zip(F.col("y.re").alias("re"), F.col("y.im").alias("im"))).alias(axis, "p"))
-        out = out.select(*[F.col(c).cast("int").alias(c) for c in ("ix", "iy", "iz")], F.col("p")["0"].alias("re") if "0" in out.schema["p"].dataType.names else F.col("p.re").alias("re"), F.col("p")["1"].alias("im") if "1" in out.schema["p"].dataType.names else F.col("p.im").alias("im"))
+        # zipped arrays name their parts by number or by column
+        re, im = out.schema["p"].dataType.names
+        out = out.select(*[F.col(c).cast("int").alias(c) for c in ("ix", "iy", "iz")], F.col("p")[re].alias("re"), F.col("p")[im].alias("im"))
     return out
 
 

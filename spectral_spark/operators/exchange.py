@@ -30,7 +30,8 @@ from ..plans.planner import TransformPlan, worker_grid
 STRATEGIES = ("packed_barrier", "batched_async", "unpacked_direct")
 TILE = "dst int, src int, seq int, comp int, o array<int>, n array<int>, re binary, im binary"
 TILE_NAMES = [c.split()[0] for c in TILE.split(", ")]
-TILE_ARROW = pa.schema([("dst", pa.int32()), ("src", pa.int32()), ("seq", pa.int32()), ("comp", pa.int32()), ("o", pa.list_(pa.int32())), ("n", pa.list_(pa.int32())), ("re", pa.binary()), ("im", pa.binary())])
+TILE_KINDS = [*[pa.int32()] * 4, *[pa.list_(pa.int32())] * 2, *[pa.binary()] * 2]
+TILE_ARROW = pa.schema(list(zip(TILE_NAMES, TILE_KINDS)))
 CELLS = "dst int, comp int, ix int, iy int, iz int, re double, im double"
 CELLS_ARROW = pa.schema([("dst", pa.int32()), ("comp", pa.int32()), ("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("re", pa.float64()), ("im", pa.float64())])
 #: Component numbers of kernels that travel with the field: KERNEL, KERNEL - 1, ...
@@ -203,6 +204,21 @@ def cell_rows(blocks: Blocks, w: Workers, worker: int, step: int, to: int) -> It
         yield pa.RecordBatch.from_arrays(arrays, schema=CELLS_ARROW)
 
 
+def tiles_as_cells(tiles: DataFrame) -> DataFrame:
+    """Real tiles as rows of their cells."""
+
+    def run(batches):
+        for b in batches:
+            heads = zip(*(b.column(c).to_pylist() for c in ("dst", "comp", "o", "n")))
+            for (dst, comp, o, n), re in zip(heads, b.column("re")):
+                at = [(x + k).ravel().astype(np.int32) for x, k in zip(np.indices(n), o)]
+                value = np.frombuffer(re.as_buffer())
+                same = [pa.array(np.full(len(value), x, np.int32)) for x in (dst, comp)]
+                yield pa.RecordBatch.from_arrays([*same, *map(pa.array, at), pa.array(value), pa.nulls(len(value), pa.float64())], schema=CELLS_ARROW)
+
+    return tiles.mapInArrow(run, CELLS)
+
+
 Work = Callable[[Blocks, int], Blocks]
 
 

@@ -82,7 +82,8 @@ def switch_cost(spark: SparkSession, w: Workers) -> DataFrame:
     kinds = spark.createDataFrame([("packed_barrier", 2.0, False), ("batched_async", 1.0, False), ("unpacked_direct", 1.0, True)], "strategy string, copies double, by_cell boolean")
     # six rows
     out = out.crossJoin(F.broadcast(kinds))
-    return out.withColumn("rows", F.when(F.col("by_cell"), F.col("bytes") / 8).otherwise(F.col("blocks")).cast("long")).withColumn("copied_bytes", F.col("copies") * F.col("bytes")).drop("by_cell", "copies")
+    rows = F.when(F.col("by_cell"), F.col("bytes") / 8).otherwise(F.col("blocks")).cast("long")
+    return out.withColumn("rows", rows).withColumn("copied_bytes", F.col("copies") * F.col("bytes")).drop("by_cell", "copies")
 
 
 def parseval(values: DataFrame, spectrum: DataFrame, plan: TransformPlan) -> DataFrame:

@@ -14,7 +14,7 @@ from ..plans.grid import GridSpec
 from ..plans.planner import TransformPlan, auto_decomposition, auto_workers, build
 from ..sources.fields import check_field_schema
 from . import kernels
-from .exchange import KERNEL, READY, TILE, Blocks, Clock, Workers, cell_columns, generate, is_kernel, onward, own_tiles, start, switch, tile_batch
+from .exchange import KERNEL, READY, TILE, Blocks, Clock, Workers, cell_columns, generate, is_kernel, onward, own_tiles, start, switch, tile_batch, tiles_as_cells
 
 FIELD = "ix int, iy int, iz int, comp int, v double"
 FIELD_ARROW = pa.schema([("ix", pa.int32()), ("iy", pa.int32()), ("iz", pa.int32()), ("comp", pa.int32()), ("v", pa.float64())])
@@ -133,7 +133,8 @@ def _spectrum_rows(w: Workers):
     def finish(blocks: Blocks, worker: int):
         for comp, at, v in cell_columns(blocks, w, worker, 2):
             im = pa.array(np.ascontiguousarray(v.imag)) if np.iscomplexobj(v) else pa.array(np.zeros(len(v)))
-            yield pa.RecordBatch.from_arrays([*[pa.array(x.astype(np.int32)) for x in at], pa.array(np.full(len(v), comp, np.int32)), pa.array(np.ascontiguousarray(v.real)), im], schema=SPECTRUM_ARROW)
+            names = [*[pa.array(x.astype(np.int32)) for x in at], pa.array(np.full(len(v), comp, np.int32))]
+            yield pa.RecordBatch.from_arrays([*names, pa.array(np.ascontiguousarray(v.real)), im], schema=SPECTRUM_ARROW)
 
     return finish
 
@@ -164,7 +165,19 @@ def _field_tiles(w: Workers):
     return finish
 
 
-def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan], middle, out_plans: dict[int, TransformPlan] | None, options: Options, kernel: str | list[str] | None = None, origin: str = "cell_mean", stored: str | None = None, make=None, spark: SparkSession | None = None) -> DataFrame:
+def sweep(
+    cells: DataFrame | None,
+    w: Workers,
+    plans: dict[int, TransformPlan],
+    middle,
+    out_plans: dict[int, TransformPlan] | None,
+    options: Options,
+    kernel: str | list[str] | None = None,
+    origin: str = "cell_mean",
+    stored: str | None = None,
+    make=None,
+    spark: SparkSession | None = None,
+) -> DataFrame:
     """The whole path: lines of the first, second and third axis, ``middle`` in mode space, and, if ``out_plans``, back.
 
     A kernel with open axes is sampled by the workers and carried through the same switches as a component of its own, or its
@@ -188,9 +201,8 @@ def sweep(cells: DataFrame | None, w: Workers, plans: dict[int, TransformPlan],
     if not fused:
         sent = onward(sent, w, 1, 2, steps[1], s, b)
     if stored is not None:
-        if s == "unpacked_direct":
-            raise ValueError("a stored spectrum is kept in tiles; unpacked_direct sends cells")
-        sent = sent.unionByName(spark.read.schema(TILE).parquet(stored))
+        ready = spark.read.schema(TILE).parquet(stored)
+        sent = sent.unionByName(tiles_as_cells(ready) if s == "unpacked_direct" else ready)
     if out_plans is None:
         return switch(sent, w, 2, _chain(steps[2], middle), _spectrum_rows(w), SPECTRUM, s)
     back = [backward_step(w, k, out_plans) for k in range(3)]

@@ -40,7 +40,15 @@ def out_specs(specs: list[GridSpec]) -> list[GridSpec]:
     return out
 
 
-def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", derivative: str = "spectral", options: Options = Options(), origin: str = "cell_mean", stored: str | None = None) -> DataFrame:
+def solve(
+    cells: DataFrame,
+    specs: list[GridSpec],
+    kernel: str = "gauss4",
+    derivative: str = "spectral",
+    options: Options = Options(),
+    origin: str = "cell_mean",
+    stored: str | None = None,
+) -> DataFrame:
     """(ix, iy, iz, comp, v) of u for ``cells(ix, iy, iz, comp, v)``; ``specs``: the grid of each component of f."""
     w, plans, outs, curl = _prepared(specs, options)
     product = multiply(w, kernel)
@@ -52,7 +60,14 @@ def solve(cells: DataFrame, specs: list[GridSpec], kernel: str = "gauss4", deriv
     return sweep(cells, w, plans, middle, outs, options, kernel, origin, stored)
 
 
-def solve_each(cells: DataFrame, specs: list[GridSpec], kinds: list[str] = ["gauss4"], derivatives: tuple[str, ...] = DERIVATIVES, options: Options = Options(), origin: str = "cell_mean") -> DataFrame:
+def solve_each(
+    cells: DataFrame,
+    specs: list[GridSpec],
+    kinds: tuple[str, ...] = ("gauss4",),
+    derivatives: tuple[str, ...] = DERIVATIVES,
+    options: Options = Options(),
+    origin: str = "cell_mean",
+) -> DataFrame:
     """(kernel, derivative, ix, iy, iz, comp, v) for several kernels and derivatives; the components are transformed once for all."""
     w, plans, outs, curl = _prepared(specs, options)
     product = product_of(w, kinds, 3 * len(derivatives))

@@ -12,6 +12,7 @@ import uuid
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -106,7 +107,45 @@ def running_field(events: DataFrame) -> DataFrame:
         yield pd.DataFrame({"event_type": [key[0]], "hour_of_day": [key[1]], "n": [n], "total": [total]})
 
     cells = events.withWatermark("ts", "2 hours").withColumn("hour_of_day", F.hour("ts"))
-    return cells.groupBy("event_type", "hour_of_day").applyInPandasWithState(update, "event_type string, hour_of_day int, n long, total double", "n long, total double", "append", GroupStateTimeout.EventTimeTimeout)
+    out, state = "event_type string, hour_of_day int, n long, total double", "n long, total double"
+    return cells.groupBy("event_type", "hour_of_day").applyInPandasWithState(update, out, state, "append", GroupStateTimeout.EventTimeTimeout)
+
+
+#: State stores that keep several states and timers for a key.
+ROCKS = ("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+
+
+class RunningCell(StatefulProcessor):
+    """A cell's count and total, forgotten after a day of event time without an event."""
+
+    def init(self, handle) -> None:
+        self.handle = handle
+        self.cell = handle.getValueState("cell", "n long, total double")
+
+    def handleInputRows(self, key, rows, timerValues):
+        n, total = self.cell.get() if self.cell.exists() else (0, 0.0)
+        for part in rows:
+            n, total = n + len(part), total + float(part["value"].sum())
+        self.cell.update((n, total))
+        for timer in list(self.handle.listTimers()):
+            self.handle.deleteTimer(timer)
+        self.handle.registerTimer(max(timerValues.getCurrentWatermarkInMs(), 0) + 86_400_000)
+        yield pd.DataFrame({"event_type": [key[0]], "hour_of_day": [key[1]], "n": [n], "total": [total]})
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+        self.cell.clear()
+        return iter(())
+
+    def close(self) -> None:
+        pass
+
+
+def running_cells(events: DataFrame) -> DataFrame:
+    """:func:`running_field` as a processor with a state and a timer of its own; to be run in a session whose state provider is
+    ``ROCKS``."""
+    cells = events.withWatermark("ts", "2 hours").withColumn("hour_of_day", F.hour("ts")).select("event_type", "hour_of_day", "ts", "value")
+    out = "event_type string, hour_of_day int, n long, total double"
+    return cells.groupBy("event_type", "hour_of_day").transformWithStateInPandas(RunningCell(), out, "append", "eventTime")
 
 
 def with_dictionary(events: DataFrame, dictionary: DataFrame) -> DataFrame:

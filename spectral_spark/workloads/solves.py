@@ -424,21 +424,24 @@ TOGETHER = 15
 def combination_sweep(spark, sf_dir):
     """A cover of all pairs of choices on 8^3 intervals, each case solved by Spark and as one array: the largest difference is zero."""
     rng, cases, rows = np.random.default_rng(1), sweep_cases(), []
+    keys = ["case", "ix", "iy", "iz"]
     for first in range(0, len(cases), TOGETHER):
-        out = None
+        got, tables = None, []
         for case, triple, layout, kernel, strategy, decomposition in cases[first : first + TOGETHER]:
             spec = GridSpec.of(*[Axis(N, *p, layout) for p in triple])
             f = rng.normal(size=spec.shape)
             # the test's own grid of 512 or 729 points
-            whole = monolithic_solve(f, spec, kernel)
             at = np.indices(spec.shape).reshape(3, -1).astype(np.int32)
-            cells = spark.createDataFrame(pa.table({"ix": at[0], "iy": at[1], "iz": at[2], "v": f.ravel(), "w": whole.ravel()}))
-            u = poisson.solve(cells.drop("w"), spec, kernel, Options(strategy, decomposition, 4))
-            e = metrics.e_inf(u, cells.select("ix", "iy", "iz", F.col("w").alias("v")), ["ix", "iy", "iz"])
-            e = e.select(F.lit(case).alias("case"), rounded("e_inf", 9).alias("difference"))
-            out = e if out is None else out.unionByName(e)
+            whole = monolithic_solve(f, spec, kernel)
+            tables.append(pa.table({"case": np.full(f.size, case, np.int32), "ix": at[0], "iy": at[1], "iz": at[2], "w": whole.ravel()}))
+            cells = spark.createDataFrame(pa.table({"ix": at[0], "iy": at[1], "iz": at[2], "v": f.ravel()}))
+            u = poisson.solve(cells, spec, kernel, Options(strategy, decomposition, 4)).select(F.lit(case).alias("case"), "ix", "iy", "iz", "v")
+            got = u if got is None else got.unionByName(u)
+        both = got.join(spark.createDataFrame(pa.concat_tables(tables)), keys, "full")
+        difference = F.max(F.abs(F.coalesce("v", F.lit(1e9)) - F.coalesce("w", F.lit(-1e9))))
         # a number for each case
-        rows += [(c, " ".join("-".join(p) for p in cases[c][1]), *cases[c][2:], d) for c, d in out.collect()]
+        found = both.groupBy("case").agg(rounded(difference, 9).alias("difference")).orderBy("case").collect()
+        rows += [(c, " ".join("-".join(p) for p in cases[c][1]), *cases[c][2:], d) for c, d in found]
     return spark.createDataFrame(rows, "case int, boundaries string, layout string, kernel string, strategy string, decomposition string, difference double")
 
 

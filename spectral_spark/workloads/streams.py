@@ -50,10 +50,30 @@ def stream_late_rows(spark, sf_dir):
     return spark.createDataFrame([(dropped,)], "late_cells long")
 
 
-@query("stream_stateful_field", "SELECT event_type, CAST(hour(ts) AS INT) AS hour_of_day, count(*) AS n, round(sum(value), 4) + 0.0 AS total FROM events GROUP BY 1, 2")
+_CELLS = "SELECT event_type, CAST(hour(ts) AS INT) AS hour_of_day, count(*) AS n, round(sum(value), 4) + 0.0 AS total FROM events GROUP BY 1, 2"
+
+
+def _last_totals(t):
+    t = t.groupBy("event_type", "hour_of_day").agg(F.max("n").alias("n"), F.max("total").alias("total"))
+    return t.select("event_type", "hour_of_day", "n", rounded("total", 4).alias("total"))
+
+
+@query("stream_group_state", _CELLS)
+def stream_group_state(spark, sf_dir):
+    """Running totals in a group's one state."""
+    return _last_totals(S.finish(S.running_field(S.event_stream(spark, sf_dir))))
+
+
+@query("stream_stateful_field", _CELLS)
 def stream_stateful_field(spark, sf_dir):
-    t = S.finish(S.running_field(S.event_stream(spark, sf_dir)))
-    return t.groupBy("event_type", "hour_of_day").agg(F.max("n").alias("n"), F.max("total").alias("total")).select("event_type", "hour_of_day", "n", rounded("total", 4).alias("total"))
+    """Running totals by a stateful processor with timers; its state store is set for this query and put back."""
+    key, value = S.ROCKS
+    before = spark.conf.get(key)
+    spark.conf.set(key, value)
+    try:
+        return _last_totals(S.finish(S.running_cells(S.event_stream(spark, sf_dir))))
+    finally:
+        spark.conf.set(key, before)
 
 
 @query("stream_join_dimension", "SELECT event_id, CAST(CASE event_type WHEN 'click' THEN 0 WHEN 'error' THEN 1 WHEN 'purchase' THEN 2 WHEN 'signup' THEN 3 ELSE 4 END AS INT) AS axis, round(value, 4) + 0.0 AS value FROM events WHERE event_type IN ('click', 'error', 'purchase', 'signup', 'view')")
