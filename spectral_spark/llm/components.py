@@ -57,4 +57,6 @@ def components(spark: SparkSession, links: DataFrame, max_rounds: int = 60) -> D
             break
     else:
         raise RuntimeError("components did not settle")
-    return now.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(now.select(F.col("v").alias("id"), F.col("v").alias("component"))).groupBy("id").agg(F.min("component").alias("component"))
+    ends = now.select(F.col("u").alias("id"), F.col("v").alias("component"))
+    ends = ends.unionByName(now.select(F.col("v").alias("id"), F.col("v").alias("component")))
+    return ends.groupBy("id").agg(F.min("component").alias("component"))

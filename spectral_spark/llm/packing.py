@@ -184,7 +184,8 @@ def pack(spark: SparkSession, docs: DataFrame, path: str | None = None, capacity
         bins = BestFit(capacity, open_bins * TAIL_BINS)
         placed = [bins.put(n) for n in t.column("used").to_pylist()]
         group = t.column("task")[0].as_py() // TASKS_TOGETHER if t.num_rows else 0
-        return pa.table({"task": t.column("task"), "bin": t.column("bin"), "to": pa.array([-1 - (group << 32) - b for b, _ in placed], pa.int64()), "base": pa.array([o for _, o in placed], pa.int64())})
+        to, base = pa.array([-1 - (group << 32) - b for b, _ in placed], pa.int64()), pa.array([o for _, o in placed], pa.int64())
+        return pa.table({"task": t.column("task"), "bin": t.column("bin"), "to": to, "base": base})
 
     moved = tails.groupBy(F.expr(f"task div {TASKS_TOGETHER}")).applyInArrow(again, "task long, bin long, to long, base long")
     own = F.expr("shiftleft(task, 32) + bin")

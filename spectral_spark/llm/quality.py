@@ -110,7 +110,10 @@ def line_first_cleaning(docs: DataFrame, least_words: int = 10, most_repeated: i
                 gap = (data == 0x20) | ((data >= 0x09) & (data <= 0x0D))
                 raw = data.tobytes()
                 lines = [clean_lines(raw[a:b].decode("utf-8", "replace")) for a, b in zip(at[:-1], at[1:])]
-                columns = [ids.slice(i, j - i), pa.array(block.counts), pa.array(per_text(starts_char & ~gap)), pa.array(per_text(SYMBOL[data])), pa.array([x[3] for x in lines], pa.int64()), pa.array(repeated_words(block, block.hashes(EXACT))), pa.array([x[2] for x in lines], pa.int64()), pa.array([x[0] if with_text else None for x in lines], pa.string())]
+                clean, _, good, repeats = zip(*lines)
+                columns = [ids.slice(i, j - i), pa.array(block.counts), pa.array(per_text(starts_char & ~gap)), pa.array(per_text(SYMBOL[data]))]
+                columns += [pa.array(repeats, pa.int64()), pa.array(repeated_words(block, block.hashes(EXACT))), pa.array(good, pa.int64())]
+                columns.append(pa.array(clean if with_text else [None] * len(clean), pa.string()))
                 yield pa.RecordBatch.from_arrays(columns, [c.split()[0] for c in SCHEMA.split(", ")])
 
     made = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), SCHEMA)

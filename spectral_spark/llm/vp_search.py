@@ -224,8 +224,11 @@ def nearest(spark: SparkSession, vectors: DataFrame, queries: DataFrame, k: int
                 hit = np.isfinite(score)
                 at = np.nonzero(hit)[0]
                 # a row without a neighbour carries the number of comparisons
-                columns = [np.concatenate([ids[at], ids]), np.concatenate([who[hit], np.zeros(len(ids), np.int64)]), np.concatenate([score[hit], np.full(len(ids), np.nan)]), np.concatenate([np.zeros(len(at), np.int64), seen])]
-                made = [pa.array(columns[0]), pa.array(columns[1], mask=np.isnan(columns[2])), pa.array(columns[2], mask=np.isnan(columns[2])), pa.array(columns[3])]
+                none, zero = np.full(len(ids), np.nan), np.zeros(len(ids), np.int64)
+                score, who = np.concatenate([score[hit], none]), np.concatenate([who[hit], zero])
+                empty = np.isnan(score)
+                made = [pa.array(np.concatenate([ids[at], ids])), pa.array(who, mask=empty), pa.array(score, mask=empty)]
+                made.append(pa.array(np.concatenate([np.zeros(len(at), np.int64), seen])))
                 yield pa.RecordBatch.from_arrays(made, ["query_id", "vec_id", "score", "compared"])
 
     def found_in(visits: DataFrame, name: str) -> DataFrame:

@@ -223,7 +223,9 @@ def read_captures(spark: SparkSession, path: str, files: DataFrame) -> DataFrame
                         digest = h["warc-payload-digest"].removeprefix("sha1:")
                         n = r.size if response else int(h["x-payload-length"])
                         refers = None if response else number(h["warc-refers-to"])
-                        rows.append((url_key(h["warc-target-uri"]), h["warc-date"], file, offset, length, number(h["warc-record-id"]), n, digest, h["warc-type"], refers, not response or r.digest == digest))
+                        place = (url_key(h["warc-target-uri"]), h["warc-date"], file, offset, length)
+                        sound = not response or r.digest == digest
+                        rows.append((*place, number(h["warc-record-id"]), n, digest, h["warc-type"], refers, sound))
                 rows.sort(key=lambda r: r[:4])
                 columns = list(zip(*rows)) if rows else [()] * len(KINDS)
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, KINDS)], [c.split()[0] for c in CAPTURE.split(", ")])
