@@ -9,6 +9,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .store import table
+
+#: Most sources whose targets are broadcast, and most bytes of their names.
+BROADCAST_SOURCES, BROADCAST_BYTES = 10_000, 1 << 20
 WORD = r"[^\x20\x09-\x0D]+"
 
 
@@ -46,20 +50,23 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (3, 1, 2), percent:
 
     A null text has size 0; null is a source of its own, the last. Each row draws by its id, text and source: rows that share an
     id, also a null one, draw apart, and only rows that repeat all three draw alike. A source without words gets no copies. Sources
-    are joined by null-safe equality; a hot source is divided by adaptive execution, or the small side is broadcast if its
-    measured size permits. Other columns stay, whatever their names; those of the result are replaced.
+    are counted at once, and joined by null-safe equality. Other columns stay, whatever their names; those of the result are replaced.
     """
     own = ["size", "source_size", "target", "copies"]
     size = F.coalesce(F.regexp_count(F.col("text").cast("string"), F.lit(WORD)), F.lit(0)).cast("long")
     # struct columns keep the joined sides' names apart from any of the caller's
-    rows = docs.drop(*own).select(F.struct("*").alias("row"), size.alias("size"))
-    rows = rows.withColumn("key", F.col("row.source").cast("string"))
-    sizes = rows.groupBy(F.col("key").alias("source")).agg(F.sum("size").alias("source_size"))
+    number = draw(F.col("doc_id"), F.col("text"), F.col("source"), seed)
+    rows = docs.drop(*own).select(F.struct("*").alias("row"), size.alias("size"), number.alias("number"), F.col("source").cast("string").alias("key"))
+    spark = docs.sparkSession
+    sizes = table(spark, rows.groupBy(F.col("key").alias("source")).agg(F.sum("size").alias("source_size")), "sources")
     mixture = source_targets(sizes, weights, percent, most).select(F.col("source").alias("of"), "source_size", "target")
+    # one row a source: so few are sent to all tasks, and no text is moved; more are joined by a shuffle, which can be divided
+    n, names = sizes.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("source")), F.lit(0))).first()
+    if n <= BROADCAST_SOURCES and names <= BROADCAST_BYTES:
+        mixture = F.broadcast(mixture)
     out = rows.join(mixture, F.col("key").eqNullSafe(F.col("of")))
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    row = F.col("row")
-    more = (draw(row["doc_id"], row["text"], row["source"], seed) < rate - F.floor(rate)).cast("long")
+    more = (F.col("number") < rate - F.floor(rate)).cast("long")
     copies = F.least(F.floor(rate).cast("long") + more, F.lit(most).cast("long"))
     return out.select("row.*", "size", "source_size", "target", copies.alias("copies"))
 
