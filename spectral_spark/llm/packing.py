@@ -25,6 +25,8 @@ from .words import text_blocks, tidy
 STRICT_WORDS = re.compile(r"[\S\x1c-\x1f]+")
 #: Bound of a worker's table of ids.
 MOST_WORDS = 700_000
+#: Text bytes that are encoded together.
+ENCODE_BYTES = 2 << 20
 #: Bins left by this many tasks are packed together in the second pass, with this many times as many open bins as the first:
 #: its items are whole bins, so the bound costs no memory worth naming and few bins are closed before their time.
 TASKS_TOGETHER, TAIL_BINS = 64, 8
@@ -88,7 +90,9 @@ class WordIds(dict):
         self.new: list[str] = []
         self.chars = self.used = 0
         self.flat = np.empty(1 << 16, np.uint32)
-        self.start = np.zeros(1, np.int64)
+        # where the ids of each word begin; the end of the last one follows
+        self.start = np.zeros(1 << 16, np.int64)
+        self.learned = 0
 
     def __missing__(self, word: str) -> int:
         self[word] = k = len(self)
@@ -97,7 +101,6 @@ class WordIds(dict):
         return k
 
     def _learn(self) -> None:
-        starts = [self.start]
         for k in range(0, len(self.new), 4096):
             made = [e.ids for e in self.tokenizer.encode_batch_fast(self.new[k : k + 4096], add_special_tokens=False)]
             sizes = np.array([len(x) for x in made], np.int64)
@@ -105,9 +108,12 @@ class WordIds(dict):
             while self.used + len(ids) > len(self.flat):
                 self.flat = np.concatenate([self.flat, np.empty_like(self.flat)])
             self.flat[self.used : self.used + len(ids)] = ids
-            starts.append(self.used + np.cumsum(sizes))
+            end = self.learned + len(made)
+            if end >= len(self.start):
+                self.start = np.concatenate([self.start, np.empty(max(len(self.start), len(made)), np.int64)])
+            self.start[self.learned + 1 : end + 1] = self.used + np.cumsum(sizes)
+            self.learned = end
             self.used += len(ids)
-        self.start = np.concatenate(starts)
         self.new = []
 
     def encode(self, texts: list[str], end_id: int) -> list[np.ndarray]:
@@ -160,7 +166,7 @@ def pack(spark: SparkSession, docs: DataFrame, path: str | None = None, capacity
         held: list[tuple] = []
         for batch in batches:
             doc_ids = batch.column("doc_id")
-            for i, j, data, at in text_blocks(batch.column("text")):
+            for i, j, data, at in text_blocks(batch.column("text"), ENCODE_BYTES):
                 raw = data.tobytes()
                 ids = words.encode([raw[a:b].decode("utf-8", "replace") for a, b in zip(at[:-1], at[1:])], end_id)
                 names = doc_ids.slice(i, j - i).to_pylist()
