@@ -22,7 +22,8 @@ SYMBOL[list(b"#*$%&|<>")] = True
 SENTENCE_END = re.compile(r"""[.!?…。！？]["'”’»)\]]*(?:[\x20\x09-\x0D]|$)""")
 BOILERPLATE = re.compile(
     r"lorem ipsum|all rights reserved|terms of (?:use|service)|privacy policy|cookie policy|accept (?:all )?cookies|enable javascript"
-    r"|sign up for our newsletter|click here to|skip to (?:main )?content",
+    r"|sign up for our newsletter|click here to|skip to (?:main )?content"
+    r"|alle rechte vorbehalten|datenschutzerklärung|tous droits réservés|politique de confidentialité|todos los derechos reservados|política de privacidad",
     re.IGNORECASE,
 )
 #: Separators per word from which a line of three words or more counts as navigation.

@@ -121,7 +121,9 @@ rep AS (SELECT r, count(DISTINCT i + k) AS n_repeat_words FROM m CROSS JOIN rang
 l AS (SELECT r, s, len(regexp_extract_all(s, '[^\x20\x09-\x0D]+')) AS n FROM (SELECT r, unnest(string_split(t, chr(10))) AS s FROM d) q),
 judged AS (SELECT r, s, n, NOT (
     (n >= 3 AND (len(string_split(s, ' | ')) + len(string_split(s, ' » ')) + len(string_split(s, ' > ')) - 3) >= 0.25 * n)
-    OR (n <= 30 AND regexp_matches(s, 'lorem ipsum|all rights reserved|terms of (use|service)|privacy policy|cookie policy|accept (all )?cookies|enable javascript|sign up for our newsletter|click here to|skip to (main )?content', 'i'))
+    OR (n <= 30 AND regexp_matches(s, 'lorem ipsum|all rights reserved|terms of (use|service)|privacy policy|cookie policy|accept (all )?cookies|enable javascript'
+        || '|sign up for our newsletter|click here to|skip to (main )?content'
+        || '|alle rechte vorbehalten|datenschutzerklärung|tous droits réservés|politique de confidentialité|todos los derechos reservados|política de privacidad', 'i'))
     OR NOT regexp_matches(s, '[.!?…。！？]["''”’»)\]]*([\x20\x09-\x0D]|$)')) AS good FROM l WHERE n > 0),
 k AS (SELECT r, count(*) - count(DISTINCT s) AS n_dup_lines, sum(CASE WHEN good THEN n ELSE 0 END) AS words_kept FROM judged GROUP BY r),
 f AS (SELECT doc_id, CAST(coalesce(n_words, 0) AS BIGINT) AS n_words, CAST(coalesce(word_chars, 0) AS BIGINT) AS word_chars, CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,

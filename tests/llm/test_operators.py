@@ -242,6 +242,7 @@ def test_line_rules():
     assert quality.line_failure("Home | About | Contact | Shop", 7) == "navigation"
     assert quality.line_failure("We use cookies. Accept all cookies.", 6) == "boilerplate"
     assert quality.line_failure("no sentence end here", 4) == "punctuation"
+    assert {quality.line_failure(x, 4) for x in ("Alle Rechte vorbehalten.", "© 2020 TOUS DROITS RÉSERVÉS.", "Política de Privacidad.")} == {"boilerplate"}
     assert quality.line_failure('A sentence, "quoted."', 3) is None
     assert quality.clean_lines("Good line.\nmenu\nGood line.")[0] == "Good line.\nGood line."
 
