@@ -9,10 +9,10 @@ Colliding paragraphs are verified word by word. Of every ``span`` successive win
 least is a seed (all of them on a tie); every paragraph holds one, and equal paragraphs the same one. A seed's key is the hash of all
 its words, so places of a key are equal and need no comparison with each other; a place whose key stands in an earlier document
 repeats it. Where a chain of repeating seeds begins or ends, the windows at every word of the next ``span - 1`` are looked up in the same
-way: a run of 25 or more words that an earlier document has is thereby found to its first and last word. Repeats shorter than
-that are found if they hold a seed.
+way: a run of 25 or more words that an earlier document has is thereby found to its first and last word.
 
-Runs of at least ``least_run`` words are removed. Two runs with the same home are removed with the words between them where the whole is
+Runs are removed whose paragraphs reach the exact Jaccard similarity by them alone: 19 of 21 shingles, which is 23 words. A shorter
+text keeps all. Two runs with the same home are removed with the words between them where the whole is
 similar by edit distance (``percent``). Removals are clustered: a run and the place that it repeats are linked, overlapping places of a
 document are one, and of each component the passage stays in the first document.
 """
@@ -41,7 +41,6 @@ class Paragraphs:
     span: int = 10
     words: int = 5
     percent: int = 80
-    least_run: int = 18
     bands: int = 2
     rows: int = 1
 
@@ -54,6 +53,12 @@ class Paragraphs:
         """Of a paragraph."""
         return self.size + self.span - self.words
 
+    @property
+    def least_run(self) -> int:
+        """Words of the shortest equal run by which two paragraphs reach the similarity: s common shingles of n each are similar at
+        s / (2 n - s)."""
+        return -(-2 * self.percent * self.shingles // (100 + self.percent)) + self.words - 1
+
 
 SEEDS = "key long, doc_id long, row long, first int, again boolean"
 MOST = np.uint64(0xFFFFFFFFFFFFFFFF)

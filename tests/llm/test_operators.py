@@ -621,6 +621,16 @@ def test_similar_paragraphs_share_a_band():
     assert met >= 380
 
 
+def test_shorter_runs_stay(spark):
+    """22 common words are 18 of 21 shingles, similar at 18 / 24; 23 are similar at 19 / 23."""
+    p = substring_dedup.Paragraphs()
+    assert p.least_run == 23 and 19 / (42 - 19) >= 0.8 > 18 / (42 - 18)
+    passages = [passage(7000 + 40 * n + k, n).split() for n in (18, 20, 22, 25, 30) for k in range(6)]
+    placed = hosts(passages * 2, 12)
+    got, m = removed_runs(spark, [t for t, _ in placed]), len(passages)
+    assert got == {i: [(at, len(passages[i % m]))] for i, (_, at) in enumerate(placed) if i >= m and len(passages[i % m]) >= 25}
+
+
 def test_clusters_keep_the_first_document(spark):
     """Document 9 repeats 4, which repeats 2, by different halves of a passage: one component, kept in 2."""
     a, b = passage(610, 40), passage(611, 40)
