@@ -29,7 +29,8 @@ from .words import Block, distinct, fold, mix, shingles, text_blocks, tidy
 
 @dataclass(frozen=True)
 class MinHash:
-    """Shingle size, similarity threshold (percent), bands x rows, batch of the sequential test and its miss probability."""
+    """Shingle size, similarity threshold (percent), bands x rows, batch of the sequential test and its miss probability; documents of
+    a block, and shingles if they are long."""
 
     words: int = 3
     percent: int = 85
@@ -39,6 +40,7 @@ class MinHash:
     batches: int = 4
     miss: float = 1e-5
     block: int = 256
+    block_shingles: int = 1 << 21
 
     @property
     def size(self) -> int:
@@ -122,10 +124,10 @@ def _bands(nodes: DataFrame, p: MinHash) -> DataFrame:
             if not batch.num_rows:
                 continue
             sig = np.frombuffer(b"".join(batch.column("sig").to_pylist()), np.uint32).reshape(-1, p.size)
-            ids = np.repeat(batch.column("id").to_numpy(zero_copy_only=False), p.bands)
-            yield pa.RecordBatch.from_arrays([pa.array(band_keys(sig, p.bands, p.rows).ravel()), pa.array(ids)], ["bucket", "id"])
+            ids, sizes = (np.repeat(batch.column(c).to_numpy(zero_copy_only=False), p.bands) for c in ("id", "size"))
+            yield pa.RecordBatch.from_arrays([pa.array(band_keys(sig, p.bands, p.rows).ravel()), pa.array(ids), pa.array(sizes)], ["bucket", "id", "size"])
 
-    return nodes.select("id", "sig").mapInArrow(tidy(run), "bucket long, id long")
+    return nodes.select("id", "sig", "size").mapInArrow(tidy(run), "bucket long, id long, size int")
 
 
 def _sequential(left: np.ndarray, right: np.ndarray, p: MinHash) -> np.ndarray:
@@ -192,9 +194,10 @@ def confirm(pairs: DataFrame, texts: DataFrame, p: MinHash) -> DataFrame:
 
 
 def _apart(members: DataFrame, comp: DataFrame) -> DataFrame:
-    """bucket, id, comp of the buckets that hold more than one component."""
+    """bucket, id, comp of the buckets that hold more than one component, with their members and the sum of these' set sizes."""
     seen = members.join(comp, "id", "left").withColumn("comp", F.coalesce("component", "id")).drop("component")
-    split = seen.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n")).where("lo <> hi").select("bucket", "n")
+    split = seen.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("n"), F.sum("size").alias("all"))
+    split = split.where("lo <> hi").select("bucket", "n", "all")
     return seen.join(split, "bucket")
 
 
@@ -237,7 +240,7 @@ def links_across(apart: DataFrame, nodes: DataFrame, texts: DataFrame, p: MinHas
     Blocks are first compared by signature alone. Texts then go only to blocks in which they have a partner left,
     and are confirmed there: a pair that other links of the block connect already need not be.
     """
-    blocks = F.ceil(F.col("n") / p.block).cast("int")
+    blocks = F.greatest(F.ceil(F.col("n") / p.block), F.ceil(F.col("all") / p.block_shingles)).cast("int")
     dealt = apart.withColumn("k", blocks).withColumn("mine", F.pmod(F.xxhash64("id"), F.col("k")).cast("int"))
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("k") - 1)))
     dealt = dealt.select("bucket", F.least("mine", "other").alias("x"), F.greatest("mine", "other").alias("y"), "mine", "id", "comp")
@@ -294,7 +297,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
     signed = table(spark, sign(docs, p), "signed")
     some = signed.where("sig is not null and doc_id is not null")
     # a node is a set, named by its least document
-    nodes = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig"))
+    nodes = some.groupBy("d1", "d2").agg(F.min("doc_id").alias("id"), F.min_by("sig", "doc_id").alias("sig"), F.max("n_shingles").cast("int").alias("size"))
     repeated = table(spark, some.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id"), "repeated")
     some_repeat = not repeated.isEmpty()
     if some_repeat:
@@ -329,7 +332,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, p: MinHash = MinHash()
         joined = own.join(least, "doc_id").where("a <> id").select("a", F.col("id").alias("b"))
         links = table(spark, links.unionByName(joined), "confirmed")
     first = table(spark, components(spark, links), "first")
-    more = table(spark, links_across(_apart(members.select("bucket", "id"), first), nodes, texts, p), "across")
+    more = table(spark, links_across(_apart(members.select("bucket", "id", "size"), first), nodes, texts, p), "across")
     final = table(spark, components(spark, links.unionByName(more)), "components")
     out = signed.join(same, ["d1", "d2"], "left").join(final, "id", "left").withColumn("component", F.coalesce("component", "id"))
     if some_repeat:

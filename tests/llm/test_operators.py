@@ -91,8 +91,10 @@ def test_near_duplicates_of_chains(spark):
         words[(step * 7) % 150] = f"edit{step}"
         rows.append((step * 3 + 1, " ".join(words)))
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    got = {x.doc_id: (x.n_shingles, x.component_id) for x in near_dedup.near_duplicates(spark, docs, near_dedup.MinHash(block=8)).collect()}
-    assert got == brute.near_components(rows)
+    want = brute.near_components(rows)
+    # blocks of few documents, and of few shingles
+    for p in (near_dedup.MinHash(block=8), near_dedup.MinHash(block_shingles=700)):
+        assert {x.doc_id: (x.n_shingles, x.component_id) for x in near_dedup.near_duplicates(spark, docs, p).collect()} == want
 
 
 def test_near_duplicates_of_odd_rows(spark, odd, none):
