@@ -1,4 +1,5 @@
 import math
+from datetime import datetime, timedelta
 
 import numpy as np
 import pytest
@@ -495,3 +496,30 @@ def test_aligned_solves_give_tiles(spark):
                 for t in poisson.solve_aligned(spark, spec, make, kernel, Options(strategy, decomposition, 6)).collect():
                     got[tuple(slice(a, a + n) for a, n in zip(t.o, t.n))] = np.frombuffer(t.re).reshape(t.n)
                 assert np.allclose(got, want, rtol=1e-12, atol=1e-10), (case, strategy, decomposition)
+
+
+LINES = "l_orderkey long, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_discount double, l_returnflag string, l_shipdate timestamp"
+
+
+def line_items(spark, folder, rows):
+    """A folder whose line items have these order, part and supplier numbers, quantity, flag and days since 1995."""
+    first = datetime(1995, 1, 1)
+    rows = [(o, p, s, q, 1000.0, 0.0, flag, None if d is None else first + timedelta(days=d)) for o, p, s, q, flag, d in rows]
+    spark.createDataFrame(rows, LINES).write.parquet(f"{folder}/lineitem.parquet")
+    return str(folder)
+
+
+def test_beta_is_fitted_to_the_line_items(spark, tmp_path):
+    from spectral_spark.queries import QUERIES
+    from spectral_spark.workloads.published import NODES, WEAK, measured
+
+    # worker w of flag A has a load of 10 + w, flag R is even, N has one worker; null keys and quantities count nowhere
+    rows = [(w + 384 * k, 0, 0, (10.0 + w) / 2, "A", 0) for w in range(384) for k in range(2)] + [(w, 0, 0, 5.0, "R", 0) for w in range(384)]
+    rows += [(383, 0, 0, 1.0, "N", 0), (None, 0, 0, 1e6, "A", 0), (0, 0, 0, None, "A", 0)]
+    got = {x.method: x.beta for x in QUERIES["beta_fit_published"](spark, line_items(spark, tmp_path, rows)).collect()}
+    x, y = np.array(NODES) - 1, (9 + np.array(NODES)) / 10 - 1
+    assert got == {"A": round(float((x * y).sum() / (x * x).sum()), 6), "R": 0.0, "N": None}
+    published = {m.method: m.beta for m in metrics.fit_beta(metrics.weak_efficiency(measured(spark, WEAK), ["method"]), ["method"]).collect()}
+    for method, seconds in WEAK.items():
+        y = np.array(seconds) / seconds[0] - 1
+        assert published[method] == pytest.approx((x * y).sum() / (x * x).sum())
