@@ -523,3 +523,18 @@ def test_beta_is_fitted_to_the_line_items(spark, tmp_path):
     for method, seconds in WEAK.items():
         y = np.array(seconds) / seconds[0] - 1
         assert published[method] == pytest.approx((x * y).sum() / (x * x).sum())
+
+
+def test_blocks_hold_the_line_items(spark, tmp_path):
+    from spectral_spark.queries import QUERIES
+    from spectral_spark.workloads.distribution import cube
+
+    rows = [(0, p, s, 1.0, "A", d) for p, s, d in ((0, 0, 0), (33, 32, 32), (32, 31, 31), (16, 0, 0), (17, 0, 0), (40, 70, -1))]
+    rows += [(0, None, 0, 1.0, "A", 0), (0, 0, 0, 1.0, "A", None)]
+    got = QUERIES["block_table_32"](spark, line_items(spark, tmp_path, rows)).toPandas()
+    assert len(got) == 12 and got.bytes.sum() == 8 * 33 * 32 * 32 and got.line_items.sum() == 6 and got.held.sum() == 5
+    first = got[(got.o0 == 0) & (got.o1 == 0) & (got.o2 == 0)].iloc[0]
+    assert (first.held, first.line_items) == (1, 2) and first.n0 == 16
+    assert sorted(got[got.o0 == 16].line_items) == [0, 0, 0, 0, 1, 2]
+    plain = block_table(spark, Workers(build(cube()), 6), 0, 1).toPandas().sort_values(["src", "dst"]).reset_index(drop=True)
+    assert plain.equals(got.sort_values(["src", "dst"]).reset_index(drop=True)[list(plain.columns)])
