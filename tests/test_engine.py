@@ -538,3 +538,15 @@ def test_blocks_hold_the_line_items(spark, tmp_path):
     assert sorted(got[got.o0 == 16].line_items) == [0, 0, 0, 0, 1, 2]
     plain = block_table(spark, Workers(build(cube()), 6), 0, 1).toPandas().sort_values(["src", "dst"]).reset_index(drop=True)
     assert plain.equals(got.sort_values(["src", "dst"]).reset_index(drop=True)[list(plain.columns)])
+
+
+def test_orders_choose_their_transform(spark, tmp_path):
+    from spectral_spark.queries import QUERIES
+
+    rows = [(2, 0), (4, 10), (3, 1), (5, -9), (7, 4), (None, 0), (2, None)]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long").write.parquet(str(tmp_path / "orders.parquet"))
+    got = QUERIES["boundary_transform_table"](spark, str(tmp_path)).collect()
+    assert len(got) == 2 * len(PAIRS) and sum(x.orders for x in got) == 5
+    chosen = {(x.layout, x.left, x.right): (x.transform, x.kind, x.orders) for x in got if x.orders}
+    for layout, pair, n in ((CELL, PAIRS[0], 2), (NODE, PAIRS[1], 2), (NODE, PAIRS[4], 1)):
+        assert chosen[(layout, *pair)] == (*LineTransform(Axis(8, *pair, layout)).kind, n)
