@@ -550,3 +550,22 @@ def test_orders_choose_their_transform(spark, tmp_path):
     chosen = {(x.layout, x.left, x.right): (x.transform, x.kind, x.orders) for x in got if x.orders}
     for layout, pair, n in ((CELL, PAIRS[0], 2), (NODE, PAIRS[1], 2), (NODE, PAIRS[4], 1)):
         assert chosen[(layout, *pair)] == (*LineTransform(Axis(8, *pair, layout)).kind, n)
+
+
+def test_sweep_solves_the_line_items(spark, tmp_path, monkeypatch):
+    from spectral_spark.queries import QUERIES
+    from spectral_spark.workloads import solves
+
+    seen, cases = [], solves.sweep_cases()
+    cases = [next(c for c in cases if c[2] == layout and c[0]) for layout in (CELL, NODE)]
+    monkeypatch.setattr(solves, "sweep_cases", lambda: [(i, *c[1:]) for i, c in enumerate(cases)])
+    monkeypatch.setattr(solves, "monolithic_solve", lambda f, *rest: seen.append(f) or monolithic_solve(f, *rest))
+    rows = [(0, i, 3 * i, 1.0, "A", 5 * i) for i in range(200)] + [(0, None, 0, 1.0, "A", 0), (0, 0, 0, 1.0, "A", None)]
+    got = QUERIES["combination_sweep"](spark, line_items(spark, tmp_path, rows)).collect()
+    assert [x.difference for x in got] == [0.0, 0.0]
+    for case, n in ((0, 8), (1, 9)):
+        want = np.zeros((n, n, n))
+        for i in range(200):
+            want[i % n, 3 * i % n, 5 * i % n] += 1
+        want = (want - want.mean()) / want.std()
+        assert np.allclose(seen[case], np.roll(want, case, 0))
