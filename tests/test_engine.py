@@ -569,3 +569,13 @@ def test_sweep_solves_the_line_items(spark, tmp_path, monkeypatch):
             want[i % n, 3 * i % n, 5 * i % n] += 1
         want = (want - want.mean()) / want.std()
         assert np.allclose(seen[case], np.roll(want, case, 0))
+
+
+def test_examples_hold_the_line_items(spark, tmp_path):
+    from spectral_spark.queries import QUERIES
+
+    rows = [(o, 0, 0, 1.0, "A", 0) for o in (0, 32, 4, 5, 27, 28, 31, -1, None)]
+    got = QUERIES["distribution_examples"](spark, line_items(spark, tmp_path, rows)).collect()
+    by = {(x.p, x.worker): (x.n, x.held, x.line_items) for x in got}
+    assert [by[7, w] for w in range(7)] == [(5, 2, 3), (5, 1, 1), (5, 0, 0), (5, 0, 0), (4, 0, 0), (4, 1, 1), (4, 2, 3)]
+    assert [by[6, w][0] for w in range(6)] == [5, 5, 6, 5, 5, 6] and sum(by[6, w][2] for w in range(6)) == 8
