@@ -579,3 +579,16 @@ def test_examples_hold_the_line_items(spark, tmp_path):
     by = {(x.p, x.worker): (x.n, x.held, x.line_items) for x in got}
     assert [by[7, w] for w in range(7)] == [(5, 2, 3), (5, 1, 1), (5, 0, 0), (5, 0, 0), (4, 0, 0), (4, 1, 1), (4, 2, 3)]
     assert [by[6, w][0] for w in range(6)] == [5, 5, 6, 5, 5, 6] and sum(by[6, w][2] for w in range(6)) == 8
+
+
+def test_curves_follow_the_fullest_supplier(spark, tmp_path):
+    from spectral_spark.queries import QUERIES
+    from spectral_spark.workloads.published import NODES
+
+    rows = [(0, 0, s, 1.0, "A", 0) for s in range(200)] + [(0, 0, 0, 1.0, "A", 0)] * 55 + [(0, 0, 7, 3.0, "N", 0)]
+    rows += [(0, 0, None, 1e6, "A", 0), (0, 0, 0, None, "A", 0), (0, 0, 1, None, "R", 0)]
+    got = {(x.method, x.r): (x.beta, x.speedup, x.efficiency) for x in QUERIES["ideal_scaling_curves"](spark, line_items(spark, tmp_path, rows)).collect()}
+    assert len(got) == 2 * len(NODES)
+    for method, b in (("A", 56 / 255), ("N", 1.0)):
+        for n in NODES:
+            assert got[method, n] == pytest.approx((b, 1 / ((1 - b) / n + b), 1 / (1 - b + n * b)), abs=6e-7)
