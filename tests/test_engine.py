@@ -592,3 +592,16 @@ def test_curves_follow_the_fullest_supplier(spark, tmp_path):
     for method, b in (("A", 56 / 255), ("N", 1.0)):
         for n in NODES:
             assert got[method, n] == pytest.approx((b, 1 / ((1 - b) / n + b), 1 / (1 - b + n * b)), abs=6e-7)
+
+
+@pytest.mark.parametrize("kernel", ["cutoff"])
+def test_kernel_is_applied_to_the_line_items(spark, tmp_path, kernel):
+    from spectral_spark.queries import QUERIES
+    from spectral_spark.workloads.solves import spectral_grid
+
+    rows = [(0, p, s, q, "A", d) for p, s, q, d in ((0, 0, 2e3, 0), (9, 8, 1e3, 5), (1, 2, 5e3, 3), (-1, 7, 7e3, -1), (2, 3, None, 1))]
+    rows += [(0, None, 0, 1e6, "A", 0), (0, 0, None, 1e6, "A", 0), (0, 0, 0, 1e6, "A", None)]
+    got = {(x.kx, x.ky, x.kz): (x.g, x.v) for x in QUERIES[f"kernel_table_{kernel}"](spark, line_items(spark, tmp_path, rows)).collect()}
+    g = {(x.kx, x.ky, x.kz): x.re for x in poisson.spectrum(spark, spectral_grid(), kernel).collect()}
+    held = {(0, 0, 0): 3, (1, 2, 3): 5, (8, 7, 4): 7}
+    assert len(got) == 9 * 8 * 5 and got == {k: (round(x, 6) + 0.0, round(x * held.get(k, 0), 6) + 0.0) for k, x in g.items()}
