@@ -594,7 +594,7 @@ def test_curves_follow_the_fullest_supplier(spark, tmp_path):
             assert got[method, n] == pytest.approx((b, 1 / ((1 - b) / n + b), 1 / (1 - b + n * b)), abs=6e-7)
 
 
-@pytest.mark.parametrize("kernel", ["cutoff", "gauss10", "gauss2", "gauss4"])
+@pytest.mark.parametrize("kernel", ["cutoff", "gauss10", "gauss2", "gauss4", "gauss6"])
 def test_kernel_is_applied_to_the_line_items(spark, tmp_path, kernel):
     from spectral_spark.queries import QUERIES
     from spectral_spark.workloads.solves import spectral_grid
